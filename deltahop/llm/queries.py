@@ -5,7 +5,7 @@ from __future__ import annotations
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from deltahop.llm import license_scan, preference, quality_rules, repetition
+from deltahop.llm import license_scan, near_dup, preference, quality_rules, repetition, token_table
 
 
 def table(spark: SparkSession, sf_dir: str, name: str) -> DataFrame:
@@ -16,6 +16,10 @@ def op1_preference_pairs(spark: SparkSession, sf_dir: str) -> DataFrame:
     return preference.preference_digest(table(spark, sf_dir, "conversations"))
 
 
+def op3_token_tables(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return token_table.read_token_tables(token_table.write_token_tables(table(spark, sf_dir, "documents")))
+
+
 def op4_rule_ensemble(spark: SparkSession, sf_dir: str) -> DataFrame:
     docs = table(spark, sf_dir, "documents")
     model = quality_rules.fit(docs, table(spark, sf_dir, "labels"))
@@ -27,9 +31,13 @@ def op5_repetition_coverage(spark: SparkSession, sf_dir: str) -> DataFrame:
     return repetition.repetition_coverage(table(spark, sf_dir, "documents"))
 
 
+def op7_odd_sketch_near_dup(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return near_dup.near_duplicates(table(spark, sf_dir, "documents"), near_dup.NearDupConfig(shingle=2))
+
+
 def op8_license_rules(spark: SparkSession, sf_dir: str) -> DataFrame:
     return license_scan.scan_licenses(table(spark, sf_dir, "documents"))
 
 
-QUERIES = {f.__name__: f for f in (op1_preference_pairs, op4_rule_ensemble, op5_repetition_coverage, op8_license_rules)}
+QUERIES = {f.__name__: f for f in (op1_preference_pairs, op3_token_tables, op4_rule_ensemble, op5_repetition_coverage, op7_odd_sketch_near_dup, op8_license_rules)}
 ORACLES = {"op1_preference_pairs": preference.oracle(), "op8_license_rules": license_scan.oracle()}
