@@ -5,7 +5,7 @@ from __future__ import annotations
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from deltahop.llm import license_scan, near_dup, preference, quality_rules, repetition, suffix_dedup, token_table
+from deltahop.llm import katz, license_scan, near_dup, preference, quality_rules, repetition, suffix_dedup, token_table
 
 
 def table(spark: SparkSession, sf_dir: str, name: str) -> DataFrame:
@@ -43,5 +43,9 @@ def op8_license_rules(spark: SparkSession, sf_dir: str) -> DataFrame:
     return license_scan.scan_licenses(table(spark, sf_dir, "documents"))
 
 
-QUERIES = {f.__name__: f for f in (op1_preference_pairs, op3_token_tables, op4_rule_ensemble, op5_repetition_coverage, op6_suffix_dedup, op7_odd_sketch_near_dup, op8_license_rules)}
+def op10_katz_backoff(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return katz.score_documents(table(spark, sf_dir, "documents"))
+
+
+QUERIES = {f.__name__: f for f in (op1_preference_pairs, op3_token_tables, op4_rule_ensemble, op5_repetition_coverage, op6_suffix_dedup, op7_odd_sketch_near_dup, op8_license_rules, op10_katz_backoff)}
 ORACLES = {"op1_preference_pairs": preference.oracle(), "op8_license_rules": license_scan.oracle()}
