@@ -2,7 +2,8 @@
 
 P_k(w | u) is d(c) c(u w) / c(u) for an n-gram seen in training and alpha(u) P_{k-1}(w | u') otherwise, down to the discounted
 unigrams, whose left mass belongs to the one class of unknown words. alpha(u) is exact: the mass that the discounts leave,
-over the lower-order mass of all words not seen after u, so every context's probabilities add up to one.
+over the lower-order mass of all words not seen after u, so every context's probabilities add up to one. Where none of a
+context's counts is discounted, one further occurrence is set aside for unseen words.
 
 Tables of counts are partitioned by a hash of the context and are built and asked in one exchange per order: a chunk of documents
 sends its distinct n-grams with their training counts, a bucket adds them up and answers with the corpus counts and, for each

@@ -19,7 +19,6 @@ gives a manifest without rows; other columns are ignored.
 from __future__ import annotations
 
 import bisect
-import re
 import struct
 import uuid
 import zlib
@@ -32,6 +31,7 @@ from pyspark import TaskContext
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
+from deltahop.llm import textnum as tn
 from deltahop.llm.workdir import fresh_path, stored
 
 MAGIC = b"DHSSTBL1"
@@ -237,33 +237,118 @@ class _Keys:
         return next(ShardReader._entries(self.raw, self.restarts[i], self.end))[0]
 
 
-class WordMemoEncoder:
-    """Byte-level encoder that asks the library once for each distinct space-led piece.
+class PieceEncoder:
+    """Byte-level encoder that asks the library once for each distinct piece of text, many documents at a time.
 
-    The library's pattern always starts a new token group at a space between two characters that aren't white space, so
-    encodings of the pieces between such places join to the encoding of the whole text. Where a space touches other white space
-    the text is cut only at places of the first kind. The memo is bounded and starts anew when full.
+    The library's pattern starts a new token group at every space between two characters that aren't white space, so the
+    encodings of the pieces between such places join to the encoding of the whole text. Pieces are told apart by 64-bit hashes.
+    New pieces are encoded joined to long strings and told apart by the byte lengths of their tokens; the first and the
+    last piece of a text, which other pieces could merge with, are encoded alone. The memo is bounded and starts anew when full.
     """
 
-    _TOUCHING = re.compile(r"\s | \s|\x00")
-    _CUT = re.compile(r"(?<=\S)(?= \S)")
+    def __init__(self, tokenizer, width: int, memo_size: int = 3_000_000, joined: int = 1 << 14):
+        self.tokenizer, self.memo_size, self.joined = tokenizer, memo_size, joined
+        self.kind = np.dtype(f"<u{width}")
+        vocabulary = tokenizer.get_vocab(with_added_tokens=True)
+        self.token_bytes = np.zeros(max(vocabulary.values()) + 1, np.int64)
+        for token, i in vocabulary.items():
+            self.token_bytes[i] = len(token)
+        self._clear()
 
-    def __init__(self, tokenizer, width: int, memo_size: int = 400_000):
-        self.tokenizer, self.width, self.memo_size = tokenizer, width, memo_size
-        self.memo: dict[str, bytes] = {}
+    def _clear(self) -> None:
+        self.known = np.empty(0, tn.U)
+        self.at, self.size = np.empty(0, np.int64), np.empty(0, np.int64)
+        self.ids, self.used = np.empty(1 << 16, self.kind), 0
 
-    def __call__(self, text: str) -> bytes:
-        pieces = self._CUT.split(text) if self._TOUCHING.search(text) else text.replace(" ", "\x00 ").split("\x00")
-        memo = self.memo
-        try:
-            return b"".join([memo[p] for p in pieces])
-        except KeyError:
-            if len(memo) > self.memo_size:
-                memo.clear()
-            new = [p for p in {*pieces} if p not in memo]
-            for p, e in zip(new, self.tokenizer.encode_batch_fast(new, add_special_tokens=False), strict=True):
-                memo[p] = np.array(e.ids, f"<u{self.width}").tobytes()
-            return b"".join([memo[p] for p in pieces])
+    @staticmethod
+    def pieces(data: np.ndarray, offsets: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
+        """(starts, alone): first byte of every piece, and which pieces stand at an end of their text."""
+        n = len(data)
+        pad = np.concatenate([np.zeros(3, np.uint8), data, np.zeros(3, np.uint8)])
+        space = np.flatnonzero(data == 32) + 3
+        # white space beyond ASCII: two bytes C2 85 and C2 A0, three bytes led by E1, E2 or E3 (no cut near any of those leads)
+        b1, b2, b3 = pad[space - 1], pad[space - 2], pad[space - 3]
+        a1, a2 = pad[space + 1], pad[space + 2]
+        wide = (np.uint8(0xE1), np.uint8(0xE3))
+        before = _WHITE[b1] | ((b2 == 0xC2) & ((b1 == 0x85) | (b1 == 0xA0))) | ((b1 >= 0x80) & (b2 >= 0x80) & (b3 >= wide[0]) & (b3 <= wide[1]))
+        after = _WHITE[a1] | ((a1 == 0xC2) & ((a2 == 0x85) | (a2 == 0xA0))) | ((a1 >= wide[0]) & (a1 <= wide[1]))
+        cut = np.zeros(n + 1, bool)
+        cut[space[~before & ~after] - 3] = True
+        cut[offsets] = True
+        edge = np.zeros(n + 1, bool)
+        edge[offsets] = True
+        start = np.flatnonzero(cut[:-1])
+        end = np.append(start[1:], n)[: len(start)]
+        return start, edge[start] | edge[end]
+
+    def __call__(self, data: np.ndarray, offsets: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
+        """(ids, bounds): the ids of document k are ids[bounds[k]:bounds[k+1]]."""
+        if not len(data):
+            return np.empty(0, self.kind), np.zeros(len(offsets), np.int64)
+        if len(self.known) > self.memo_size:
+            self._clear()
+        start, alone = self.pieces(data, offsets)
+        end = np.append(start[1:], len(data))
+        distinct, sample, place = np.unique(tn.span_hash(data, start, end), return_index=True, return_inverse=True)
+        spot = np.searchsorted(self.known, distinct)
+        hit = spot < len(self.known)
+        hit[hit] = self.known[spot[hit]] == distinct[hit]
+        new = np.flatnonzero(~hit)
+        if len(new):
+            self._learn(data, distinct[new], start[sample[new]], end[sample[new]], alone[sample[new]], spot[new])
+            spot = np.searchsorted(self.known, distinct)
+        at, size = self.at[spot][place], self.size[spot][place]
+        before = np.concatenate([[0], np.cumsum(size)])
+        ids = self.ids[np.repeat(at - before[:-1], size) + np.arange(before[-1])]
+        return ids, before[np.searchsorted(start, offsets)]
+
+    def _learn(self, data, name, start, end, alone, spot) -> None:
+        ask, groups = [], []
+        for k in np.flatnonzero(alone):
+            ask.append(data[start[k] : end[k]].tobytes())
+            groups.append(np.array([k]))
+        inner = np.flatnonzero(~alone)
+        size = (end - start)[inner]
+        run = np.repeat(start[inner] - np.concatenate([[0], np.cumsum(size)[:-1]]), size) + np.arange(size.sum()) if len(inner) else np.empty(0, np.int64)
+        flat, ends = data[run], np.cumsum(size)
+        low = 0
+        while low < len(inner):
+            begin = int(ends[low] - size[low])
+            high = max(low + 1, int(np.searchsorted(ends, begin + self.joined)))
+            ask.append(flat[begin : ends[high - 1]].tobytes())
+            groups.append(inner[low:high])
+            low = high
+        counts, order, found = [], [], []
+        for raw, group, encoding in zip(ask, groups, self.tokenizer.encode_batch_fast([r.decode() for r in ask], add_special_tokens=False), strict=True):
+            ids = np.array(encoding.ids, self.kind)
+            if len(group) == 1:
+                counts.append(np.array([len(ids)]))
+            else:
+                reached = np.cumsum(self.token_bytes[ids])
+                bounds = np.searchsorted(reached, np.cumsum((end - start)[group]), side="right")
+                counts.append(np.diff(np.concatenate([[0], bounds])))
+            order.append(group)
+            found.append(ids)
+        order, counts, found = np.concatenate(order), np.concatenate(counts), np.concatenate(found)
+        while self.used + len(found) > len(self.ids):
+            self.ids = np.concatenate([self.ids, np.empty(len(self.ids), self.kind)])
+        self.ids[self.used : self.used + len(found)] = found
+        at, size = np.empty(len(name), np.int64), np.empty(len(name), np.int64)
+        at[order], size[order] = self.used + np.cumsum(counts) - counts, counts
+        self.used += len(found)
+        self.known, self.at, self.size = np.insert(self.known, spot, name), np.insert(self.at, spot, at), np.insert(self.size, spot, size)
+
+
+_WHITE = np.zeros(256, bool)
+_WHITE[[0x20, *range(0x09, 0x0E), *range(0x1C, 0x20)]] = True
+_ENCODERS: dict[tuple[str, int], PieceEncoder] = {}
+
+
+def piece_encoder(name: str, width: int) -> PieceEncoder:
+    """The encoder of this Python worker, whose memo outlives a task."""
+    if (name, width) not in _ENCODERS:
+        _ENCODERS[name, width] = PieceEncoder(load_tokenizer(name), width)
+    return _ENCODERS[name, width]
 
 
 def load_tokenizer(name: str):
@@ -284,7 +369,7 @@ def _open(uri: str) -> tuple[pafs.FileSystem, str]:
 MANIFEST = "path string, first_id bigint, first_text_hash bigint, part int, seq int, n_docs bigint, n_tokens bigint"
 
 
-def write_token_tables(docs: DataFrame, path: str | None = None, tokenizer: str = "byte_bpe_50k.json", end_id: int | None = 2, shard_bytes: int = 256 << 20) -> DataFrame:
+def write_token_tables(docs: DataFrame, path: str | None = None, tokenizer: str = "byte_bpe_50k.json", end_id: int | None = 2, shard_bytes: int = 256 << 20, slab_bytes: int = 4 << 20) -> DataFrame:
     """Encode and write shards in ascending doc_id order; returns the manifest, one row a shard file."""
     spark = docs.sparkSession
     path = path or fresh_path(spark, "token-table")
@@ -296,7 +381,7 @@ def write_token_tables(docs: DataFrame, path: str | None = None, tokenizer: str
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         filesystem, root = _open(path)
-        encode = WordMemoEncoder(load_tokenizer(tokenizer), width)
+        encode = piece_encoder(tokenizer, width)
         part, seq, writer, made = TaskContext.get().partitionId(), 0, None, []
 
         def finish() -> None:
@@ -305,16 +390,21 @@ def write_token_tables(docs: DataFrame, path: str | None = None, tokenizer: str
             made.append((f"{path}/{name}", *head, part, seq, writer.docs, writer.tokens))
 
         for batch in batches:
-            for doc_id, text, tie in zip(batch.column(0).to_pylist(), batch.column(1), batch.column(2), strict=True):
-                if writer is None:
-                    if seq == 0:
-                        filesystem.create_dir(root, recursive=True)
-                    name, head = f"{part:06d}-{seq:04d}-{uuid.uuid4().hex[:8]}.sst", (doc_id, tie.as_py())
-                    writer = ShardWriter(filesystem.open_output_stream(f"{root}/{name}"), width)
-                writer.add(encode_key(doc_id), encode(text.as_py()) + end)
-                if writer.at >= shard_bytes:
-                    finish()
-                    seq, writer = seq + 1, None
+            data, offsets = tn.utf8_buffers(batch.column(1))
+            for low, high in tn.slabs(offsets, slab_bytes):
+                cut = offsets[low : high + 1]
+                ids, bounds = encode(data[cut[0] : cut[-1]], cut - cut[0])
+                docs_of = batch.slice(low, high - low)
+                for k, (doc_id, tie) in enumerate(zip(docs_of.column(0).to_pylist(), docs_of.column(2).to_pylist(), strict=True)):
+                    if writer is None:
+                        if seq == 0:
+                            filesystem.create_dir(root, recursive=True)
+                        name, head = f"{part:06d}-{seq:04d}-{uuid.uuid4().hex[:8]}.sst", (doc_id, tie)
+                        writer = ShardWriter(filesystem.open_output_stream(f"{root}/{name}"), width)
+                    writer.add(encode_key(doc_id), ids[bounds[k] : bounds[k + 1]].tobytes() + end)
+                    if writer.at >= shard_bytes:
+                        finish()
+                        seq, writer = seq + 1, None
         if writer is not None:
             finish()
         if made:

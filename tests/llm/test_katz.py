@@ -29,12 +29,15 @@ def brute(rows, order):
         for g, c in counts[n].items():
             seen[g[:-1]].append((g[-1], c))
     left = 1 - sum(c * ratio(1, c) for c in counts[1].values()) / total
+    whole = total
+    if left < 1e-12:  # nothing is discounted: one occurrence is set aside
+        whole, left = total + 1, 1 / (total + 1)
 
     def p(context, word):
         n = len(context) + 1
         if n == 1:
             c = counts[1][(word,)]
-            return c * ratio(1, c) / total if c else left
+            return c * ratio(1, c) / whole if c else left
         after = seen.get(context)
         low = p(context[1:], word)
         if not after:

@@ -13,11 +13,17 @@ from deltahop.llm import token_table as tt
 TOKENIZER = tt.load_tokenizer("byte_bpe_50k.json")
 
 
-@settings(max_examples=200, deadline=None)
-@given(st.text(alphabet=st.sampled_from(list("aZ é\n\t漢'1#  \x00  ")), max_size=40))
-def test_memo_encoding_equals_whole_text_encoding(text):
-    encode = tt.WordMemoEncoder(TOKENIZER, 2)
-    assert np.frombuffer(encode(text), "<u2").tolist() == TOKENIZER.encode(text, add_special_tokens=False).ids
+ENCODE = tt.PieceEncoder(TOKENIZER, 2, memo_size=3000, joined=50)
+
+
+@settings(max_examples=300, deadline=None)
+@given(st.lists(st.text(alphabet=st.sampled_from(list("aZ é\n\t漢'1#  \x00\x1c\x85\u00a0\u3000\u2003 à")), max_size=30), max_size=6))
+def test_piece_encoding_equals_whole_text_encoding(texts):
+    raw = [t.encode() for t in texts]
+    offsets = np.concatenate([[0], np.cumsum([len(r) for r in raw])]).astype(np.int64)
+    ids, bounds = ENCODE(np.frombuffer(b"".join(raw), np.uint8), offsets)
+    for k, text in enumerate(texts):
+        assert ids[bounds[k] : bounds[k + 1]].tolist() == TOKENIZER.encode(text, add_special_tokens=False).ids
 
 
 def test_round_trip_in_order(spark, odd_docs):
