@@ -5,7 +5,7 @@ from __future__ import annotations
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from deltahop.llm import katz, license_scan, near_dup, preference, quality_rules, repetition, suffix_dedup, token_table
+from deltahop.llm import decontaminate, katz, license_scan, near_dup, preference, quality_rules, repetition, suffix_dedup, token_table
 
 
 def table(spark: SparkSession, sf_dir: str, name: str) -> DataFrame:
@@ -16,6 +16,10 @@ def op1_preference_pairs(spark: SparkSession, sf_dir: str) -> DataFrame:
     return preference.preference_digest(table(spark, sf_dir, "conversations"))
 
 
+def op2_template_decontamination(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return decontaminate.leaks(table(spark, sf_dir, "documents"), table(spark, sf_dir, "benchmark"))
+
+
 def op3_token_tables(spark: SparkSession, sf_dir: str) -> DataFrame:
     return token_table.read_token_tables(token_table.write_token_tables(table(spark, sf_dir, "documents")))
 
@@ -47,5 +51,5 @@ def op10_katz_backoff(spark: SparkSession, sf_dir: str) -> DataFrame:
     return katz.score_documents(table(spark, sf_dir, "documents"))
 
 
-QUERIES = {f.__name__: f for f in (op1_preference_pairs, op3_token_tables, op4_rule_ensemble, op5_repetition_coverage, op6_suffix_dedup, op7_odd_sketch_near_dup, op8_license_rules, op10_katz_backoff)}
+QUERIES = {f.__name__: f for f in (op1_preference_pairs, op2_template_decontamination, op3_token_tables, op4_rule_ensemble, op5_repetition_coverage, op6_suffix_dedup, op7_odd_sketch_near_dup, op8_license_rules, op10_katz_backoff)}
 ORACLES = {"op1_preference_pairs": preference.oracle(), "op8_license_rules": license_scan.oracle()}
