@@ -5,7 +5,7 @@ from __future__ import annotations
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from deltahop.llm import decontaminate, katz, license_scan, near_dup, preference, quality_rules, repetition, suffix_dedup, token_table
+from deltahop.llm import decontaminate, katz, license_scan, near_dup, preference, quality_rules, repetition, sentence_pieces, suffix_dedup, token_table
 
 
 def table(spark: SparkSession, sf_dir: str, name: str) -> DataFrame:
@@ -47,9 +47,19 @@ def op8_license_rules(spark: SparkSession, sf_dir: str) -> DataFrame:
     return license_scan.scan_licenses(table(spark, sf_dir, "documents"))
 
 
+def op9_suffix_array_pieces(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return sentence_pieces.encode_documents(table(spark, sf_dir, "documents"))
+
+
 def op10_katz_backoff(spark: SparkSession, sf_dir: str) -> DataFrame:
     return katz.score_documents(table(spark, sf_dir, "documents"))
 
 
-QUERIES = {f.__name__: f for f in (op1_preference_pairs, op2_template_decontamination, op3_token_tables, op4_rule_ensemble, op5_repetition_coverage, op6_suffix_dedup, op7_odd_sketch_near_dup, op8_license_rules, op10_katz_backoff)}
+def pipeline(spark: SparkSession, sf_dir: str) -> DataFrame:
+    import corpus_pipeline
+
+    return corpus_pipeline.run(spark, sf_dir)
+
+
+QUERIES = {f.__name__: f for f in (op1_preference_pairs, op2_template_decontamination, op3_token_tables, op4_rule_ensemble, op5_repetition_coverage, op6_suffix_dedup, op7_odd_sketch_near_dup, op8_license_rules, op9_suffix_array_pieces, op10_katz_backoff, pipeline)}
 ORACLES = {"op1_preference_pairs": preference.oracle(), "op8_license_rules": license_scan.oracle()}

@@ -237,22 +237,15 @@ class _Keys:
         return next(ShardReader._entries(self.raw, self.restarts[i], self.end))[0]
 
 
-class PieceEncoder:
-    """Byte-level encoder that asks the library once for each distinct piece of text, many documents at a time.
+class MemoEncoder:
+    """Encodes texts as the joined encodings of their pieces, each distinct piece once.
 
-    The library's pattern starts a new token group at every space between two characters that aren't white space, so the
-    encodings of the pieces between such places join to the encoding of the whole text. Pieces are told apart by 64-bit hashes.
-    New pieces are encoded joined to long strings and told apart by the byte lengths of their tokens; the first and the
-    last piece of a text, which other pieces could merge with, are encoded alone. The memo is bounded and starts anew when full.
+    `pieces` cuts texts and `encode_new` encodes cut-out byte ranges. Pieces are told apart by 64-bit hashes; the memo is bounded
+    and starts anew when full.
     """
 
-    def __init__(self, tokenizer, width: int, memo_size: int = 3_000_000, joined: int = 1 << 14):
-        self.tokenizer, self.memo_size, self.joined = tokenizer, memo_size, joined
-        self.kind = np.dtype(f"<u{width}")
-        vocabulary = tokenizer.get_vocab(with_added_tokens=True)
-        self.token_bytes = np.zeros(max(vocabulary.values()) + 1, np.int64)
-        for token, i in vocabulary.items():
-            self.token_bytes[i] = len(token)
+    def __init__(self, width: int, memo_size: int):
+        self.kind, self.memo_size = np.dtype(f"<u{width}"), memo_size
         self._clear()
 
     def _clear(self) -> None:
@@ -260,26 +253,13 @@ class PieceEncoder:
         self.at, self.size = np.empty(0, np.int64), np.empty(0, np.int64)
         self.ids, self.used = np.empty(1 << 16, self.kind), 0
 
-    @staticmethod
-    def pieces(data: np.ndarray, offsets: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
+    def pieces(self, data: np.ndarray, offsets: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
         """(starts, alone): first byte of every piece, and which pieces stand at an end of their text."""
-        n = len(data)
-        pad = np.concatenate([np.zeros(3, np.uint8), data, np.zeros(3, np.uint8)])
-        space = np.flatnonzero(data == 32) + 3
-        # white space beyond ASCII: two bytes C2 85 and C2 A0, three bytes led by E1, E2 or E3 (no cut near any of those leads)
-        b1, b2, b3 = pad[space - 1], pad[space - 2], pad[space - 3]
-        a1, a2 = pad[space + 1], pad[space + 2]
-        wide = (np.uint8(0xE1), np.uint8(0xE3))
-        before = _WHITE[b1] | ((b2 == 0xC2) & ((b1 == 0x85) | (b1 == 0xA0))) | ((b1 >= 0x80) & (b2 >= 0x80) & (b3 >= wide[0]) & (b3 <= wide[1]))
-        after = _WHITE[a1] | ((a1 == 0xC2) & ((a2 == 0x85) | (a2 == 0xA0))) | ((a1 >= wide[0]) & (a1 <= wide[1]))
-        cut = np.zeros(n + 1, bool)
-        cut[space[~before & ~after] - 3] = True
-        cut[offsets] = True
-        edge = np.zeros(n + 1, bool)
-        edge[offsets] = True
-        start = np.flatnonzero(cut[:-1])
-        end = np.append(start[1:], n)[: len(start)]
-        return start, edge[start] | edge[end]
+        raise NotImplementedError
+
+    def encode_new(self, data, start, end, alone) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
+        """(order, counts, ids): ids of the pieces one after another in some order, and how many each has."""
+        raise NotImplementedError
 
     def __call__(self, data: np.ndarray, offsets: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
         """(ids, bounds): the ids of document k are ids[bounds[k]:bounds[k+1]]."""
@@ -295,14 +275,60 @@ class PieceEncoder:
         hit[hit] = self.known[spot[hit]] == distinct[hit]
         new = np.flatnonzero(~hit)
         if len(new):
-            self._learn(data, distinct[new], start[sample[new]], end[sample[new]], alone[sample[new]], spot[new])
+            order, counts, found = self.encode_new(data, start[sample[new]], end[sample[new]], alone[sample[new]])
+            self._remember(distinct[new], spot[new], order, counts, found)
             spot = np.searchsorted(self.known, distinct)
         at, size = self.at[spot][place], self.size[spot][place]
         before = np.concatenate([[0], np.cumsum(size)])
         ids = self.ids[np.repeat(at - before[:-1], size) + np.arange(before[-1])]
         return ids, before[np.searchsorted(start, offsets)]
 
-    def _learn(self, data, name, start, end, alone, spot) -> None:
+    def _remember(self, name, spot, order, counts, found) -> None:
+        while self.used + len(found) > len(self.ids):
+            self.ids = np.concatenate([self.ids, np.empty(len(self.ids), self.kind)])
+        self.ids[self.used : self.used + len(found)] = found
+        at, size = np.empty(len(name), np.int64), np.empty(len(name), np.int64)
+        at[order], size[order] = self.used + np.cumsum(counts) - counts, counts
+        self.used += len(found)
+        self.known, self.at, self.size = np.insert(self.known, spot, name), np.insert(self.at, spot, at), np.insert(self.size, spot, size)
+
+
+class PieceEncoder(MemoEncoder):
+    """Byte-level encoder that asks the library once for each distinct piece of text, many documents at a time.
+
+    The library's pattern starts a new token group at every space between two characters that aren't white space, so the
+    encodings of the pieces between such places join to the encoding of the whole text. New pieces are encoded joined to long strings and told apart by the byte lengths of their tokens; the first and the
+    last piece of a text, which other pieces could merge with, are encoded alone.
+    """
+
+    def __init__(self, tokenizer, width: int, memo_size: int = 3_000_000, joined: int = 1 << 14):
+        super().__init__(width, memo_size)
+        self.tokenizer, self.joined = tokenizer, joined
+        vocabulary = tokenizer.get_vocab(with_added_tokens=True)
+        self.token_bytes = np.zeros(max(vocabulary.values()) + 1, np.int64)
+        for token, i in vocabulary.items():
+            self.token_bytes[i] = len(token)
+
+    def pieces(self, data: np.ndarray, offsets: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
+        n = len(data)
+        pad = np.concatenate([np.zeros(3, np.uint8), data, np.zeros(3, np.uint8)])
+        space = np.flatnonzero(data == 32) + 3
+        # white space beyond ASCII: two bytes C2 85 and C2 A0, three bytes led by E1, E2 or E3 (no cut near any of those leads)
+        b1, b2, b3 = pad[space - 1], pad[space - 2], pad[space - 3]
+        a1, a2 = pad[space + 1], pad[space + 2]
+        wide = (np.uint8(0xE1), np.uint8(0xE3))
+        before = _WHITE[b1] | ((b2 == 0xC2) & ((b1 == 0x85) | (b1 == 0xA0))) | ((b1 >= 0x80) & (b2 >= 0x80) & (b3 >= wide[0]) & (b3 <= wide[1]))
+        after = _WHITE[a1] | ((a1 == 0xC2) & ((a2 == 0x85) | (a2 == 0xA0))) | ((a1 >= wide[0]) & (a1 <= wide[1]))
+        cut = np.zeros(n + 1, bool)
+        cut[space[~before & ~after] - 3] = True
+        cut[offsets] = True
+        edge = np.zeros(n + 1, bool)
+        edge[offsets] = True
+        start = np.flatnonzero(cut[:-1])
+        end = np.append(start[1:], n)[: len(start)]
+        return start, edge[start] | edge[end]
+
+    def encode_new(self, data, start, end, alone) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
         ask, groups = [], []
         for k in np.flatnonzero(alone):
             ask.append(data[start[k] : end[k]].tobytes())
@@ -329,14 +355,7 @@ class PieceEncoder:
                 counts.append(np.diff(np.concatenate([[0], bounds])))
             order.append(group)
             found.append(ids)
-        order, counts, found = np.concatenate(order), np.concatenate(counts), np.concatenate(found)
-        while self.used + len(found) > len(self.ids):
-            self.ids = np.concatenate([self.ids, np.empty(len(self.ids), self.kind)])
-        self.ids[self.used : self.used + len(found)] = found
-        at, size = np.empty(len(name), np.int64), np.empty(len(name), np.int64)
-        at[order], size[order] = self.used + np.cumsum(counts) - counts, counts
-        self.used += len(found)
-        self.known, self.at, self.size = np.insert(self.known, spot, name), np.insert(self.at, spot, at), np.insert(self.size, spot, size)
+        return np.concatenate(order), np.concatenate(counts), np.concatenate(found)
 
 
 _WHITE = np.zeros(256, bool)
