@@ -41,10 +41,11 @@ LAST = np.iinfo(np.int64).max
 class SuffixConfig:
     length: int = 50
     gram: int = 16
-    chunk_bytes: int = 8 << 20
+    chunk_bytes: int = 6 << 20
     bucket_bytes: int = 8 << 20
-    slab_bytes: int = 1 << 20
-    hot_cells: int = 20000
+    slab_bytes: int = 768 << 10
+    hot_cells: int = 5000
+    sorted_at_once: int = 250_000  # suffixes
 
 
 # ---- suffix order and longest previous factors
@@ -107,19 +108,31 @@ def longest_previous_factor(data: np.ndarray) -> np.ndarray:
     return out
 
 
-def earlier_windows(data: np.ndarray, start: np.ndarray, doc: np.ndarray, length: int) -> np.ndarray:
-    """Which windows of `length` bytes also start in an earlier document, among suffixes that all have `length` bytes."""
+def _word(data: np.ndarray, start: np.ndarray, at: int, take: int) -> np.ndarray:
+    word = np.zeros(len(start), tn.U)
+    for k in range(at, at + take):
+        word <<= tn.U(8)
+        word |= data[start + k]
+    return word
+
+
+def earlier_windows(data: np.ndarray, start: np.ndarray, doc: np.ndarray, length: int, at_once: int = 1 << 30) -> np.ndarray:
+    """Which windows of `length` bytes also start in an earlier document, among suffixes that all have `length` bytes.
+
+    Suffixes that start with different bytes need no common order, so more than `at_once` are sorted part by part.
+    """
     n = len(start)
     if not n:
         return np.zeros(0, bool)
-    padded = np.concatenate([data, np.zeros(8, np.uint8)])
-    keys = []
-    for at in range(0, length, 8):
-        take = min(8, length - at)
-        word = np.zeros(n, tn.U)
-        for k in range(take):
-            word = (word << tn.U(8)) | padded[start + at + k].astype(tn.U)
-        keys.append(word)
+    if n > at_once:
+        parts = -(-n // at_once)
+        part = (tn.mix(_word(data, start, 0, min(8, length))) % tn.U(parts)).astype(np.uint32)
+        out = np.zeros(n, bool)
+        for p in range(parts):
+            pick = np.flatnonzero(part == p)
+            out[pick] = earlier_windows(data, start[pick], doc[pick], length)
+        return out
+    keys = [_word(data, start, at, min(8, length - at)) for at in range(0, length, 8)]
     order = np.lexsort((doc, *keys[::-1]))
     differs = np.zeros(n, bool)
     for word in keys:
@@ -140,7 +153,8 @@ def earlier_windows(data: np.ndarray, start: np.ndarray, doc: np.ndarray, length
 
 
 class Cells:
-    """Runs of windows that share an anchor: anchor and cell hashes, first window, number of windows, document row."""
+    """Runs of windows that share an anchor: anchor and cell hashes, first window, number of windows, document row,
+    and how far the anchor is behind the first window."""
 
     def __init__(self, data: np.ndarray, offsets: np.ndarray, config: SuffixConfig):
         found: list[tuple[np.ndarray, ...]] = []
@@ -151,11 +165,11 @@ class Cells:
                 part = np.clip(offsets[low : high + 1], at, stop)
                 got = _cells(data[at:stop], part - at, config)
                 if got is not None:
-                    anchor, cell, start, count = got
+                    anchor, cell, start, count, place = got
                     doc = np.searchsorted(offsets, start + at, side="right") - 1
-                    found.append((anchor, cell, start + at, count, doc))
-        kinds = (tn.U, tn.U, np.int64, np.int64, np.int64)
-        self.anchor, self.cell, self.start, self.count, self.doc = (np.concatenate(c) for c in zip(*found, strict=True)) if found else (np.empty(0, t) for t in kinds)
+                    found.append((anchor, cell, start + at, count, doc, place - start))
+        kinds = (tn.U, tn.U, np.int64, np.int64, np.int64, np.int64)
+        self.anchor, self.cell, self.start, self.count, self.doc, self.shift = (np.concatenate(c) for c in zip(*found, strict=True)) if found else (np.empty(0, t) for t in kinds)
 
     def __len__(self) -> int:
         return len(self.anchor)
@@ -215,7 +229,8 @@ def _cells(data: np.ndarray, offsets: np.ndarray, config: SuffixConfig):
     tail = np.append(head[1:], len(window)) - 1
     start, end, anchor_at = window[head], window[tail], anchor_at[head]
     cell = tn.combine(tn.combine(whole[start], whole[end]), ((end - start) << 8 | (anchor_at - start)).astype(tn.U))
-    return gram[anchor_at], cell >> tn.U(16), start, end - start + 1
+    # 48 bits of each name: anchors that clash are only compared with each other in vain
+    return gram[anchor_at] >> tn.U(16), cell >> tn.U(16), start, end - start + 1, anchor_at
 
 
 class Chunk:
@@ -252,7 +267,7 @@ class Chunk:
         out = []
         for b in np.flatnonzero(np.diff(at)):
             pick = order[at[b] : at[b + 1]]
-            out.append((int(b), 0, key, packed.pack_arrays(self.anchor[pick], *_six(self.one_cell[pick]), self.least[pick], self.most[pick] - self.least[pick], np.minimum(self.n_cells[pick], 65535).astype(np.uint16))))
+            out.append((int(b), 0, key, packed.pack_arrays(*_six(self.anchor[pick]), *_six(self.one_cell[pick]), self.least[pick], self.most[pick] - self.least[pick], np.minimum(self.n_cells[pick], 65535).astype(np.uint16))))
         return out
 
     def settle(self, answers: list[tuple[int, bytes]], buckets: int) -> None:
@@ -267,11 +282,11 @@ class Chunk:
             self.first[pick] -= before
 
     def segments(self) -> tuple[np.ndarray, ...]:
-        """(bucket hash, start, windows, id, cell) of the byte strings to compare, in a fixed order."""
+        """(bucket hash, start, windows, anchor's place, id, cell) of the byte strings to compare, in a fixed order."""
         kind = self.status[self.of_anchor]
         cells = np.flatnonzero(kind == 2)
         c, own = self.cells, self.first_cell[cells]
-        out = [(tn.mix(self.anchor[self.of_anchor[cells]]), c.start[own], c.count[own], self.first_id[cells], cells)]
+        out = [(tn.mix(self.anchor[self.of_anchor[cells]]), c.start[own], c.count[own], c.shift[own], self.first_id[cells], cells)]
         hot = np.flatnonzero(kind == 3)
         if len(hot):
             own = self.first_cell[hot]
@@ -279,18 +294,18 @@ class Chunk:
             start = np.concatenate([np.arange(s, s + n) for s, n in zip(c.start[own], c.count[own], strict=True)])
             pieces = self.data[start[:, None] + np.arange(self.config.length)]
             name = np.array([int.from_bytes(hashlib.blake2b(p.tobytes(), digest_size=8).digest(), "little") for p in pieces], tn.U)
-            out.append((name, start, np.ones(len(start), np.int64), self.first_id[cell], cell))
+            out.append((name, start, np.ones(len(start), np.int64), c.start[self.first_cell[cell]] + c.shift[self.first_cell[cell]] - start, self.first_id[cell], cell))
         return tuple(np.concatenate(x) for x in zip(*out, strict=True))
 
     def send(self, key: int, buckets: int) -> list[tuple[int, int, int, bytes]]:
-        name, start, count, ids, _ = self.segments()
+        name, start, count, shift, ids, _ = self.segments()
         order, at = packed.split_by_bucket(name % tn.U(buckets), buckets)
         out = []
         for b in np.flatnonzero(np.diff(at)):
             pick = order[at[b] : at[b + 1]]
             size = count[pick] + self.config.length - 1
             run = np.repeat(start[pick] - np.concatenate([[0], np.cumsum(size)[:-1]]), size) + np.arange(size.sum())
-            out.append((int(b), 0, key, packed.pack_arrays(count[pick].astype(np.uint8), ids[pick], self.data[run])))
+            out.append((int(b), 0, key, packed.pack_arrays(count[pick].astype(np.uint8), shift[pick].astype(np.uint8), ids[pick], self.data[run])))
         return out
 
     def removed(self, answers: list[tuple[int, bytes]], buckets: int) -> np.ndarray:
@@ -302,7 +317,7 @@ class Chunk:
         whole = np.where(settled, self.cell_id > self.first[anchor], self.cell_id > self.first_id[self.group])
         np.add.at(mark, c.start[whole], 1)
         np.add.at(mark, c.start[whole] + c.count[whole] - 1 + length, -1)
-        name, start, count, _, cell = self.segments()
+        name, start, count, _, _, cell = self.segments()
         if len(name):
             order, at = packed.split_by_bucket(name % tn.U(buckets), buckets)
             masks = np.zeros(len(name), tn.U)
@@ -335,8 +350,8 @@ def _six(values: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
 def _resolve(config: SuffixConfig):
     def answer(bucket: int, parts: list[tuple[int, int, bytes]]) -> list[tuple[int, int, int, bytes]]:
         got = [packed.unpack_arrays(raw) for _, _, raw in parts]
-        anchor, low, high, least, spread, cells = (np.concatenate(c) for c in zip(*got, strict=True))
-        cell = low.astype(tn.U) | high.astype(tn.U) << tn.U(32)
+        low, high, c_low, c_high, least, spread, cells = (np.concatenate(c) for c in zip(*got, strict=True))
+        anchor, cell = low.astype(tn.U) | high.astype(tn.U) << tn.U(32), c_low.astype(tn.U) | c_high.astype(tn.U) << tn.U(32)
         order = np.argsort(anchor, kind="stable")
         a, c, d = anchor[order], cell[order], least[order]
         head = np.flatnonzero(np.concatenate([[True], a[1:] != a[:-1]]))
@@ -353,22 +368,48 @@ def _resolve(config: SuffixConfig):
             pick = back[at : at + len(g[0])]
             at += len(pick)
             # a chunk without this anchor's first id learns how far before its own that is
-            out.append((origin, 1, bucket, packed.pack_arrays(status[pick], g[3] - first[pick])))
+            out.append((origin, 1, bucket, packed.pack_arrays(status[pick], g[4] - first[pick])))
         return out
 
     return answer
 
 
+def _can_match(data: np.ndarray, at: np.ndarray, size: np.ndarray, shift: np.ndarray, ids: np.ndarray, config: SuffixConfig) -> np.ndarray:
+    """Segments that can share a window with another document.
+
+    A window holds the anchor and length - gram more bytes, so at least half of these on one side of it: two segments with a
+    common window have an equal anchor with equally many bytes before it, or after it.
+    """
+    half = -(-(config.length - config.gram) // 2)
+    out = np.zeros(len(at), bool)
+    for begin, room in ((shift - half, shift >= half), (shift, size - shift >= config.gram + half)):
+        who = np.flatnonzero(room)
+        if not len(who):
+            continue
+        name = np.zeros(len(who), tn.U)
+        place = (at + begin)[who]
+        for k in range(config.gram + half):
+            name = (name + data[place + k].astype(tn.U) + tn.U(1)) * tn.U(0x9E3779B97F4A7C15)
+        name = tn.mix(name)
+        order = np.argsort(name)
+        head = np.flatnonzero(np.concatenate([[True], name[order][1:] != name[order][:-1]]))
+        doc = ids[who][order]
+        several = np.minimum.reduceat(doc, head) != np.maximum.reduceat(doc, head)
+        out[who[order]] |= np.repeat(several, np.diff(np.append(head, len(order))))
+    return out
+
+
 def _compare(config: SuffixConfig):
     def answer(bucket: int, parts: list[tuple[int, int, bytes]]) -> list[tuple[int, int, int, bytes]]:
         got = [packed.unpack_arrays(raw) for _, _, raw in parts]
-        count, ids, data = (np.concatenate(c) for c in zip(*got, strict=True))
+        count, shift, ids, data = (np.concatenate(c) for c in zip(*got, strict=True))
         count = count.astype(np.int64)
         size = count + config.length - 1
         seg_at = np.concatenate([[0], np.cumsum(size)[:-1]])
-        seg = np.repeat(np.arange(len(count)), count)
-        within = np.arange(len(seg)) - np.repeat(np.concatenate([[0], np.cumsum(count)[:-1]]), count)
-        hit = earlier_windows(data, seg_at[seg] + within, ids[seg], config.length)
+        live = np.flatnonzero(_can_match(data, seg_at, size, shift.astype(np.int64), ids, config))
+        seg = np.repeat(live, count[live])
+        within = np.arange(len(seg)) - np.repeat(np.concatenate([[0], np.cumsum(count[live])[:-1]]), count[live])
+        hit = earlier_windows(data, seg_at[seg] + within, ids[seg], config.length, config.sorted_at_once)
         masks = np.zeros(len(count), tn.U)
         np.bitwise_or.at(masks, seg[hit], tn.U(1) << within[hit].astype(tn.U))
         out, at = [], 0

@@ -2,6 +2,7 @@
 
 from __future__ import annotations
 
+import gc
 import tempfile
 import uuid
 
@@ -30,9 +31,16 @@ def stored(df: DataFrame, name: str, partition_by: list[str] | None = None) -> t
     if partition_by:
         writer = writer.partitionBy(*partition_by)
     writer.parquet(path)
+    release(spark)
     return spark.read.schema(df.schema).parquet(path), path
 
 
+def release(spark: SparkSession) -> None:
+    """Let Spark delete the shuffle files of finished steps now; it does so once their plans are collected on the driver."""
+    gc.collect()
+    spark._jvm.System.gc()
+
+
 def drop_path(spark: SparkSession, path: str) -> None:
     """Delete an intermediate table that no later step reads."""
     jvm = spark._jvm

@@ -78,7 +78,7 @@ def corpus(seed):
 @pytest.mark.parametrize("hot", [20000, 2])
 def test_removed_bytes_match_brute_force(spark, hot):
     rows = corpus(4)
-    config = SuffixConfig(chunk_bytes=3000, bucket_bytes=5000, slab_bytes=1000, hot_cells=hot)
+    config = SuffixConfig(chunk_bytes=3000, bucket_bytes=5000, slab_bytes=1000, hot_cells=hot, sorted_at_once=100)
     df = spark.createDataFrame(rows, "doc_id bigint, text string").repartition(3)
     got = sorted(((r.doc_id, r.n_bytes, r.n_removed, r.n_spans, r.kept_sha256) for r in suffix_dedup.remove_repeats(df, config).collect()), key=repr)
     assert got == brute(rows)
