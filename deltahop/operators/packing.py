@@ -56,9 +56,14 @@ def trim(sample: Sample, layer: int) -> Sample:
 
 def pack(sample: Sample) -> DataFrame:
     """One row a batch: batch_id and five arrays. Batches of this form must fit a task; larger ones stay relational."""
-    pos, nbr = positions(sample), neighbour_positions(sample)
+    pos = positions(sample)
     ids = pos.groupBy("batch_id").agg(F.array_sort(F.collect_list(F.struct("pos", "node_id"))).alias("v"))
     starts = group_starts(sample).groupBy("batch_id").agg(F.array_sort(F.collect_list(F.struct("delta_idx", "group_start"))).alias("g"))
+    if sample.nbrs is None:  # no hop: the targets alone
+        none = F.expr("cast(array() as array<bigint>)")
+        longs = lambda c: F.transform(c, lambda x: x.cast("bigint"))
+        return ids.join(starts, "batch_id").select("batch_id", longs(F.col("g.group_start")).alias("group_starts"), longs(F.col("v.node_id")).alias("vertex_ids"), *(none.alias(c) for c in ("nbr_starts", "nbr_ids", "input_rows")))
+    nbr = neighbour_positions(sample)
     offsets = neighbour_starts(sample).groupBy("batch_id").agg(F.array_sort(F.collect_list(F.struct("pos", "nbr_start"))).alias("o"))
     entries = nbr.groupBy("batch_id").agg(F.array_sort(F.collect_list(F.struct("nbr_pos", "nbr_id", "repr_pos"))).alias("n"))
     out = ids.join(starts, "batch_id").join(offsets, "batch_id", "left").join(entries, "batch_id", "left")
