@@ -5,7 +5,7 @@ from __future__ import annotations
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from deltahop.llm.workdir import drop_path, stored
+from deltahop.llm.workdir import drop_path, release, stored
 
 
 def connected_components(links: DataFrame, most_rounds: int = 60) -> DataFrame:
@@ -27,5 +27,6 @@ def connected_components(links: DataFrame, most_rounds: int = 60) -> DataFrame:
         labels, path = step.select("node", "comp"), next_path
         if not moved:
             drop_path(links.sparkSession, edge_path)
+            release(links.sparkSession)
             return labels
     raise RuntimeError("labels still change after the most rounds allowed")

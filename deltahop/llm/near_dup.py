@@ -6,11 +6,14 @@ candidates far below the limit. What stays is confirmed on the full sets.
 
     1  texts with equal sets form a class; only one of each class goes on
     2  in every band bucket each class meets the smallest one; each class keeps the partner it shares most buckets with
-    3  confirmed links give components; buckets that still hold several components give all pairs across them
-    4  those are confirmed too, and components are joined
+    3  confirmed links give components; in buckets that still hold several components all pairs across them are looked at
+       through parity bitmaps of the full sets: the XOR of two has at most as many bits as the sets differ by, so a pair whose
+       count is too high is no link, without loss; bitmaps have two bits or more per shingle and fold to smaller ones
+    4  for a few rounds each class offers its closest partner of another component alone, which joins groups whose
+       members are linked without listing their pairs; then all pairs left are confirmed, and components are joined
 
 Step 3 looks at every candidate pair whose ends aren't connected already, so no link that joins components is lost, while the
-pairs within a connected group are never listed. With 32 bands of 4 samples a pair at similarity 0.8 shares no bucket
+pairs within a connected group are never listed. Large buckets are dealt out as pairs of blocks of bounded size. With 32 bands of 4 samples a pair at similarity 0.8 shares no bucket
 with probability 5e-8.
 
 Defined results: null, empty and wordless texts have an empty set and link with nothing; texts with fewer words than a shingle
@@ -30,7 +33,7 @@ from pyspark.sql import functions as F
 
 from deltahop.llm import textnum as tn
 from deltahop.llm.components import connected_components
-from deltahop.llm.workdir import stored
+from deltahop.llm.workdir import drop_path, stored
 
 
 @dataclass(frozen=True)
@@ -40,8 +43,10 @@ class NearDupConfig:
     bands: int = 32
     rows: int = 4
     sketch_bits: int = 256
-    slab_bytes: int = 2 << 20
+    slab_bytes: int = 1 << 20
     members: int = 200  # links confirmed by one task call
+    rounds: int = 2  # of closest partners
+    block: int = 3000  # members of a bucket compared by one task call
     seed: int = 5
 
     @property
@@ -130,6 +135,7 @@ def _each_slab(batches: Iterator[pa.RecordBatch], config: NearDupConfig):
             words = tn.Words(data[part[0] : part[-1]], part - part[0], lower=True)
             key, first = shingle_sets(words, config.shingle)
             yield batch, low, high, key, first
+    tn.give_back()
 
 
 def signatures(docs: DataFrame, config: NearDupConfig) -> DataFrame:
@@ -154,21 +160,105 @@ def signatures(docs: DataFrame, config: NearDupConfig) -> DataFrame:
     return docs.select(F.col("doc_id").cast("bigint").alias("doc_id"), F.col("text").cast("string").alias("text")).mapInArrow(run, "doc_id bigint, n_shingles bigint, node bigint, bands array<bigint>, sketch binary")
 
 
+def _texts_of(docs: DataFrame, wanted: DataFrame) -> DataFrame:
+    ids = wanted.select(F.col("doc_id").alias("_id")).distinct()
+    texts = docs.select(F.col("doc_id").cast("bigint").alias("doc_id"), F.col("text").cast("string").alias("text"))
+    return texts.join(ids, F.col("doc_id").eqNullSafe(F.col("_id")), "left_semi")
+
+
 def _sets(docs: DataFrame, wanted: DataFrame, config: NearDupConfig) -> DataFrame:
-    """(node, members) of the wanted nodes (node, doc_id): six bytes of every shingle hash, ascending."""
+    """(node, members, bits) of the wanted nodes (node, doc_id): six bytes of every shingle hash, ascending, and a bitmap."""
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for _, _, _, key, first in _each_slab(batches, config):
             node = set_identity(key, first)
             full = np.flatnonzero(np.diff(first))
             blobs = [(np.sort(key[first[k] : first[k + 1]] >> tn.U(16))).view(np.uint8).reshape(-1, 8)[:, :6].tobytes() for k in full]
-            yield pa.RecordBatch.from_arrays([pa.array(node[full]), pa.array(blobs, pa.binary())], names=["node", "members"])
+            bits = [parity_bitmap(key[first[k] : first[k + 1]]).tobytes() for k in full]
+            yield pa.RecordBatch.from_arrays([pa.array(node[full]), pa.array(blobs, pa.binary()), pa.array(bits, pa.binary())], names=["node", "members", "bits"])
+
+    made = _texts_of(docs, wanted).mapInArrow(run, "node bigint, members binary, bits binary")
+    return made.groupBy("node").agg(F.first("members").alias("members"), F.first("bits").alias("bits"))
+
+
+def parity_bitmap(key: np.ndarray) -> np.ndarray:
+    """Parity of the number of members at each of n places, n a power of two of at least two bits a member."""
+    n = max(64, 1 << int(2 * len(key) - 1).bit_length())
+    return np.packbits((np.bincount((key & tn.U(n - 1)).astype(np.int64), minlength=n) & 1).astype(np.uint8), bitorder="little")
+
+
+def _possible(bits: list[np.ndarray], size: np.ndarray, comp: np.ndarray, block: np.ndarray, one: int, two: int, percent: int) -> Iterator[tuple[np.ndarray, np.ndarray, np.ndarray]]:
+    """(i, j, distance) of pairs of different components, from blocks one and two, whose bitmaps leave the limit possible."""
+    width = np.array([len(b) for b in bits])
+    stack = {w: np.stack([bits[i] for i in np.flatnonzero(width == w)]) for w in np.unique(width)}
+    for w, x in stack.items():
+        ix = np.flatnonzero(width == w)
+        for v in (w, 2 * w):
+            if v not in stack:
+                continue
+            iy, y = np.flatnonzero(width == v), stack[v]
+            if v != w:
+                y = y[:, :w] ^ y[:, w:]
+            x8, y8 = np.ascontiguousarray(x).view(np.uint64), np.ascontiguousarray(y).view(np.uint64)
+            step = max(1, (4 << 20) // max(1, y8.size))
+            for low in range(0, len(ix), step):
+                i = ix[low : low + step]
+                odd = np.bitwise_count(x8[low : low + step, None, :] ^ y8[None]).sum(-1, dtype=np.int64)
+                fit = odd * (100 + percent) <= (size[i][:, None] + size[iy][None]) * (100 - percent)
+                fit &= comp[i][:, None] != comp[iy][None]
+                if v == w:
+                    fit &= i[:, None] < iy[None]
+                if one != two:
+                    fit &= block[i][:, None] != block[iy][None]
+                a, b = np.nonzero(fit)
+                if len(a):
+                    yield i[a], iy[b], odd[a, b] / (size[i[a]] + size[iy[b]])
+
+
+def across_components(placed: DataFrame, nodes: DataFrame, sets: DataFrame, config: NearDupConfig, closest: bool) -> DataFrame:
+    """Pairs (a, b) of different components that share a band bucket and whose full sets may reach the limit.
+
+    placed: (band, node, comp) of the buckets that hold several components. closest: only each node's closest partner.
+    """
+    blocks = placed.groupBy("band").agg(F.ceil(F.count("*") / config.block).cast("int").alias("n"))
+    member = placed.join(blocks, "band").withColumn("block", F.pmod(F.xxhash64("node"), F.col("n")).cast("int"))
+    pair = F.transform(F.sequence(F.lit(0), F.col("n") - 1), lambda k: F.struct(F.least(k, F.col("block")).alias("one"), F.greatest(k, F.col("block")).alias("two")))
+    dealt = member.withColumn("pair", F.explode(pair)).select("band", "pair.one", "pair.two", "block", "node", "comp")
+    full = dealt.join(nodes.select("node", "n_shingles", "bands"), "node").join(sets.select("node", "bits"), "node")
 
-    ids = wanted.select(F.col("doc_id").alias("_id")).distinct()
-    texts = docs.select(F.col("doc_id").cast("bigint").alias("doc_id"), F.col("text").cast("string").alias("text"))
-    chosen = texts.join(ids, F.col("doc_id").eqNullSafe(F.col("_id")), "left_semi")
-    made = chosen.mapInArrow(run, "node bigint, members binary")
-    return made.groupBy("node").agg(F.first("members").alias("members"))
+    def run(group: pa.Table) -> pa.Table:
+        node = group.column("node").to_numpy()
+        bits = [np.frombuffer(b, np.uint8) for b in group.column("bits").to_pylist()]
+        size, comp, block = (group.column(c).to_numpy() for c in ("n_shingles", "comp", "block"))
+        keys = np.stack([np.asarray(b) for b in group.column("bands").to_pylist()])
+        here = int(np.flatnonzero(keys[0] == group.column("band")[0].as_py())[0])
+        best, partner, kept = np.full(len(node), np.inf), np.full(len(node), -1), [(np.empty(0, np.int64),) * 2]
+        for i, j, far in _possible(bits, size, comp, block, group.column("one")[0].as_py(), group.column("two")[0].as_py(), config.percent):
+            # a pair counts in the first of its common buckets alone
+            own = (keys[i] == keys[j]).argmax(1) == here
+            i, j, far = i[own], j[own], far[own]
+            if not len(i):
+                continue
+            if not closest:
+                kept.append((i, j))
+                continue
+            for x, y in ((i, j), (j, i)):
+                order = np.lexsort((node[y], far, x))
+                x, y, d = x[order], y[order], far[order]
+                head = np.concatenate([[True], x[1:] != x[:-1]])
+                x, y, d = x[head], y[head], d[head]
+                closer = d < best[x]
+                best[x[closer]], partner[x[closer]] = d[closer], y[closer]
+        if closest:
+            i = np.flatnonzero(partner >= 0)
+            return pa.table({"a": node[i], "b": node[partner[i]], "far": best[i]})
+        i, j = (np.concatenate(c) for c in zip(*kept, strict=True))
+        return pa.table({"a": node[i], "b": node[j], "far": np.zeros(len(i))})
+
+    found = full.groupBy("band", "one", "two").applyInArrow(run, "a bigint, b bigint, far double")
+    if closest:
+        found = found.groupBy("a").agg(F.min_by("b", F.struct("far", "b")).alias("b"))
+    return found.select(F.least("a", "b").alias("a"), F.greatest("a", "b").alias("b")).distinct()
 
 
 def _unpack(blob: bytes) -> np.ndarray:
@@ -181,6 +271,7 @@ def confirm(pairs: DataFrame, sets: DataFrame, config: NearDupConfig) -> DataFra
     """The pairs (a, b) whose full sets reach the limit. Partners of one `a` are dealt out in groups of bounded size."""
     many = pairs.groupBy("a").agg(F.ceil(F.count("*") / config.members).cast("int").alias("parts"))
     spread = pairs.join(many, "a").select("a", "b", F.pmod(F.xxhash64("b"), F.col("parts")).cast("int").alias("part"))
+    sets = sets.select("node", "members")
     theirs = spread.join(sets.withColumnRenamed("node", "b"), "b").select("a", "part", "b", "members")
     own = many.select("a", F.explode(F.sequence(F.lit(0), F.col("parts") - 1)).alias("part")).join(sets.withColumnRenamed("node", "a"), "a")
     rows = theirs.unionByName(own.select("a", "part", F.lit(None).cast("bigint").alias("b"), "members"))
@@ -226,29 +317,44 @@ def near_duplicates(docs: DataFrame, config: NearDupConfig | None = None) -> Dat
         "near-nodes",
     )
     spread = nodes.select("node", F.explode("bands").alias("band"))
-    buckets, _ = stored(spread.groupBy("band").agg(F.min("node").alias("low"), F.max("node").alias("high")).where("low <> high").select("band", F.col("low").alias("a")), "near-buckets")
-    shared = spread.join(buckets, "band").select("band", "a", F.col("node").alias("b"))
-    shared, _ = stored(shared, "near-shared")
+    buckets, bucket_path = stored(spread.groupBy("band").agg(F.min("node").alias("low"), F.max("node").alias("high")).where("low <> high").select("band", F.col("low").alias("a")), "near-buckets")
+    shared, _ = stored(spread.join(buckets, "band").select("band", "a", F.col("node").alias("b")), "near-shared", free=True)
+    drop_path(docs.sparkSession, bucket_path)
 
     star = shared.where("a <> b").groupBy("a", "b").agg(F.count("*").alias("n"))
     star, _ = stored(_likely(star.select("a", "b", "n"), nodes, config).join(star, ["a", "b"]).groupBy("b").agg(F.max_by("a", F.struct("n", F.negative("a"))).alias("a")).select("a", "b"), "near-star")
     ends = lambda pairs: pairs.select(F.col("a").alias("node")).union(pairs.select(F.col("b").alias("node"))).distinct()
     sets = lambda pairs: _sets(docs, nodes.join(ends(pairs), "node", "left_semi").select("node", "doc_id"), config)
-    links, _ = stored(confirm(star, sets(star), config), "near-links")
+    links, _ = stored(confirm(star, sets(star), config), "near-links", free=True)
     comps = connected_components(links)
 
-    placed = shared.select("band", F.col("b").alias("node")).join(comps, "node", "left").select("band", "node", F.coalesce("comp", "node").alias("comp"))
-    mixed = placed.groupBy("band").agg(F.min("comp").alias("x"), F.max("comp").alias("y")).where("x <> y").select("band")
-    placed, _ = stored(placed.join(mixed, "band", "left_semi"), "near-placed")
-    left = placed.select("band", F.col("node").alias("a"), F.col("comp").alias("ca"))
-    right = placed.select("band", F.col("node").alias("b"), F.col("comp").alias("cb"))
-    across = left.join(right, (left.band == right.band) & (left.ca < right.cb)).select("a", "b").distinct()
-    done = star.select("a", "b").union(star.select(F.col("b").alias("a"), F.col("a").alias("b")))
-    rest, _ = stored(_likely(across.join(done, ["a", "b"], "left_anti"), nodes, config), "near-rest")
-    more, _ = stored(confirm(rest, sets(rest), config), "near-more")
-
-    links = links.unionByName(more)
-    comps = connected_components(links) if more.limit(1).count() else comps
+    members = shared.select("band", F.col("b").alias("node"))
+
+    def contested(comps: DataFrame) -> DataFrame:
+        placed = members.join(comps, "node", "left").select("band", "node", F.coalesce("comp", "node").alias("comp"))
+        mixed = placed.groupBy("band").agg(F.min("comp").alias("x"), F.max("comp").alias("y")).where("x <> y").select("band")
+        return stored(placed.join(mixed, "band", "left_semi"), "near-placed")
+
+    placed, placed_path = contested(comps)
+    done = star.select(F.least("a", "b").alias("a"), F.greatest("a", "b").alias("b"))
+    wanted = nodes.join(placed.select("node").distinct(), "node", "left_semi").select("node", "doc_id")
+    full_sets, sets_path = stored(_sets(docs, wanted, config), "near-sets", free=True)
+    turns, closest = 0, True
+    while True:
+        pairs, _ = stored(across_components(placed, nodes, full_sets, config, closest).join(done, ["a", "b"], "left_anti"), "near-pairs")
+        more, _ = stored(confirm(pairs, full_sets, config), "near-more", free=True)
+        links, done, turns = links.unionByName(more), done.unionByName(pairs), turns + 1
+        found = more.limit(1).count() > 0
+        if found:
+            comps = connected_components(links)
+        if not closest:
+            break
+        if found:
+            drop_path(docs.sparkSession, placed_path)
+            placed, placed_path = contested(comps)
+        closest = found and turns < config.rounds
+    for path in (placed_path, sets_path):
+        drop_path(docs.sparkSession, path)
     degree = links.select(F.col("a").alias("node")).union(links.select(F.col("b").alias("node"))).groupBy("node").agg(F.count("*").alias("n_links"))
     named = nodes.select("node", "doc_id").join(comps, "node", "left").select("node", "doc_id", F.coalesce("comp", "node").alias("comp"))
     least = named.groupBy("comp").agg(F.min("doc_id").alias("component_id"))

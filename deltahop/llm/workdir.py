@@ -4,6 +4,7 @@ from __future__ import annotations
 
 import gc
 import tempfile
+import time
 import uuid
 
 from pyspark.sql import DataFrame, SparkSession
@@ -23,22 +24,27 @@ def fresh_path(spark: SparkSession, name: str) -> str:
     return f"{shared_dir(spark)}/{name}-{uuid.uuid4().hex[:12]}"
 
 
-def stored(df: DataFrame, name: str, partition_by: list[str] | None = None) -> tuple[DataFrame, str]:
-    """Write a table to the shared folder and read it back: cuts lineage and survives lost executors."""
-    spark = df.sparkSession
+def stored(df: DataFrame, name: str, free: bool = False) -> tuple[DataFrame, str]:
+    """Write a table to the shared folder and read it back: cuts lineage and survives lost executors.
+
+    free: let Spark delete the shuffle files behind it before going on.
+    """
+    spark, schema = df.sparkSession, df.schema
     path = fresh_path(spark, name)
-    writer = df.write
-    if partition_by:
-        writer = writer.partitionBy(*partition_by)
-    writer.parquet(path)
-    release(spark)
-    return spark.read.schema(df.schema).parquet(path), path
+    df.write.parquet(path)
+    del df  # else the plan, and with it its shuffle files, would outlive the call below
+    if free:
+        release(spark)
+    return spark.read.schema(schema).parquet(path), path
 
 
 def release(spark: SparkSession) -> None:
-    """Let Spark delete the shuffle files of finished steps now; it does so once their plans are collected on the driver."""
-    gc.collect()
-    spark._jvm.System.gc()
+    """Let Spark delete the shuffle files of finished steps now. Plans are collected in one pass of the driver's collector and their
+    shuffles are let go in the next one."""
+    for _ in range(2):
+        gc.collect()
+        spark._jvm.System.gc()
+        time.sleep(0.3)
 
 
 def drop_path(spark: SparkSession, path: str) -> None:
