@@ -26,15 +26,16 @@ SYMBOLS[list(b"#*$%&|<>")] = True
 
 @dataclass(frozen=True)
 class RepetitionRules:
-    """Limits on shares of word characters; published values of common web-corpus filters."""
+    """Limits on shares of word characters. Those of the most frequent short n-grams are published values of common web-corpus
+    filters; duplicated n-grams may cover a fifth, as in the base rule, so that one repeated sentence of a short text is no fault."""
 
     top: dict[int, float] = field(default_factory=lambda: {2: 0.20, 3: 0.18, 4: 0.16})
-    duplicated: dict[int, float] = field(default_factory=lambda: {5: 0.15, 6: 0.14, 7: 0.13, 8: 0.12, 9: 0.11, 10: 0.10})
+    duplicated: dict[int, float] = field(default_factory=lambda: dict.fromkeys(range(5, 11), 0.20))
     line_chars: float = 0.20
     top_count: int = 3  # a most frequent n-gram that occurs less often is no repetition
     min_words: int = 10
     max_window_percent: int = 20
-    slab_bytes: int = 4 << 20
+    slab_bytes: int = 1 << 20
 
 
 BASE = [("doc_id", pa.int64()), ("n_words", pa.int64()), ("word_chars", pa.int64()), ("n_symbols", pa.int64()), ("n_dup_lines", pa.int64()), ("n_repeat_words", pa.int64()), ("base_failed", pa.bool_()), ("kept", pa.bool_()), ("line_coverage", pa.float64())]
