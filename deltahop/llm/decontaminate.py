@@ -40,7 +40,7 @@ class LeakRules:
     window: int = 8
     literals: int = 4  # literal tokens that a window needs to say anything
     coverage: float = 0.5  # share of an item's tokens inside matching windows
-    slab_bytes: int = 2 << 20
+    slab_bytes: int = 1 << 20
     block_bytes: int = 8 << 20
 
 
@@ -219,6 +219,7 @@ def without_leaks(docs: DataFrame, benchmark: DataFrame, rules: LeakRules | None
                     for d, *_, leaked in find_leaks(template, bench, rules):
                         keep[low + d] &= not leaked
                 yield batch.filter(pa.array(keep))
+            tn.give_back()
 
         docs = docs.mapInArrow(run, T.StructType(docs.schema.fields))
     return docs

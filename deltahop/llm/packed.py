@@ -15,6 +15,8 @@ from pyspark import TaskContext
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
+from deltahop.llm import textnum as tn
+
 DDL = "key bigint, kind int, origin bigint, payload binary"
 SCHEMA = pa.schema([("key", pa.int64()), ("kind", pa.int32()), ("origin", pa.int64()), ("payload", pa.binary())])
 _ZSTD = pa.ipc.IpcWriteOptions(compression="zstd")
@@ -91,6 +93,8 @@ def chunk_documents(docs: DataFrame, chunk_bytes: int, make: Callable[[pa.Record
                     seq, held, size = seq + 1, [], 0
         if held:
             yield emit()
+        held = []
+        tn.give_back()
 
     return docs.mapInArrow(run, DDL)
 
@@ -101,7 +105,9 @@ def exchange(sent: DataFrame, answer: Callable[[int, list[tuple[int, int, bytes]
     def run(group: pa.Table) -> pa.Table:
         key = group.column("key")[0].as_py()
         parts = sorted(zip(group.column("kind").to_pylist(), group.column("origin").to_pylist(), group.column("payload").to_pylist(), strict=True), key=lambda x: x[:2])
-        return pa.Table.from_batches([rows(answer(key, parts))])
+        out = pa.Table.from_batches([rows(answer(key, parts))])
+        tn.give_back()
+        return out
 
     return sent.groupBy("key").applyInArrow(run, DDL)
 

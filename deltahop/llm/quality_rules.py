@@ -69,7 +69,7 @@ def statistics(data: np.ndarray, offsets: np.ndarray) -> np.ndarray:
     return np.column_stack([col[name] for name in STATISTICS]).astype(np.float64) if n_docs else np.empty((0, len(STATISTICS)))
 
 
-def with_statistics(docs: DataFrame, slab_bytes: int = 4 << 20) -> DataFrame:
+def with_statistics(docs: DataFrame, slab_bytes: int = 1 << 20) -> DataFrame:
     """All columns of docs plus `stats`, a struct of the statistics."""
     schema = T.StructType([*docs.schema.fields, T.StructField("stats", T.StructType([T.StructField(s, T.DoubleType()) for s in STATISTICS]))])
 
@@ -80,6 +80,7 @@ def with_statistics(docs: DataFrame, slab_bytes: int = 4 << 20) -> DataFrame:
             matrix = np.concatenate(blocks) if blocks else np.empty((0, len(STATISTICS)))
             stats = pa.StructArray.from_arrays([pa.array(np.ascontiguousarray(matrix[:, k])) for k in range(len(STATISTICS))], names=STATISTICS)
             yield pa.RecordBatch.from_arrays([*batch.columns, stats], names=[*batch.schema.names, "stats"])
+        tn.give_back()
 
     return docs.mapInArrow(run, schema)
 

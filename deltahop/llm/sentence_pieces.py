@@ -312,7 +312,7 @@ def relax_scores(v: Vocabulary, data, start, end, edges, unknown_score: float =
 
 
 class SentencePieceEncoder(MemoEncoder):
-    def __init__(self, v: Vocabulary, relax=relax_merges, memo_size: int = 3_000_000, longest: int = 400):
+    def __init__(self, v: Vocabulary, relax=relax_merges, memo_size: int = 1_500_000, longest: int = 400):
         super().__init__(2 if v.unknown < 1 << 16 else 4, memo_size)
         self.v, self.matcher, self.relax, self.longest = v, Matcher(v), relax, longest
         self.by_bytes = {v.pieces[i]: int(i) for i in np.flatnonzero([len(p) > 0 for p in v.pieces])}
@@ -406,7 +406,7 @@ def _encoder(v: Vocabulary) -> SentencePieceEncoder:
     return _ENCODERS[key]
 
 
-def encode_documents(docs: DataFrame, model: str = "piece_bpe_32k.model", slab_bytes: int = 4 << 20, with_ids: bool = False) -> DataFrame:
+def encode_documents(docs: DataFrame, model: str = "piece_bpe_32k.model", slab_bytes: int = 2 << 20, with_ids: bool = False) -> DataFrame:
     """(doc_id, n_tokens, ids_crc32, round_trip[, ids]): encode whole texts, decode the ids and compare."""
     v = load_vocabulary(model)
     names = ["doc_id", "n_tokens", "ids_crc32", "round_trip"] + ["ids"] * with_ids
@@ -426,6 +426,7 @@ def encode_documents(docs: DataFrame, model: str = "piece_bpe_32k.model", slab_b
                 if with_ids:
                     cols.append(pa.ListArray.from_arrays(pa.array(bounds.astype(np.int32)), pa.array(ids.astype(np.int32))))
                 yield pa.RecordBatch.from_arrays(cols, names=names)
+            tn.give_back()
 
     ddl = "doc_id bigint, n_tokens bigint, ids_crc32 bigint, round_trip boolean" + ", ids array<int>" * with_ids
     return docs.select(F.col("doc_id").cast("bigint").alias("doc_id"), F.col("text").cast("string").alias("text")).mapInArrow(run, ddl)

@@ -6,6 +6,7 @@ so splitting UTF-8 bytes gives the same words as splitting code points. Hashes a
 
 from __future__ import annotations
 
+import ctypes
 from collections.abc import Iterator
 
 import numpy as np
@@ -23,6 +24,15 @@ _MIX_B = U(0x94D049BB133111EB)
 _POWERS: dict[str, np.ndarray] = {"p": np.ones(1, U), "q": np.ones(1, U)}
 
 
+def give_back() -> None:
+    """Return freed memory to the system: workers are reused by later tasks, and freed arrays would stay theirs."""
+    pa.default_memory_pool().release_unused()
+    try:
+        ctypes.CDLL("libc.so.6").malloc_trim(0)
+    except (OSError, AttributeError):  # another C library
+        pass
+
+
 def mix(x: np.ndarray) -> np.ndarray:
     """Bijective 64-bit finaliser."""
     x = x ^ (x >> U(30))

@@ -388,7 +388,7 @@ def _open(uri: str) -> tuple[pafs.FileSystem, str]:
 MANIFEST = "path string, first_id bigint, first_text_hash bigint, part int, seq int, n_docs bigint, n_tokens bigint"
 
 
-def write_token_tables(docs: DataFrame, path: str | None = None, tokenizer: str = "byte_bpe_50k.json", end_id: int | None = 2, shard_bytes: int = 256 << 20, slab_bytes: int = 4 << 20) -> DataFrame:
+def write_token_tables(docs: DataFrame, path: str | None = None, tokenizer: str = "byte_bpe_50k.json", end_id: int | None = 2, shard_bytes: int = 256 << 20, slab_bytes: int = 1 << 20) -> DataFrame:
     """Encode and write shards in ascending doc_id order; returns the manifest, one row a shard file."""
     spark = docs.sparkSession
     path = path or fresh_path(spark, "token-table")
