@@ -37,9 +37,9 @@ SUMMARY, SPLIT = 8, 9  # kinds of rows that the driver reads
 class KatzConfig:
     order: int = 2
     discounted: int = 5  # counts above it aren't discounted
-    chunk_bytes: int = 16 << 20
+    chunk_bytes: int = 8 << 20
     bucket_bytes: int = 8 << 20
-    slab_bytes: int = 2 << 20
+    slab_bytes: int = 1 << 20
 
 
 def held_out(doc_id: Column) -> Column:
@@ -346,7 +346,7 @@ def score_documents(docs: DataFrame, config: KatzConfig | None = None) -> DataFr
             for key, payload in zip(batch.column("key").to_pylist(), batch.column("payload"), strict=True):
                 yield packed.rows(Stream(payload.as_py(), buckets).ask_words(key))
 
-    answers, _ = stored(packed.exchange(chunks.mapInArrow(ask_words, packed.DDL), _count_words(config, buckets)), "katz-words")
+    answers, _ = stored(packed.exchange(chunks.mapInArrow(ask_words, packed.DDL), _count_words(config, buckets)), "katz-words", free=True)
     first = _summary(answers, config)
     known: list[Order] = []
     together = chunks.unionByName(answers.where("key >= 0"))
@@ -362,7 +362,7 @@ def score_documents(docs: DataFrame, config: KatzConfig | None = None) -> DataFr
     for k in range(2, config.order + 1):
         so_far = list(known)
         asked = packed.exchange(together, lambda key, parts, k=k, so_far=so_far: opened(parts, so_far).ask_grams(key, k, first, limit))
-        answers, _ = stored(packed.exchange(asked, _count_grams(config, k)), "katz-grams")
+        answers, _ = stored(packed.exchange(asked, _count_grams(config, k)), "katz-grams", free=True)
         known.append(_summary(answers, config))
         together = together.unionByName(answers.where("key >= 0"))
 
