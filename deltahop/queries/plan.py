@@ -39,7 +39,8 @@ def deferred_sql(plan, epoch=0, seed=3) -> str:
 query("plan_full_memory", f"SELECT CAST(0 AS INTEGER) AS set_idx, CAST(i AS INTEGER) AS src_part, CAST(j AS INTEGER) AS dst_part FROM range({P}) a(i), range({P}) b(j)")(lambda spark, sf_dir: policy.plan_full(P).buckets_df(spark))
 query("greedy_sets_lowest")(lambda spark, sf_dir: GREEDY.sets_df(spark))
 query("two_level_sets")(lambda spark, sf_dir: TWO.sets_df(spark))
-query("plan_physical_deferred")(lambda spark, sf_dir: policy.plan_greedy(P, C, assign="deferred", seed=3).buckets_df(spark))
+PHYSICAL = policy.plan_greedy(P, C, assign="deferred", seed=3)
+query("plan_physical_deferred", deferred_sql(PHYSICAL))(lambda spark, sf_dir: PHYSICAL.buckets_df(spark))
 query("plan_random_cover")(lambda spark, sf_dir: policy.plan_random_cover(P, L, C, 0, 3).sets_df(spark))
 query("assign_eager", eager_sql(GREEDY))(lambda spark, sf_dir: policy.assign_eager_df(GREEDY.sets_df(spark)))
 query("assign_deferred", deferred_sql(TWO))(lambda spark, sf_dir: policy.assign_deferred_df(TWO.sets_df(spark), 0, 3))
