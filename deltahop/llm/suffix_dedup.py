@@ -41,9 +41,9 @@ LAST = np.iinfo(np.int64).max
 class SuffixConfig:
     length: int = 50
     gram: int = 16
-    chunk_bytes: int = 6 << 20
+    chunk_bytes: int = 5 << 20
     bucket_bytes: int = 8 << 20
-    slab_bytes: int = 768 << 10
+    slab_bytes: int = 512 << 10
     hot_cells: int = 5000
     sorted_at_once: int = 250_000  # suffixes
 
@@ -324,7 +324,7 @@ class Chunk:
             for b, raw in answers:
                 (masks[order[at[b] : at[b + 1]]],) = packed.unpack_arrays(raw)
             # all windows of the distinct cells that have to go, then every occurrence in the cell's own first document
-            seg, bit = np.nonzero((masks[:, None] >> np.arange(64, dtype=tn.U)) & tn.U(1)) if len(masks) < 1 << 16 else _bits(masks)
+            seg, bit = _bits(masks)
             shift = start[seg] + bit - c.start[self.first_cell[cell[seg]]]
             by = np.argsort(cell[seg], kind="stable")
             owner, shift = cell[seg][by], shift[by]
@@ -437,14 +437,14 @@ def remove_repeats(docs: DataFrame, config: SuffixConfig | None = None, with_tex
             for key, payload in zip(batch.column("key").to_pylist(), batch.column("payload"), strict=True):
                 yield packed.rows(Chunk(payload.as_py(), config).requests(key, buckets))
 
-    first, _ = stored(packed.exchange(chunks.mapInArrow(request, packed.DDL), _resolve(config)), "suffix-anchors")
+    first, _ = stored(packed.exchange(chunks.mapInArrow(request, packed.DDL), _resolve(config)), "suffix-anchors", free=True)
 
     def opened(parts: list[tuple[int, int, bytes]]) -> Chunk:
         chunk = Chunk(next(raw for kind, _, raw in parts if kind == 0), config)
         chunk.settle([(origin, raw) for kind, origin, raw in parts if kind == 1], buckets)
         return chunk
 
-    second, _ = stored(packed.exchange(packed.exchange(chunks.unionByName(first), lambda key, parts: opened(parts).send(key, buckets)), _compare(config)), "suffix-windows")
+    second, _ = stored(packed.exchange(packed.exchange(chunks.unionByName(first), lambda key, parts: opened(parts).send(key, buckets)), _compare(config)), "suffix-windows", free=True)
     kept = [f for f in docs.schema.fields if f.name != "text"]
     out_fields = [*kept, *(T.StructField(n, t) for n, _, t in DIGEST)] + [T.StructField("kept_text", T.StringType())] * with_text
 
@@ -468,6 +468,8 @@ def remove_repeats(docs: DataFrame, config: SuffixConfig | None = None, with_tex
                 texts.append(raw.decode("utf-8", "ignore"))
         batch = chunk.batch
         cols = [batch.column(f.name) for f in kept] + [pa.array(np.diff(offsets)), pa.array(removed), pa.array(count(begins)), pa.array(digests, pa.string())] + [pa.array(texts, pa.string())] * with_text
+        del chunk, gone, data
+        tn.give_back()
         return pa.Table.from_arrays(cols, names=[f.name for f in out_fields])
 
     result = chunks.unionByName(first).unionByName(second).groupBy("key").applyInArrow(finish, T.StructType(out_fields))
