@@ -1,7 +1,11 @@
 """License scans: sentence-rule recognition with DataFrame functions only.
 
-Sentences are normalised and looked up among known licence sentences; the identifier sequence of a document is then
-matched against ordered licence rules. A wrapped line that goes on in lower case belongs to the sentence before it.
+Known licence sentences are found in the normalised text; the identifier sequence of a document is then matched against
+ordered licence rules. Line breaks, comment marks and the signs `;` and `:` may lie inside a known sentence; blank lines and the other
+end signs may not. A known sentence may be the tail of a longer one (titles may not) and ends with its sentence or line; of several
+at a place the longest counts. Positions count signs and line breaks; a line that goes on in lower case belongs to the one before it.
+
+The SQL looks up whole sentences, so it equals the query on texts without carriage returns whose known sentences stand unwrapped.
 
 Defined results: null and empty texts match nothing; repeated documents are matched row by row; documents
 without any match give no row; ties between rules give a row each.
@@ -9,7 +13,7 @@ without any match give no row; ties between rules give a row each.
 
 from __future__ import annotations
 
-from pyspark.sql import DataFrame, SparkSession
+from pyspark.sql import DataFrame, SparkSession, Window
 from pyspark.sql import functions as F
 
 # Known licence sentences, normalised to lower-case letters and digits with single spaces.
@@ -64,13 +68,47 @@ RULES = {
     "cc0-line": ("CC0-1.0", ["cc0"]),
 }
 
-WRAP = "\\n(?=[a-z])"
-BOUNDARY = "[.;:!?]+(?=[ \\n]|$)|\\n+"
-NOISE = "[^a-z0-9]+"
-
+TITLES = {"mit_title", "mit_title_short"}  # sentences that say nothing at the end of a longer one
 
-def normalised(sentence):
-    return F.trim(F.regexp_replace(F.lower(sentence), NOISE, " "))
+WRAP = "\\n(?=[a-z])"
+# Boundaries in the order they are marked: every one becomes one sign, so that signs before a sentence give its position.
+HARD, LINE, COMMENT, WEAK = "\x01", "\x02", "\x03", "\x04"
+BOUNDARIES = [
+    ("(^|\\n)([ \\t]*)[;:!]+(?=[ \\n]|$)", f"$1$2{COMMENT}"),
+    ("[;:]+(?=[ \\n]|$)(?<![.!?][;:]{1,9})", WEAK),
+    ("[.;:!?]+(?=[ \\n]|$)", HARD),
+    ("\\n\\n+", HARD),
+    ("\\n", LINE),
+]
+NOISE = "[^a-z0-9\\x01-\\x04]+"
+BLANK_LINE = "\\x02(?=[ \\x03]*\\x02)"
+GAP = "[ \\x02-\\x04]+"
+
+
+def normalised(text):
+    """Lower-case letters and digits with single spaces, and a sign for every boundary."""
+    out = F.regexp_replace(F.regexp_replace(text, "\\r\\n?", "\n"), WRAP, " ")
+    for pattern, sign in BOUNDARIES:
+        out = F.regexp_replace(out, pattern, sign)
+    return F.regexp_replace(F.regexp_replace(F.lower(out), NOISE, " "), BLANK_LINE, HARD)
+
+
+def known_pattern(sentences: dict[str, str]) -> str:
+    """Matches the longest known sentence at a place."""
+    ordered = sorted(sentences.items(), key=lambda x: (-len(x[1]), x[0]))
+    alternatives = "|".join(("(?<=^|[\\x01-\\x04]|[\\x01-\\x04] )" if name in TITLES else "") + GAP.join(text.split()) for name, text in ordered)
+    return f"(?<![a-z0-9])(?:{alternatives})(?= ?(?:[\\x01-\\x04]|\\z))"
+
+
+def telling_words(sentences: dict[str, str]) -> list[str]:
+    """Words of which every known sentence holds one: texts without any need no further look."""
+    left, out = {name: set(text.split()) for name, text in sentences.items()}, []
+    while left:
+        words = sorted({w for s in left.values() for w in s if len(w) >= min(7, max(map(len, s)))})
+        best = max(words, key=lambda w: (sum(w in s for s in left.values()), len(w)))
+        out.append(best)
+        left = {name: s for name, s in left.items() if best not in s}
+    return out
 
 
 def known_sentences(spark: SparkSession, sentences: dict[str, str]) -> DataFrame:
@@ -82,13 +120,17 @@ def license_rules(spark: SparkSession, rules: dict) -> DataFrame:
 
 
 def scan_sentences(docs: DataFrame, sentences: dict[str, str] | None = None) -> DataFrame:
-    """(doc_id, row_key, pos, sentence_id): known sentences of each document in order."""
-    sentences = SENTENCES if sentences is None else sentences
+    """(doc_id, pos, sentence_id): known sentences of each document in order."""
+    sentences = {name: text for name, text in (SENTENCES if sentences is None else sentences).items() if text.split()}
     spark = docs.sparkSession
-    least = min(map(len, sentences.values()), default=1)
-    pieces = F.split(F.regexp_replace(F.col("text"), WRAP, " "), BOUNDARY)
-    lines = docs.select(F.col("doc_id").cast("bigint").alias("doc_id"), F.posexplode(pieces).alias("pos", "raw")).where(F.length("raw") >= least)
-    named = lines.select("doc_id", "pos", normalised(F.col("raw")).alias("sentence"))
+    known = known_pattern(sentences) if sentences else "(?!)"
+    likely = docs.where(F.lower("text").rlike("|".join(telling_words(sentences)) or "(?!)"))
+    texts = likely.select(F.col("doc_id").cast("bigint").alias("doc_id"), F.monotonically_increasing_id().alias("row_key"), normalised(F.col("text")).alias("line"))
+    found = texts.select("doc_id", "row_key", F.regexp_extract_all("line", F.lit(known), F.lit(0)).alias("found"), F.split("line", known).alias("between")).where(F.size("found") > 0)
+    each = found.select("doc_id", "row_key", F.posexplode(F.arrays_zip(F.slice("between", F.lit(1), F.size("found")).alias("before"), F.col("found").alias("raw"))).alias("k", "x"))
+    signs = lambda text: F.length(F.regexp_replace(text, "[^\\x01-\\x04]", ""))
+    so_far = F.sum(signs(F.col("x.before")) + signs(F.col("x.raw"))).over(Window.partitionBy("row_key").orderBy("k"))
+    named = each.select("doc_id", (so_far - signs(F.col("x.raw"))).cast("int").alias("pos"), F.regexp_replace("x.raw", GAP, " ").alias("sentence"))
     return named.join(F.broadcast(known_sentences(spark, sentences)), "sentence").select("doc_id", "pos", "sentence_id")
 
 

@@ -108,6 +108,75 @@ def test_license_rules_in_order_and_wrapped(spark):
     assert out == {(1, "apache-notice"), (2, "mit-line")}
 
 
+MIT = """Copyright (c) 2020 Some Body
+
+Permission is hereby granted, free of charge, to any person obtaining a copy
+of this software and associated documentation files (the "Software"), to deal
+in the Software without restriction, including without limitation the rights
+to use, copy, modify, merge, publish, distribute, sublicense, and/or sell
+copies of the Software, and to permit persons to whom the Software is
+furnished to do so, subject to the following conditions:
+
+The above copyright notice and this permission notice shall be included in all
+copies or substantial portions of the Software.
+
+THE SOFTWARE IS PROVIDED "AS IS", WITHOUT WARRANTY OF ANY KIND, EXPRESS OR
+IMPLIED, INCLUDING BUT NOT LIMITED TO THE WARRANTIES OF MERCHANTABILITY,
+FITNESS FOR A PARTICULAR PURPOSE AND NONINFRINGEMENT. IN NO EVENT SHALL THE
+AUTHORS OR COPYRIGHT HOLDERS BE LIABLE FOR ANY CLAIM, DAMAGES OR OTHER
+LIABILITY, WHETHER IN AN ACTION OF CONTRACT, TORT OR OTHERWISE, ARISING FROM,
+OUT OF OR IN CONNECTION WITH THE SOFTWARE OR THE USE OR OTHER DEALINGS IN THE
+SOFTWARE."""
+APACHE = """Copyright 2020 Some Body
+
+Licensed under the Apache License, Version 2.0 (the "License");
+you may not use this file except in compliance with the License.
+You may obtain a copy of the License at
+
+    http://www.apache.org/licenses/LICENSE-2.0
+
+Unless required by applicable law or agreed to in writing, software
+distributed under the License is distributed on an "AS IS" BASIS,
+WITHOUT WARRANTIES OR CONDITIONS OF ANY KIND, either express or implied.
+See the License for the specific language governing permissions and
+limitations under the License."""
+GPL = """This program is free software: you can redistribute it and/or modify
+it under the terms of the GNU General Public License as published by
+the Free Software Foundation, either version 3 of the License, or
+(at your option) any later version.
+
+This program is distributed in the hope that it will be useful,
+but WITHOUT ANY WARRANTY; without even the implied warranty of
+MERCHANTABILITY or FITNESS FOR A PARTICULAR PURPOSE.  See the
+GNU General Public License for more details."""
+BSD = """Redistribution and use in source and binary forms, with or without
+modification, are permitted provided that the following conditions are met:
+
+1. Redistributions of source code must retain the above copyright notice, this
+   list of conditions and the following disclaimer.
+2. Redistributions in binary form must reproduce the above copyright notice,
+   this list of conditions and the following disclaimer in the documentation
+   and/or other materials provided with the distribution.
+
+THIS SOFTWARE IS PROVIDED BY THE COPYRIGHT HOLDERS AND CONTRIBUTORS "AS IS" AND
+ANY EXPRESS OR IMPLIED WARRANTIES, INCLUDING, BUT NOT LIMITED TO, THE IMPLIED
+WARRANTIES OF MERCHANTABILITY AND FITNESS FOR A PARTICULAR PURPOSE ARE
+DISCLAIMED. IN NO EVENT SHALL THE COPYRIGHT HOLDER BE LIABLE."""
+
+
+def test_licenses_as_they_are_wrapped_and_commented(spark):
+    texts = {"MIT": MIT, "Apache-2.0": APACHE, "GPL-3.0-or-later": GPL, "BSD-2-Clause": BSD}
+    commented = [lambda t: t, lambda t: t.replace("\n", "\r\n")]
+    commented += [lambda t, mark=mark: "\n".join(f"{mark} {line}".rstrip() for line in t.split("\n")) for mark in ("#", "//", " *", ";;", "   ")]
+    rows = [(10 * k + i, f(t)) for k, t in enumerate(texts.values()) for i, f in enumerate(commented)]
+    more = ["This file is licensed under the MIT License.", "A line\nReleased under the MIT License\nCopyright", "We like the MIT License.", "Released under the MIT\n\nLicense.", "Prose\nMIT License\nCopyright"]
+    rows += [(100 + i, t) for i, t in enumerate(more)]
+    found = license_scan.scan_licenses(spark.createDataFrame(rows, "doc_id bigint, text string")).collect()
+    want = {(10 * k + i, name) for k, name in enumerate(texts) for i in range(len(commented))}
+    assert {(r.doc_id, r.license) for r in found if r.doc_id < 100} == want
+    assert {(r.doc_id, r.rule, r.first_pos) for r in found if r.doc_id >= 100} == {(100, "mit-licensed-line", 0), (101, "mit-line", 1), (104, "mit-title-short", 1)}
+
+
 def test_preference_prefix_and_masks(spark):
     turns = [(0, 0, "user", "hi"), (0, 1, "assistant", "yo"), (1, 0, "user", "hi"), (1, 1, "assistant", "other"), (2, 0, None, None), (None, 0, "user", "x"), (4, 0, "assistant", "same"), (5, 0, "assistant", "same")]
     df = spark.createDataFrame(turns, "conv_id bigint, turn bigint, role string, text string")
