@@ -1,8 +1,11 @@
 """Benchmark decontamination by template canonicalisation.
 
 Numbers, capitalised names and units of a text become typed placeholders; windows of the resulting template tokens are looked up
-by hash among the windows of all benchmark items. For each alignment of an item in a document, the values that fill
-the slots must map one to one, so a question with new numbers and names is found while chance hits of a template are not.
+by hash among the windows of all benchmark items. This is done word by word and with runs (a name of several words, a number
+and its unit) collapsed into one slot each. Hits of an item at several shifts count together if they lie in order and near each other.
+For each alignment, values that recur in the item must mostly be replaced by the same new value, so a question with new numbers and
+names is found while chance hits of a template are not; unchanged slots and words that begin a sentence are no evidence against it, and
+an alignment in which most of the item is unchanged needs none.
 
 The benchmark goes to the tasks in blocks of checked size (`block_bytes` of text each), every block against all documents.
 Defined results: null and empty texts match nothing; an item of fewer tokens than a window is one window; items without
@@ -32,6 +35,9 @@ _NUMERIC = np.zeros(256, bool)
 _NUMERIC[list(b"0123456789.,:/%+-$^")] = True
 _DIGIT = np.zeros(256, bool)
 _DIGIT[list(b"0123456789")] = True
+_STOP = np.zeros(256, bool)
+_STOP[list(b".!?:")] = True
+SPREAD = tn.U(0x9E3779B97F4A7C15)
 NUMBER, NAME, UNIT = tn.U(1), tn.U(2), tn.U(3)  # template tokens of the slots
 
 
@@ -40,12 +46,15 @@ class LeakRules:
     window: int = 8
     literals: int = 4  # literal tokens that a window needs to say anything
     coverage: float = 0.5  # share of an item's tokens inside matching windows
+    agreement: float = 0.5  # share of the recurrences of changed values that are replaced alike
+    verbatim: float = 0.8  # share of an item's tokens that is a copy whatever the rest is
     slab_bytes: int = 1 << 20
     block_bytes: int = 8 << 20
 
 
 class Template:
-    """Template tokens of a slab: token hash, value hash (what fills a slot), slot flag; words as in textnum."""
+    """Template tokens of a slab: token hash, value hash (what fills a slot), head hash (the value's part that must recur), slot flag,
+    flag of the first word of a sentence; words as in textnum."""
 
     def __init__(self, data: np.ndarray, offsets: np.ndarray):
         w = tn.Words(data, offsets, lower=True)
@@ -64,9 +73,11 @@ class Template:
         bare = start == end
         start[bare], end[bare] = w.start[bare], w.end[bare]
         self.value = tn.span_hash(data, start, end, lower=True)
+        self.head = self.value
         self.token = self.value.copy()
         if not len(start):
-            self.slot = np.empty(0, bool)
+            self.slot = self.initial = self.glued = self.apart = np.empty(0, bool)
+            self.number = self.value
             return
         run = lambda flags: np.concatenate([[0], np.cumsum(flags[data], dtype=np.int64)])
         size, digits, numeric = end - start, run(_DIGIT), run(_NUMERIC)
@@ -81,6 +92,31 @@ class Template:
         self.token[number] = NUMBER
         self.slot = self.token <= UNIT
 
+        opens = np.concatenate([[True], self.doc[1:] != self.doc[:-1]])
+        stops = np.concatenate([[0], np.cumsum(_STOP[data], dtype=np.int64)])
+        self.initial = opens | np.concatenate([[False], (stops[w.end] > stops[end])[:-1]])
+        self.apart = opens | (start > w.start) | np.concatenate([[False], (end < w.end)[:-1]])
+        other = np.append(np.flatnonzero(~_NUMERIC[data]), len(data))
+        middle = np.minimum(other[np.searchsorted(other, start)], end)
+        self.glued = (middle < end) & (digits[middle] > digits[start]) & np.isin(tn.span_hash(data, middle, end, lower=True), UNIT_HASHES)
+        self.number = np.where(self.glued, tn.span_hash(data, start, middle, lower=True), self.value)
+
+    def collapsed(self) -> Template:
+        """The same template with one token for the words of a name, and for a number and its units."""
+        out = object.__new__(Template)
+        token = np.where(self.glued, NUMBER, self.token)
+        joined = np.zeros(len(token), bool)
+        before, here = token[:-1], token[1:]
+        joined[1:] = (here == before) & (here <= NAME) | (here == UNIT) & (before == NUMBER) & ~self.glued[:-1]
+        joined &= ~self.apart
+        head = np.flatnonzero(~joined)
+        within = np.arange(len(token)) - np.repeat(head, np.diff(np.append(head, len(token))))
+        out.value = np.add.reduceat(tn.mix(self.value + within.astype(tn.U) * SPREAD), head) if len(head) else self.value
+        out.head, out.token, out.doc, out.initial = self.number[head], token[head], self.doc[head], self.initial[head]
+        out.first, out.n_docs = np.searchsorted(head, self.first), self.n_docs
+        out.slot = out.token <= UNIT
+        return out
+
     def windows(self, n: int) -> tuple[np.ndarray, np.ndarray]:
         m = len(self.token) - n + 1
         if m <= 0:
@@ -102,24 +138,31 @@ UNIT_HASHES = _hashes(UNITS)
 
 
 class Benchmark:
-    """Windows of a block of items, sorted by hash for each window length."""
+    """Windows of a block of items, sorted by hash for each window length, word by word and of the collapsed template (`runs`)."""
 
     def __init__(self, items: list[tuple[int | None, str]], rules: LeakRules):
         raw = [(t or "").encode() for _, t in items]
         offsets = np.concatenate([[0], np.cumsum([len(r) for r in raw])]).astype(np.int64)
         self.ids = [i for i, _ in items]
-        t = Template(np.frombuffer(b"".join(raw), np.uint8), offsets)
-        self.token, self.value, self.slot, self.first = t.token, t.value, t.slot, t.first
+        words = Template(np.frombuffer(b"".join(raw), np.uint8), offsets)
+        self._tabulate(words, rules, np.ones(len(items), bool))
+        self.runs = object.__new__(Benchmark)
+        runs = words.collapsed()
+        # items without literals match unchanged only, which is found word by word
+        self.runs._tabulate(runs, rules, np.bincount(runs.doc[~runs.slot], minlength=len(items)) > 0)
+
+    def _tabulate(self, t: Template, rules: LeakRules, wanted: np.ndarray) -> None:
+        self.token, self.value, self.head, self.slot, self.initial, self.first = t.token, t.value, t.head, t.slot, t.initial, t.first
         counts = np.diff(t.first)
         self.tables: dict[int, tuple[np.ndarray, np.ndarray]] = {}
         literal = np.concatenate([[0], np.cumsum(~t.slot)])
         for n in sorted({min(rules.window, int(c)) for c in counts if c}):
             at, name = t.windows(n)
             item = t.doc[at]
-            fit = np.minimum(counts[item], rules.window) == n
+            fit = (np.minimum(counts[item], rules.window) == n) & wanted[item]
             if n == rules.window:
                 telling = literal[at + n] - literal[at] >= rules.literals
-                any_telling = np.bincount(item[fit & telling], minlength=len(items)) > 0
+                any_telling = np.bincount(item[fit & telling], minlength=t.n_docs) > 0
                 fit &= telling | ~any_telling[item]
             at, name = at[fit], name[fit]
             order = np.argsort(name, kind="stable")
@@ -128,6 +171,15 @@ class Benchmark:
 
 def find_leaks(docs: Template, bench: Benchmark, rules: LeakRules) -> list[tuple[int, int, int, float, bool, bool]]:
     """(document row, item row, windows, coverage, exact, leaked) of the best alignment of each pair with a hit."""
+    best: dict[tuple[int, int], tuple] = {}
+    for template, items in ((docs, bench), (docs.collapsed(), bench.runs)):
+        for key, found in _alignments(template, items, rules):
+            best[key] = max(best.get(key, (False, -1.0, False, 0)), found)
+    return [(d, i, int(n), float(share), bool(exact), bool(leaked)) for (d, i), (leaked, share, exact, n) in sorted(best.items())]
+
+
+def _alignments(docs: Template, bench: Benchmark, rules: LeakRules) -> Iterator[tuple[tuple[int, int], tuple]]:
+    """((document row, item row), (leaked, coverage, exact, windows)) of every shift and every longest chain of shifts."""
     spots, places, sizes = [], [], []
     for n, (name, at) in bench.tables.items():
         where, windows = docs.windows(n)
@@ -140,29 +192,78 @@ def find_leaks(docs: Template, bench: Benchmark, rules: LeakRules) -> list[tuple
         places.append(at[run])
         sizes.append(np.full(len(run), n))
     if not spots or not sum(map(len, spots)):
-        return []
+        return
     spot, place, size = np.concatenate(spots), np.concatenate(places), np.concatenate(sizes)
     item = np.searchsorted(bench.first, place, side="right") - 1
     order = np.lexsort((place, spot - place, item, docs.doc[spot]))
     spot, place, size, item = spot[order], place[order], size[order], item[order]
     doc, shift = docs.doc[spot], spot - place
-    head = np.flatnonzero(np.concatenate([[True], (doc[1:] != doc[:-1]) | (item[1:] != item[:-1]) | (shift[1:] != shift[:-1])]))
-    best: dict[tuple[int, int], tuple] = {}
-    for low, high in zip(head, np.append(head[1:], len(spot)), strict=True):
-        n = int(size[low])
-        covered = np.unique(place[low:high, None] + np.arange(n))
-        theirs, ours = covered + shift[low], covered
-        slot = bench.slot[ours]
-        mine, other = bench.value[ours][slot], docs.value[theirs][slot]
-        pairs = len(np.unique(np.stack([mine, other]), axis=1).T) if len(mine) else 0
-        consistent = pairs == len(np.unique(mine)) == len(np.unique(other)) or not len(mine)
-        exact = bool((mine == other).all())
-        telling = exact or bool((~slot).any())
-        share = len(covered) / (bench.first[item[low] + 1] - bench.first[item[low]])
-        found = (consistent and telling and share >= rules.coverage, share, exact, high - low)
-        key = (int(doc[low]), int(item[low]))
-        best[key] = max(best.get(key, (False, -1.0, False, 0)), found)
-    return [(d, i, int(n), float(share), exact, bool(leaked)) for (d, i), (leaked, share, exact, n) in sorted(best.items())]
+    pair = np.concatenate([[True], (doc[1:] != doc[:-1]) | (item[1:] != item[:-1])])
+    turn = pair | np.concatenate([[True], shift[1:] != shift[:-1]])
+    part = np.flatnonzero(turn | np.concatenate([[True], place[1:] > place[:-1] + size[:-1]]))
+    upto = np.append(part[1:], len(spot))
+    # passages without a gap at one shift: item tokens from..to, windows
+    passages = list(zip(place[part].tolist(), (place[upto - 1] + size[part]).tolist(), shift[part].tolist(), (upto - part).tolist(), strict=True))
+    heads = np.flatnonzero(pair[part])
+    for low, high in zip(heads.tolist(), np.append(heads[1:], len(part)).tolist(), strict=True):
+        key = (int(doc[part[low]]), int(item[part[low]]))
+        length = int(bench.first[key[1] + 1] - bench.first[key[1]])
+        for chain in _chains(passages[low:high], length):
+            yield key, _judged(docs, bench, rules, chain, length)
+
+
+def _chains(passages: list[tuple[int, int, int, int]], length: int) -> Iterator[list[tuple[int, int, int, int]]]:
+    """Passages of each shift; then the chains of most item tokens, in order in both texts and at most an item's length apart."""
+    by_shift: dict[int, list] = {}
+    for p in passages:
+        by_shift.setdefault(p[2], []).append(p)
+    yield from by_shift.values()
+    if len(by_shift) == 1:
+        return
+    rows = sorted(passages, key=lambda p: (p[0] + p[2], p[0]))
+    total, back = [p[1] - p[0] for p in rows], [-1] * len(rows)
+    for i, (start, end, shift, _) in enumerate(rows):
+        for j in range(i - 1, -1, -1):
+            begun, done, other, _ = rows[j]
+            if start + shift - (begun + other) > 2 * length:
+                break
+            if begun > start or done >= end or done + other >= end + shift or start + shift - (done + other) > length:
+                continue
+            gain = end - max(start, done, done + other - shift)
+            if total[j] + gain > total[i]:
+                total[i], back[i] = total[j] + gain, j
+    inner = set(back)
+    for i in range(len(rows)):
+        if i in inner or back[i] < 0:
+            continue
+        chain, k = [], i
+        while k >= 0:
+            start, end, shift, n = rows[k]
+            if back[k] >= 0:
+                _, done, other, _ = rows[back[k]]
+                start = max(start, done, done + other - shift)
+            chain.append((start, end, shift, n))
+            k = back[k]
+        yield chain[::-1]
+
+
+def _judged(docs: Template, bench: Benchmark, rules: LeakRules, chain: list[tuple[int, int, int, int]], length: int) -> tuple[bool, float, bool, int]:
+    """(leaked, coverage, exact, windows) of an alignment."""
+    ours = np.concatenate([np.arange(a, b) for a, b, _, _ in chain])
+    theirs = np.concatenate([np.arange(a + shift, b + shift) for a, b, shift, _ in chain])
+    slot = bench.slot[ours]
+    same = ~slot | (bench.value[ours] == docs.value[theirs])
+    exact = bool(same.all()) and len({p[2] for p in chain}) == 1
+    telling = exact or bool((~slot).any())
+    vote = ~same & ~bench.initial[ours] & ~docs.initial[theirs]
+    pairs, times = np.unique(np.stack([bench.head[ours][vote], docs.head[theirs][vote]]), axis=1, return_counts=True)
+    begins = np.flatnonzero(np.concatenate([[True], pairs[0, 1:] != pairs[0, :-1]])) if len(times) else []
+    agree = int((np.maximum.reduceat(times, begins) - 1).sum()) if len(times) else 0
+    recur = int(times.sum()) - len(begins)
+    consistent = agree >= rules.agreement * recur
+    verbatim = np.count_nonzero(same) >= rules.verbatim * length
+    share = len(ours) / length
+    return bool(share >= rules.coverage and telling and (consistent or verbatim)), share, exact, sum(p[3] for p in chain)
 
 
 def _blocks(benchmark: DataFrame, rules: LeakRules) -> Iterator[list[tuple[int | None, str]]]:

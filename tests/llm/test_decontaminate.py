@@ -24,6 +24,23 @@ def test_reparameterised_item_needs_consistent_slots(spark):
     assert all(not r.leaked for (d, _), r in got.items() if d > 2)
 
 
+def test_changed_words_do_not_hide_a_copy(spark):
+    two = "The red fox runs over a long field near some old farm. The farmer sees how it hunts for mice until evening comes"
+    sums = "what is the sum of 3 and 4 if both are written in words and added on paper by hand"
+    race = "when Alice has run 5 km along a quiet river she tells Bob that Alice will rest for 20 minutes and then run 7 km more"
+    texts = [
+        "so it goes " + two.replace("The farmer", "This farmer") + " and so on",
+        sums.replace("3 and 4", "5 and 5"),
+        race.replace("Alice", "Mary Ann").replace("5 km", "6km").replace("Bob", "Carol").replace("20 minutes", "45 s").replace("7 km", "8km"),
+        race.replace("along a quiet", "along one very quiet").replace("tells Bob", "then tells Bob"),
+        "the sum of 3 and 4 is 7 and she tells Bob that it is so near some old farm",
+        race.replace("when Alice", "when Eve").replace("Bob that Alice", "Carol that Dora").replace("5 km", "6 km").replace("20", "45").replace("7", "8"),
+    ]
+    got = leaked(spark, texts, [two, sums, race])
+    assert {k for k, r in got.items() if r.leaked} == {(0, 0), (1, 1), (2, 2), (3, 2)}
+    assert not any(got[k].exact for k in [(0, 0), (1, 1), (2, 2)])
+
+
 def test_short_items_and_odd_rows(spark, odd_docs):
     got = leaked(spark, ["x what is the answer y", "what was the answer"], ["what is the answer"])
     assert set(got) == {(0, 0)} and got[0, 0].leaked
