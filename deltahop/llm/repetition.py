@@ -26,11 +26,11 @@ SYMBOLS[list(b"#*$%&|<>")] = True
 
 @dataclass(frozen=True)
 class RepetitionRules:
-    """Limits on shares of word characters. Those of the most frequent short n-grams are published values of common web-corpus
-    filters; duplicated n-grams may cover a fifth, as in the base rule, so that one repeated sentence of a short text is no fault."""
+    """Limits on shares of word characters, the published values of common web-corpus filters: 20, 18 and 16 % for the most frequent
+    2- to 4-grams, 15 % for duplicated 5-grams and a point less for each further word, so that long repeats are allowed least."""
 
     top: dict[int, float] = field(default_factory=lambda: {2: 0.20, 3: 0.18, 4: 0.16})
-    duplicated: dict[int, float] = field(default_factory=lambda: dict.fromkeys(range(5, 11), 0.20))
+    duplicated: dict[int, float] = field(default_factory=lambda: {n: (20 - n) / 100 for n in range(5, 11)})
     line_chars: float = 0.20
     top_count: int = 3  # a most frequent n-gram that occurs less often is no repetition
     min_words: int = 10

@@ -65,6 +65,17 @@ def test_repetition_on_odd_rows(spark, odd_docs):
     assert repetition.repetition_coverage(odd_docs.limit(0)).collect() == []
 
 
+def test_longer_repeats_are_allowed_less():
+    text = lambda n, m: " ".join([f"r{i:03}" for i in range(n)] * 2 + [f"w{i:03}" for i in range(m)])
+    texts = [text(6, 88), text(9, 114), text(10, 178), text(12, 178), text(5, 54)]
+    got = measured(texts)
+    limits = repetition.RepetitionRules().duplicated
+    failed = [{n for n in limits if got[f"coverage_{n}"][k] > limits[n]} for k in range(len(texts))]
+    assert failed == [set(), {7, 8, 9}, {10}, {9, 10}, {5}]
+    assert got["kept"].tolist() == [True, False, False, False, False]
+    assert not got["base_failed"].any()
+
+
 def test_word_hash_does_not_depend_on_place():
     raw = "Same same x\nsame Same".encode()
     w = tn.Words(np.frombuffer(raw, np.uint8), np.array([0, len(raw)]))
