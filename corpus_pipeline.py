@@ -13,10 +13,25 @@ from deltahop.llm import decontaminate, near_dup, quality_rules, sentence_pieces
 from deltahop.llm.workdir import stored
 
 
+def reserved(docs: DataFrame) -> dict[str, str]:
+    """A name for each further column that no operator uses for a column of its own."""
+    return {c: f"carried_{k}" for k, c in enumerate(docs.columns) if c not in ("doc_id", "text")}
+
+
+def carried(docs: DataFrame) -> DataFrame:
+    return docs.withColumnsRenamed(reserved(docs))
+
+
+def restored(out: DataFrame, docs: DataFrame) -> DataFrame:
+    """The columns of docs, under their names again."""
+    names = reserved(docs)
+    return out.select(*[F.col(names.get(c, c)).alias(c) for c in docs.columns])
+
+
 def quality_stage(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
     """Documents that the rule ensemble predicts to be of low quality go."""
     model = quality_rules.fit(docs, spark.read.parquet(f"{sf_dir}/labels.parquet"))
-    return quality_rules.score_documents(docs, model).where("predicted = 1").select(*docs.columns)
+    return restored(quality_rules.score_documents(carried(docs), model).where("predicted = 1"), docs)
 
 
 def near_duplicate_stage(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
@@ -28,11 +43,12 @@ def near_duplicate_stage(spark: SparkSession, docs: DataFrame, sf_dir: str) -> D
 
 def repeated_passage_stage(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
     """Passages of 50 bytes or more that an earlier document holds too are cut out; only whole characters are left."""
-    cut = suffix_dedup.remove_repeats(docs, with_text=True)
+    cut = suffix_dedup.remove_repeats(carried(docs), with_text=True)
     whole = cut.withColumn("text", F.col("kept_text"))
     if "n_chars" in docs.columns:
-        whole = whole.withColumn("n_chars", F.when(F.col("n_removed") > 0, F.length("text")).otherwise(F.col("n_chars")).cast(docs.schema["n_chars"].dataType))
-    return whole.select(*docs.columns)
+        n_chars = reserved(docs)["n_chars"]
+        whole = whole.withColumn(n_chars, F.when(F.col("n_removed") > 0, F.length("text")).otherwise(F.col(n_chars)).cast(docs.schema["n_chars"].dataType))
+    return restored(whole, docs)
 
 
 def decontamination_stage(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:

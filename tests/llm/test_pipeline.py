@@ -68,3 +68,16 @@ def test_stages_one_by_one(spark, folder):
 
     assert sorted(corpus_pipeline.run(spark, folder).collect()) == sorted(out)
     assert before == texts(docs)
+
+
+def test_stages_carry_columns_whatever_their_names(spark, folder):
+    docs = spark.read.parquet(f"{folder}/documents.parquet").limit(40)
+    names = ["score", "predicted", "stats", "n_bytes", "n_removed", "n_spans", "kept_sha256", "kept_text", "Score_2"]
+    for name in names:
+        docs = docs.selectExpr("*", f"concat('{name} of ', doc_id) AS {name}")
+    stages = dict(corpus_pipeline.STAGES)
+    for name in ("quality classifier", "suffix-array dedup"):
+        out = stages[name](spark, docs, folder)
+        assert out.columns == docs.columns
+        rows = out.collect()
+        assert rows and all(r[n] == f"{n} of {r.doc_id}" for r in rows for n in names)
