@@ -7,8 +7,8 @@ at a place the longest counts. Positions count signs and line breaks; a line tha
 
 The SQL looks up whole sentences, so it equals the query on texts without carriage returns whose known sentences stand unwrapped.
 
-Defined results: null and empty texts match nothing; repeated documents are matched row by row; documents
-without any match give no row; ties between rules give a row each.
+Defined results: null and empty texts match nothing; every row is matched by itself, also where rows repeat an id; documents
+without any match give no row; ties between rules give a row each; an empty table gives no rows; other columns are ignored.
 """
 
 from __future__ import annotations
@@ -47,6 +47,36 @@ SENTENCES = {
     "cc_by": "licensed under cc by 4 0",
     "cc_by_sa": "licensed under cc by sa 4 0",
     "cc0": "this work has been dedicated to the public domain",
+    "lgpl3_free": "this library is free software you can redistribute it and or modify it under the terms of the gnu lesser general public license as published by the free software foundation either version 3 of the license or at your option any later version",
+    "lgpl21_free": "this library is free software you can redistribute it and or modify it under the terms of the gnu lesser general public license as published by the free software foundation either version 2 1 of the license or at your option any later version",
+    "lgpl_hope": "this library is distributed in the hope that it will be useful but without any warranty without even the implied warranty of merchantability or fitness for a particular purpose",
+    "lgpl_details": "see the gnu lesser general public license for more details",
+    "agpl_free": "this program is free software you can redistribute it and or modify it under the terms of the gnu affero general public license as published by the free software foundation either version 3 of the license or at your option any later version",
+    "agpl_details": "see the gnu affero general public license for more details",
+    "mpl2_subject": "this source code form is subject to the terms of the mozilla public license v",
+    "mpl2_copy": "if a copy of the mpl was not distributed with this file you can obtain one at http mozilla org mpl 2 0",
+    "mpl2_copy_https": "if a copy of the mpl was not distributed with this file you can obtain one at https mozilla org mpl 2 0",
+    "isc_grant": "permission to use copy modify and or distribute this software for any purpose with or without fee is hereby granted provided that the above copyright notice and this permission notice appear in all copies",
+    "bsd0_grant": "permission to use copy modify and or distribute this software for any purpose with or without fee is hereby granted",
+    "isc_warranty": "the software is provided as is and the author disclaims all warranties with regard to this software including all implied warranties of merchantability and fitness",
+    "isc_liability": "in no event shall the author be liable for any special direct indirect or consequential damages or any damages whatsoever resulting from loss of use data or profits whether in an action of contract negligence or other tortious action arising out of or in connection with the use or performance of this software",
+    "unlicense_free": "this is free and unencumbered software released into the public domain",
+    "unlicense_anyone": "anyone is free to copy modify publish use compile sell or distribute this software either in source code form or as a compiled binary for any purpose commercial or non commercial and by any means",
+    "zlib_warranty": "this software is provided as is without any express or implied warranty",
+    "zlib_liability": "in no event will the authors be held liable for any damages arising from the use of this software",
+    "zlib_grant": "permission is granted to anyone to use this software for any purpose including commercial applications and to alter it and redistribute it freely subject to the following restrictions",
+    "boost_line": "distributed under the boost software license version 1 0",
+    "boost_grant": "permission is hereby granted free of charge to any person or organization obtaining a copy of the software and accompanying documentation covered by this license the software to use reproduce display distribute execute and transmit the software and to prepare derivative works of the software and to permit third parties to whom the software is furnished to do so all subject to the following",
+    "epl2": "this program and the accompanying materials are made available under the terms of the eclipse public license 2 0 which is available at https www eclipse org legal epl 2 0",
+    "bsd_line": "licensed under the bsd license",
+    "bsd2_line": "licensed under the bsd 2 clause license",
+    "bsd3_line": "licensed under the bsd 3 clause license",
+    "isc_line": "licensed under the isc license",
+    "mpl2_line": "licensed under the mozilla public license version 2 0",
+    "gpl2_line": "licensed under the gnu general public license version 2",
+    "lgpl3_line": "licensed under the gnu lesser general public license version 3",
+    "agpl3_line": "licensed under the gnu affero general public license version 3",
+    "epl2_line": "licensed under the eclipse public license 2 0",
 }
 # Ordered rules (licence, sentence identifiers in order).
 RULES = {
@@ -66,10 +96,45 @@ RULES = {
     "cc-by-line": ("CC-BY-4.0", ["cc_by"]),
     "cc-by-sa-line": ("CC-BY-SA-4.0", ["cc_by_sa"]),
     "cc0-line": ("CC0-1.0", ["cc0"]),
+    "lgpl3-notice": ("LGPL-3.0-or-later", ["lgpl3_free", "lgpl_hope", "lgpl_details"]),
+    "lgpl21-notice": ("LGPL-2.1-or-later", ["lgpl21_free", "lgpl_hope", "lgpl_details"]),
+    "agpl3-notice": ("AGPL-3.0-or-later", ["agpl_free", "gpl_hope", "agpl_details"]),
+    "mpl2-notice": ("MPL-2.0", ["mpl2_subject", "mpl2_copy"]),
+    "mpl2-notice-https": ("MPL-2.0", ["mpl2_subject", "mpl2_copy_https"]),
+    "isc-text": ("ISC", ["isc_grant", "isc_warranty", "isc_liability"]),
+    "bsd0-text": ("0BSD", ["bsd0_grant", "isc_warranty", "isc_liability"]),
+    "unlicense-text": ("Unlicense", ["unlicense_free", "unlicense_anyone"]),
+    "zlib-text": ("Zlib", ["zlib_warranty", "zlib_liability", "zlib_grant"]),
+    "boost-line": ("BSL-1.0", ["boost_line"]),
+    "boost-text": ("BSL-1.0", ["boost_grant"]),
+    "epl2-notice": ("EPL-2.0", ["epl2"]),
+    "bsd-line": ("BSD", ["bsd_line"]),
+    "bsd2-line": ("BSD-2-Clause", ["bsd2_line"]),
+    "bsd3-line": ("BSD-3-Clause", ["bsd3_line"]),
+    "isc-line": ("ISC", ["isc_line"]),
+    "mpl2-line": ("MPL-2.0", ["mpl2_line"]),
+    "gpl2-line": ("GPL-2.0", ["gpl2_line"]),
+    "lgpl3-line": ("LGPL-3.0", ["lgpl3_line"]),
+    "agpl3-line": ("AGPL-3.0", ["agpl3_line"]),
+    "epl2-line": ("EPL-2.0", ["epl2_line"]),
 }
+# Identifiers that stand in identifier lines, and the variants of the attribution licences.
+IDENTIFIERS = "MIT Apache-2.0 BSD-2-Clause BSD-3-Clause ISC 0BSD MPL-2.0 GPL-2.0 GPL-2.0-only GPL-2.0-or-later GPL-3.0 GPL-3.0-only GPL-3.0-or-later LGPL-2.1-only LGPL-2.1-or-later LGPL-3.0-only LGPL-3.0-or-later AGPL-3.0-only AGPL-3.0-or-later Unlicense Zlib BSL-1.0 EPL-2.0 CC0-1.0 CC-BY-4.0 CC-BY-SA-4.0 Artistic-2.0 PostgreSQL".split()
+VARIANTS = {"BY": "attribution", "BY-SA": "attribution sharealike", "BY-NC": "attribution noncommercial", "BY-ND": "attribution noderivatives", "BY-NC-SA": "attribution noncommercial sharealike", "BY-NC-ND": "attribution noncommercial noderivatives"}
+
+for _id in IDENTIFIERS:
+    _name = "id_" + "".join(c if c.isalnum() else "_" for c in _id.lower())
+    SENTENCES[_name] = "spdx license identifier " + " ".join(_id.lower().replace("-", " ").replace(".", " ").split())
+    RULES[_name.replace("_", "-")] = (_id, [_name])
+for _code, _words in VARIANTS.items():
+    for _article in ("a", "the"):
+        _name = f"ccv4_{_code.lower().replace('-', '_')}_{_article}"
+        SENTENCES[_name] = f"licensed under {_article} creative commons {_words} 4 0 international license"
+        RULES[_name.replace("_", "-")] = (f"CC-{_code}-4.0", [_name])
 
 TITLES = {"mit_title", "mit_title_short"}  # sentences that say nothing at the end of a longer one
 
+IDENTIFIER_LINE = "(?i)(spdx-license-identifier:[^\\n]*)\\n"  # never goes on in the next line
 WRAP = "\\n(?=[a-z])"
 # Boundaries in the order they are marked: every one becomes one sign, so that signs before a sentence give its position.
 HARD, LINE, COMMENT, WEAK = "\x01", "\x02", "\x03", "\x04"
@@ -87,7 +152,8 @@ GAP = "[ \\x02-\\x04]+"
 
 def normalised(text):
     """Lower-case letters and digits with single spaces, and a sign for every boundary."""
-    out = F.regexp_replace(F.regexp_replace(text, "\\r\\n?", "\n"), WRAP, " ")
+    out = F.regexp_replace(F.regexp_replace(text, "\\r\\n?", "\n"), IDENTIFIER_LINE, "$1\n\n")
+    out = F.regexp_replace(out, WRAP, " ")
     for pattern, sign in BOUNDARIES:
         out = F.regexp_replace(out, pattern, sign)
     return F.regexp_replace(F.regexp_replace(F.lower(out), NOISE, " "), BLANK_LINE, HARD)
@@ -120,7 +186,7 @@ def license_rules(spark: SparkSession, rules: dict) -> DataFrame:
 
 
 def scan_sentences(docs: DataFrame, sentences: dict[str, str] | None = None) -> DataFrame:
-    """(doc_id, pos, sentence_id): known sentences of each document in order."""
+    """(doc_id, row_key, pos, sentence_id): known sentences of each row in order; row_key tells rows of one id apart."""
     sentences = {name: text for name, text in (SENTENCES if sentences is None else sentences).items() if text.split()}
     spark = docs.sparkSession
     known = known_pattern(sentences) if sentences else "(?!)"
@@ -130,19 +196,19 @@ def scan_sentences(docs: DataFrame, sentences: dict[str, str] | None = None) ->
     each = found.select("doc_id", "row_key", F.posexplode(F.arrays_zip(F.slice("between", F.lit(1), F.size("found")).alias("before"), F.col("found").alias("raw"))).alias("k", "x"))
     signs = lambda text: F.length(F.regexp_replace(text, "[^\\x01-\\x04]", ""))
     so_far = F.sum(signs(F.col("x.before")) + signs(F.col("x.raw"))).over(Window.partitionBy("row_key").orderBy("k"))
-    named = each.select("doc_id", (so_far - signs(F.col("x.raw"))).cast("int").alias("pos"), F.regexp_replace("x.raw", GAP, " ").alias("sentence"))
-    return named.join(F.broadcast(known_sentences(spark, sentences)), "sentence").select("doc_id", "pos", "sentence_id")
+    named = each.select("doc_id", "row_key", (so_far - signs(F.col("x.raw"))).cast("int").alias("pos"), F.regexp_replace("x.raw", GAP, " ").alias("sentence"))
+    return named.join(F.broadcast(known_sentences(spark, sentences)), "sentence").select("doc_id", "row_key", "pos", "sentence_id")
 
 
 def scan_licenses(docs: DataFrame, sentences: dict[str, str] | None = None, rules: dict | None = None) -> DataFrame:
     """(doc_id, rule, license, n_steps, first_pos, n_known): every rule whose sentences occur in order in a document.
 
-    The tables of sentences and rules are fixed values of a few dozen rows, so they are broadcast. Equal documents
-    with the same doc_id share one sequence; a null doc_id is a key like any other.
+    The tables of sentences and rules are fixed values of some hundred rows at most, so they are broadcast. A null doc_id is an
+    id like any other.
     """
     rules = RULES if rules is None else rules
     found = scan_sentences(docs, sentences)
-    sequence = found.groupBy("doc_id").agg(F.array_sort(F.collect_list(F.struct("pos", "sentence_id"))).alias("seq"))
+    sequence = found.groupBy("doc_id", "row_key").agg(F.array_sort(F.collect_list(F.struct("pos", "sentence_id"))).alias("seq"))
     starts = sequence.withColumn("sentence_id", F.explode(F.array_distinct(F.col("seq.sentence_id"))))
     tried = starts.join(F.broadcast(license_rules(docs.sparkSession, rules)), "sentence_id")
     reached = F.aggregate(
