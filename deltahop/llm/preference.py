@@ -5,8 +5,9 @@ rendered as two completions with the character spans of assistant turns, which a
 is one row by definition, so its turns are gathered in one place; no other group is.
 
 Defined results: turns order by turn, role and text, so repeated rows stay in place; a null role reads as "user", a null
-text as an empty one; a pair without one side has an empty completion there and `complete` false; equal sides give empty
-completions and `differs` false; an empty table gives no rows; a null conv_id is a conversation without a partner.
+text as an empty one; a pair without one side has no prefix, an empty completion there and `complete` false; equal sides give
+empty completions and `differs` false; an empty table gives no rows; every turn with a null conv_id is a conversation of its own,
+without a partner; other columns are ignored.
 """
 
 from __future__ import annotations
@@ -21,7 +22,9 @@ OPEN, CLOSE = "<|im_start|>", "<|im_end|>\n"
 def conversations_as_arrays(turns: DataFrame) -> DataFrame:
     """(conv_id, turns array<struct<turn, role, text>>) in turn order."""
     row = F.struct(F.col("turn").cast("bigint").alias("turn"), F.coalesce(F.col("role"), F.lit("user")).alias("role"), F.coalesce(F.col("text"), F.lit("")).alias("text"))
-    return turns.groupBy(F.col("conv_id").cast("bigint").alias("conv_id")).agg(F.array_sort(F.collect_list(row)).alias("turns"))
+    alone = F.when(F.col("conv_id").isNull(), F.monotonically_increasing_id())
+    rows = turns.select(F.col("conv_id").cast("bigint").alias("conv_id"), alone.alias("alone"), row.alias("row"))
+    return rows.groupBy("conv_id", "alone").agg(F.array_sort(F.collect_list("row")).alias("turns")).drop("alone")
 
 
 def rendered(turns: Column) -> Column:
@@ -50,12 +53,12 @@ def format_preferences(pairs: DataFrame) -> DataFrame:
 
     Returns pair_id, n_prefix, prompt, both completions with their assistant spans, differs and complete.
     """
-    same = F.zip_with("chosen", "rejected", lambda a, b: F.when(a["role"].eqNullSafe(b["role"]) & a["text"].eqNullSafe(b["text"]), F.lit(True)).otherwise(F.lit(False)))
-    split = F.coalesce(F.nullif(F.array_position(same, F.lit(False)), F.lit(0)) - 1, F.size(same)).cast("int")
     out = pairs.withColumn("complete", F.col("chosen").isNotNull() & F.col("rejected").isNotNull())
     for side in ("chosen", "rejected"):
         out = out.withColumn(side, F.coalesce(side, F.expr("cast(array() as array<struct<role: string, text: string>>)")))
-    out = out.withColumn("n_prefix", split)
+    differ = F.zip_with("chosen", "rejected", lambda a, b: a.isNull() | b.isNull() | ~a["role"].eqNullSafe(b["role"]) | ~a["text"].eqNullSafe(b["text"]))
+    first = F.array_position(differ, F.lit(True))  # 0 where nothing differs
+    out = out.withColumn("n_prefix", F.when(first > 0, first - 1).otherwise(F.size("chosen")).cast("int"))
     cut = lambda side: F.slice(F.col(side), F.col("n_prefix") + 1, F.size(side))
     return out.select(
         "pair_id",
@@ -70,49 +73,50 @@ def format_preferences(pairs: DataFrame) -> DataFrame:
     )
 
 
-def swapped_reply_pairs(turns: DataFrame) -> DataFrame:
-    """Pairs from plain conversations: the chosen side is a conversation up to its last assistant turn; the rejected side
-    ends in the last assistant reply of the neighbouring conversation (conv_id with its lowest bit flipped) instead."""
-    plain = lambda a: F.transform(a, lambda x: F.struct(x["role"].alias("role"), x["text"].alias("text")))
-    convs = conversations_as_arrays(turns)
-    last = F.array_max(F.transform("turns", lambda x, i: F.when(x["role"] == "assistant", i)))
-    cut = convs.withColumn("last", last).select(
-        "conv_id",
-        F.when(F.col("last").isNotNull(), F.slice("turns", F.lit(1), F.coalesce(F.col("last"), F.lit(0)))).alias("before"),
-        F.get("turns", F.col("last")).alias("reply"),
-    )
-    other = cut.where(F.col("reply").isNotNull()).select(F.col("conv_id").bitwiseXOR(F.lit(1)).alias("conv_id"), F.col("reply.text").alias("other_text"))
-    joined = cut.join(other, "conv_id", "left")
-    swap = F.struct(F.col("reply.role").alias("role"), F.col("other_text").alias("text"))
+def grafted_pairs(turns: DataFrame) -> DataFrame:
+    """Pairs from plain conversations: the chosen side is a whole conversation; the rejected side leaves it before one of its
+    assistant turns (number conv_id modulo their count) and goes on with the neighbouring conversation (conv_id with its lowest
+    bit flipped) from that one's place on. So sides diverge at any turn, and may share turns beyond the place by chance."""
+    convs = conversations_as_arrays(turns).withColumn("spots", F.filter(F.transform("turns", lambda x, i: F.when(x["role"] == "assistant", i)), lambda i: i.isNotNull()))
+    place = F.get("spots", F.when(F.size("spots") > 0, F.pmod(F.coalesce("conv_id", F.lit(0)), F.size("spots"))).cast("int"))
+    plain = F.transform("turns", lambda x: F.struct(x["role"].alias("role"), x["text"].alias("text")))
+    whole = convs.select("conv_id", place.alias("place"), plain.alias("turns"))
+    tail = F.slice("turns", F.col("place") + 1, F.size("turns"))
+    other = whole.where(F.col("place").isNotNull()).select(F.col("conv_id").bitwiseXOR(F.lit(1)).alias("conv_id"), tail.alias("other"))
+    joined = whole.join(other, "conv_id", "left")
     return joined.select(
         F.col("conv_id").alias("pair_id"),
-        F.when(F.col("reply").isNotNull(), F.concat(plain("before"), F.array(F.struct(F.col("reply.role").alias("role"), F.col("reply.text").alias("text"))))).alias("chosen"),
-        F.when(F.col("reply").isNotNull() & F.col("other_text").isNotNull(), F.concat(plain("before"), F.array(swap))).alias("rejected"),
+        F.when(F.col("place").isNotNull(), F.col("turns")).alias("chosen"),
+        F.when(F.col("place").isNotNull(), F.concat(F.slice("turns", F.lit(1), F.coalesce("place", F.lit(0))), F.col("other"))).alias("rejected"),
     )
 
 
 def preference_digest(turns: DataFrame) -> DataFrame:
-    out = format_preferences(swapped_reply_pairs(turns))
+    out = format_preferences(grafted_pairs(turns))
     return out.withColumns({"chosen_spans": spans_text(F.col("chosen_spans")), "rejected_spans": spans_text(F.col("rejected_spans"))})
 
 
 def oracle() -> str:
-    """preference_digest in DuckDB SQL, by turn rows instead of arrays."""
+    """preference_digest in DuckDB SQL: both sides as turn rows, compared place by place."""
     return r"""
-WITH t AS (SELECT conv_id, coalesce(role, 'user') AS role, coalesce(text, '') AS text, row_number() OVER (PARTITION BY conv_id ORDER BY turn, coalesce(role, 'user'), coalesce(text, '')) - 1 AS i FROM conversations),
-ids AS (SELECT DISTINCT conv_id FROM conversations),
-l AS (SELECT conv_id, max(i) AS m FROM t WHERE role = 'assistant' GROUP BY conv_id),
-r AS (SELECT t.conv_id, t.text AS reply FROM t JOIN l ON t.conv_id = l.conv_id AND t.i = l.m),
-p AS (SELECT ids.conv_id, l.m, r.reply, o.reply AS other FROM ids LEFT JOIN l USING (conv_id) LEFT JOIN r USING (conv_id) LEFT JOIN r o ON o.conv_id = xor(ids.conv_id, 1)),
-c AS (SELECT p.*, CASE WHEN m IS NULL OR other IS NULL THEN 0 WHEN reply = other THEN m + 1 ELSE m END AS n_prefix FROM p),
-rows_ AS (SELECT c.conv_id, i, role, text, c.m, c.other, c.n_prefix, '<|im_start|>' || role || chr(10) || text || '<|im_end|>' || chr(10) AS shown FROM t JOIN c ON t.conv_id = c.conv_id AND t.i <= c.m),
-pos AS (SELECT *, sum(length(shown)) OVER (PARTITION BY conv_id ORDER BY i) - length(shown) AS before FROM rows_ WHERE i >= n_prefix),
-agg AS (SELECT conv_id, string_agg(shown, '' ORDER BY i) FILTER (WHERE i < n_prefix) AS prompt, string_agg(shown, '' ORDER BY i) FILTER (WHERE i >= n_prefix) AS chosen FROM rows_ GROUP BY conv_id),
-spans AS (SELECT conv_id, string_agg(CAST(before + length(role) + 13 AS BIGINT)::VARCHAR || '-' || CAST(before + length(shown) AS BIGINT)::VARCHAR, ';' ORDER BY i) AS s FROM pos WHERE role = 'assistant' GROUP BY conv_id)
-SELECT c.conv_id AS pair_id, CAST(c.n_prefix AS BIGINT) AS n_prefix, coalesce(agg.prompt, '') AS prompt, coalesce(agg.chosen, '') AS chosen_completion,
-  CASE WHEN c.m IS NULL OR c.other IS NULL OR c.n_prefix > c.m THEN '' ELSE '<|im_start|>assistant' || chr(10) || c.other || '<|im_end|>' || chr(10) END AS rejected_completion,
-  coalesce(spans.s, '') AS chosen_spans,
-  CASE WHEN c.m IS NULL OR c.other IS NULL OR c.n_prefix > c.m THEN '' ELSE '22-' || CAST(22 + length(c.other) + 11 AS BIGINT)::VARCHAR END AS rejected_spans,
-  c.m IS NOT NULL AND c.n_prefix <= c.m AS differs, c.m IS NOT NULL AND c.other IS NOT NULL AS complete
-FROM c LEFT JOIN agg USING (conv_id) LEFT JOIN spans USING (conv_id)
+WITH src AS (SELECT conv_id, CASE WHEN conv_id IS NULL THEN row_number() OVER () END AS alone, turn, coalesce(role, 'user') AS role, coalesce(text, '') AS text FROM conversations),
+t AS (SELECT coalesce('c' || conv_id, 'n' || alone) AS k, conv_id, role, text, row_number() OVER (PARTITION BY conv_id, alone ORDER BY turn, role, text) - 1 AS i FROM src),
+spots AS (SELECT k, conv_id, i, row_number() OVER (PARTITION BY k ORDER BY i) - 1 AS nth, count(*) OVER (PARTITION BY k) AS n FROM t WHERE role = 'assistant'),
+place AS (SELECT k, conv_id, i AS at FROM spots WHERE nth = ((coalesce(conv_id, 0) % n) + n) % n),
+both_ AS (SELECT p.k, p.conv_id, p.at, o.k AS other, o.at AS other_at FROM place p LEFT JOIN place o ON o.conv_id = xor(p.conv_id, 1)),
+sides AS (
+  SELECT t.k, 'chosen' AS side, t.i, t.role, t.text FROM t JOIN both_ b USING (k)
+  UNION ALL SELECT t.k, 'rejected', t.i, t.role, t.text FROM t JOIN both_ b USING (k) WHERE b.other IS NOT NULL AND t.i < b.at
+  UNION ALL SELECT b.k, 'rejected', b.at + t.i - b.other_at, t.role, t.text FROM both_ b JOIN t ON t.k = b.other WHERE t.i >= b.other_at),
+wide AS (SELECT k, i, max(role) FILTER (WHERE side = 'chosen') AS r1, max(text) FILTER (WHERE side = 'chosen') AS t1, max(role) FILTER (WHERE side = 'rejected') AS r2, max(text) FILTER (WHERE side = 'rejected') AS t2 FROM sides GROUP BY k, i),
+prefix AS (SELECT k, coalesce(min(i) FILTER (WHERE r1 IS DISTINCT FROM r2 OR t1 IS DISTINCT FROM t2), max(i) + 1) AS n FROM wide GROUP BY k),
+shown AS (SELECT s.*, p.n, '<|im_start|>' || role || chr(10) || text || '<|im_end|>' || chr(10) AS raw FROM sides s JOIN prefix p USING (k)),
+placed AS (SELECT *, sum(length(raw)) OVER (PARTITION BY k, side ORDER BY i) - length(raw) AS before FROM shown WHERE i >= n),
+done AS (SELECT k, side, string_agg(raw, '' ORDER BY i) AS completion, string_agg(CAST(before + length(role) + 13 AS BIGINT)::VARCHAR || '-' || CAST(before + length(raw) AS BIGINT)::VARCHAR, ';' ORDER BY i) FILTER (WHERE role = 'assistant') AS spans FROM placed GROUP BY k, side),
+prompt AS (SELECT k, string_agg(raw, '' ORDER BY i) AS prompt FROM shown WHERE side = 'chosen' AND i < n GROUP BY k)
+SELECT x.conv_id AS pair_id, CAST(coalesce(prefix.n, 0) AS BIGINT) AS n_prefix, coalesce(prompt.prompt, '') AS prompt,
+  coalesce(c.completion, '') AS chosen_completion, coalesce(r.completion, '') AS rejected_completion, coalesce(c.spans, '') AS chosen_spans, coalesce(r.spans, '') AS rejected_spans,
+  c.k IS NOT NULL OR r.k IS NOT NULL AS differs, coalesce(b.other IS NOT NULL, false) AS complete
+FROM (SELECT DISTINCT k, conv_id FROM t) x LEFT JOIN both_ b USING (k) LEFT JOIN prefix USING (k) LEFT JOIN prompt USING (k)
+LEFT JOIN done c ON c.k = x.k AND c.side = 'chosen' LEFT JOIN done r ON r.k = x.k AND r.side = 'rejected'
 """

@@ -113,7 +113,6 @@ def test_rule_ensemble_on_odd_rows(spark, odd_docs):
 def test_license_rules_in_order_and_wrapped(spark):
     s = license_scan.SENTENCES
     apache = "Licensed under the Apache License, Version 2.0 (the \"License\");\nyou may not use this file except in\ncompliance with the License.\nYou may obtain a copy of the License at\n\nUnless required by applicable law or agreed to in writing, software\ndistributed under the License is distributed on an \"AS IS\" BASIS,\nWITHOUT WARRANTIES OR CONDITIONS OF ANY KIND, either express or implied.\nSee the License for the specific language governing permissions and\nlimitations under the License."
-    apache = apache.replace("\nWITHOUT", " WITHOUT")
     rows = [(1, apache), (2, "Prose here.\nReleased under the MIT License.\nMore."), (3, None), (4, ""), (5, ". ".join([s["mit_liability"], s["mit_grant"]]) + "."), (2, "x")]
     out = {(r.doc_id, r.rule) for r in license_scan.scan_licenses(spark.createDataFrame(rows, "doc_id bigint, text string")).collect()}
     assert out == {(1, "apache-notice"), (2, "mit-line")}
@@ -188,8 +187,78 @@ def test_licenses_as_they_are_wrapped_and_commented(spark):
     assert {(r.doc_id, r.rule, r.first_pos) for r in found if r.doc_id >= 100} == {(100, "mit-licensed-line", 0), (101, "mit-line", 1), (104, "mit-title-short", 1)}
 
 
+MORE = {
+    "LGPL-2.1-or-later": GPL.replace("This program", "This library").replace("GNU General", "GNU Lesser General").replace("version 3", "version 2.1"),
+    "AGPL-3.0-or-later": GPL.replace("GNU General", "GNU Affero General"),
+    "MPL-2.0": "This Source Code Form is subject to the terms of the Mozilla Public\nLicense, v. 2.0. If a copy of the MPL was not distributed with this\nfile, You can obtain one at http://mozilla.org/MPL/2.0/.",
+    "ISC": """Permission to use, copy, modify, and/or distribute this software for any
+purpose with or without fee is hereby granted, provided that the above
+copyright notice and this permission notice appear in all copies.
+
+THE SOFTWARE IS PROVIDED "AS IS" AND THE AUTHOR DISCLAIMS ALL WARRANTIES
+WITH REGARD TO THIS SOFTWARE INCLUDING ALL IMPLIED WARRANTIES OF
+MERCHANTABILITY AND FITNESS. IN NO EVENT SHALL THE AUTHOR BE LIABLE FOR
+ANY SPECIAL, DIRECT, INDIRECT, OR CONSEQUENTIAL DAMAGES OR ANY DAMAGES
+WHATSOEVER RESULTING FROM LOSS OF USE, DATA OR PROFITS, WHETHER IN AN
+ACTION OF CONTRACT, NEGLIGENCE OR OTHER TORTIOUS ACTION, ARISING OUT OF
+OR IN CONNECTION WITH THE USE OR PERFORMANCE OF THIS SOFTWARE.""",
+    "Unlicense": """This is free and unencumbered software released into the public domain.
+
+Anyone is free to copy, modify, publish, use, compile, sell, or
+distribute this software, either in source code form or as a compiled
+binary, for any purpose, commercial or non-commercial, and by any
+means.""",
+    "Zlib": """This software is provided 'as-is', without any express or implied
+warranty.  In no event will the authors be held liable for any damages
+arising from the use of this software.
+
+Permission is granted to anyone to use this software for any purpose,
+including commercial applications, and to alter it and redistribute it
+freely, subject to the following restrictions:""",
+    "GPL-3.0-only": "x = 1\n# SPDX-License-Identifier: GPL-3.0-only\ny = 2",
+    "CC-BY-SA-4.0": "This work is licensed under a Creative Commons\nAttribution-ShareAlike 4.0 International License.",
+}
+
+
+def test_more_licenses_as_published(spark):
+    rows = [(2 * k + i, t if i == 0 else "\n".join(f"// {line}" for line in t.split("\n"))) for k, t in enumerate(MORE.values()) for i in (0, 1)]
+    found = license_scan.scan_licenses(spark.createDataFrame(rows, "doc_id bigint, text string")).collect()
+    assert {(r.doc_id, r.license) for r in found} == {(2 * k + i, name) for k, name in enumerate(MORE) for i in (0, 1)}
+    assert len(license_scan.RULES) >= 60 and all(set(steps) <= set(license_scan.SENTENCES) for _, steps in license_scan.RULES.values())
+
+
+def test_license_scan_on_odd_rows(spark, odd_docs):
+    halves = MIT.split("IN NO EVENT")
+    rows = [(1, halves[0]), (1, "IN NO EVENT" + halves[1]), (2, "filler words here\n" * 20000 + MIT), (3, None), (4, ""), (None, MIT), (2, "filler words here\n" * 20000 + MIT)]
+    docs = spark.createDataFrame(rows, "doc_id bigint, text string").selectExpr("*", "'x' AS row_key", "'y' AS line", "1 AS pos")
+    found = license_scan.scan_licenses(docs).collect()
+    assert sorted((r.doc_id is None, r.doc_id, r.rule) for r in found) == [(False, 2, "mit-text")] * 2 + [(True, None, "mit-text")]
+    assert license_scan.scan_licenses(odd_docs.limit(0)).collect() == []
+
+
+def test_prefixes_of_random_pairs(spark):
+    rng = np.random.default_rng(5)
+    side = lambda n: [(("user", "assistant")[int(rng.integers(2))], "ab"[int(rng.integers(2))]) for _ in range(n)]
+    rows = []
+    for k in range(200):
+        a, b = side(int(rng.integers(0, 6))), side(int(rng.integers(0, 6)))
+        if k % 3 == 0:
+            b = a[: int(rng.integers(0, 6))] + b
+        rows.append((k, None if k % 41 == 5 else a, None if k % 37 == 7 else b))
+    turn = "array<struct<role: string, text: string>>"
+    out = {r.pair_id: r for r in preference.format_preferences(spark.createDataFrame(rows, f"pair_id bigint, chosen {turn}, rejected {turn}")).collect()}
+    show = lambda turns: "".join(f"<|im_start|>{r}\n{t}<|im_end|>\n" for r, t in turns)
+    for k, a, b in rows:
+        r, a_, b_ = out[k], a or [], b or []
+        n = next((i for i, (x, y) in enumerate(zip(a_, b_, strict=False)) if x != y), min(len(a_), len(b_)))
+        assert (r.n_prefix, r.prompt, r.chosen_completion, r.rejected_completion) == (n, show(a_[:n]), show(a_[n:]), show(b_[n:]))
+        assert r.complete == (a is not None and b is not None) and r.differs == (a_ != b_)
+        for text, spans, turns in ((r.chosen_completion, r.chosen_spans, a_[n:]), (r.rejected_completion, r.rejected_spans, b_[n:])):
+            assert [text[s.start : s.end] for s in spans] == [f"{t}<|im_end|>\n" for role, t in turns if role == "assistant"]
+
+
 def test_preference_prefix_and_masks(spark):
-    turns = [(0, 0, "user", "hi"), (0, 1, "assistant", "yo"), (1, 0, "user", "hi"), (1, 1, "assistant", "other"), (2, 0, None, None), (None, 0, "user", "x"), (4, 0, "assistant", "same"), (5, 0, "assistant", "same")]
+    turns = [(0, 0, "user", "hi"), (0, 1, "assistant", "yo"), (1, 0, "user", "hi"), (1, 1, "assistant", "other"), (2, 0, None, None), (None, 0, "user", "x"), (None, 0, "assistant", "x"), (4, 0, "assistant", "same"), (5, 0, "assistant", "same")]
     df = spark.createDataFrame(turns, "conv_id bigint, turn bigint, role string, text string")
     rows = {r.pair_id: r for r in preference.preference_digest(df).collect()}
     r = rows[0]
@@ -200,4 +269,5 @@ def test_preference_prefix_and_masks(spark):
     assert r.rejected_completion[a:b] == "other<|im_end|>\n"
     assert not rows[4].differs and rows[4].n_prefix == 1 and rows[4].chosen_completion == ""
     assert not rows[2].complete and not rows[None].complete
+    assert preference.preference_digest(df).where("pair_id is null").count() == 2
     assert preference.preference_digest(df.limit(0)).collect() == []
