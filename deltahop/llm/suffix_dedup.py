@@ -1,14 +1,14 @@
 """Suffix-array dedup: later copies of long byte strings go, the first stays.
 
 Every byte covered by a string of `length` bytes that also starts in a document with a smaller id is removed. In the suffix
-order of all texts the earlier match of a suffix is its previous or next neighbour from an earlier document (the two candidates of its
-longest previous factor). The suffix order is partitioned: of the short hashes within a window the smallest one is its anchor,
+order of all texts the earlier match of a suffix is its previous or next neighbour from an earlier document; the longer of both is its
+longest previous factor, and a window goes where that reaches `length`. The suffix order is partitioned: of the short hashes within a window the smallest one is its anchor,
 so equal windows have equal anchors and suffixes only need to be compared with those of the same anchor.
 
     1  a chunk sends its distinct anchors, each with a hash of its cell (all bytes of the windows that share it), to buckets
     2  an anchor with one cell everywhere is settled: the first document keeps it, the others lose it
     3  of other anchors the cells go to buckets as bytes; there the suffixes are sorted, and previous and next
-       smaller documents in suffix order say which windows occur earlier
+       smaller documents in suffix order, with the least common prefix on the way to them, give the factors
     4  a chunk marks the removed bytes
 
 Anchors that very many cells share send their windows one by one, dealt out by window, so no bucket gathers them. Keys
@@ -116,36 +116,61 @@ def _word(data: np.ndarray, start: np.ndarray, at: int, take: int) -> np.ndarray
     return word
 
 
-def earlier_windows(data: np.ndarray, start: np.ndarray, doc: np.ndarray, length: int, at_once: int = 1 << 30) -> np.ndarray:
-    """Which windows of `length` bytes also start in an earlier document, among suffixes that all have `length` bytes.
+def _least_within(values: np.ndarray, after: np.ndarray, upto: np.ndarray) -> np.ndarray:
+    """min(values[after + 1 .. upto]) of non-empty ranges, from minima of runs of 1, 2, 4, ... values."""
+    out, level = np.empty(len(after), values.dtype), np.frexp(upto - after)[1] - 1
+    table, step = values, 0
+    while len(table):
+        at = np.flatnonzero(level == step)
+        out[at] = np.minimum(table[after[at] + 1], table[upto[at] - (1 << step) + 1])
+        if not (level > step).any():
+            break
+        table, step = np.minimum(table[: -(1 << step)], table[1 << step :]), step + 1
+    return out
+
+
+def earlier_factors(data: np.ndarray, start: np.ndarray, doc: np.ndarray, length: int, at_once: int = 1 << 30) -> np.ndarray:
+    """Of each suffix the length of its longest prefix, of at most `length` bytes, that also starts in an earlier document.
 
-    Suffixes that start with different bytes need no common order, so more than `at_once` are sorted part by part.
+    Suffixes, which all have `length` bytes, are sorted; the earlier match of each is its previous or next neighbour of a smaller
+    document, and the prefix in common is the least of the common prefixes between them. More than `at_once` suffixes are dealt
+    out by their first bytes and sorted part by part: matches shorter than these then read as zero.
     """
     n = len(start)
     if not n:
-        return np.zeros(0, bool)
+        return np.zeros(0, np.uint8)
     if n > at_once:
         parts = -(-n // at_once)
         part = (tn.mix(_word(data, start, 0, min(8, length))) % tn.U(parts)).astype(np.uint32)
-        out = np.zeros(n, bool)
+        out = np.zeros(n, np.uint8)
         for p in range(parts):
             pick = np.flatnonzero(part == p)
-            out[pick] = earlier_windows(data, start[pick], doc[pick], length)
+            out[pick] = earlier_factors(data, start[pick], doc[pick], length)
         return out
-    keys = [_word(data, start, at, min(8, length - at)) for at in range(0, length, 8)]
-    order = np.lexsort((doc, *keys[::-1]))
-    differs = np.zeros(n, bool)
-    for word in keys:
+    keys = [(_word(data, start, at, min(8, length - at)), min(8, length - at)) for at in range(0, length, 8)]
+    order = np.lexsort((doc, *[word for word, _ in keys[::-1]]))
+    common, open_ = np.zeros(n, np.uint8), np.ones(n, bool)  # with the suffix before
+    open_[0] = False
+    for word, size in keys:
         ranked = word[order]
-        differs[1:] |= ranked[1:] != ranked[:-1]
-    group = np.cumsum(differs)
+        differ = np.zeros(n, tn.U)
+        differ[1:] = ranked[1:] ^ ranked[:-1]
+        equal = differ == 0
+        first = np.full(n, size, np.uint8)
+        for k in range(size):
+            first[(differ >> tn.U(8 * (size - 1 - k))) != 0] -= 1
+        common[open_] += first[open_]
+        open_ &= equal
     ranked = doc[order]
-    hit = np.zeros(n, bool)
-    for near in (previous_smaller(ranked), next_smaller(ranked)):
-        real = np.flatnonzero((near >= 0) & (near < n))
-        hit[real] |= group[near[real]] == group[real]
-    out = np.zeros(n, bool)
-    out[order] = hit
+    factor = np.zeros(n, np.uint8)
+    here = np.arange(n)
+    before, behind = previous_smaller(ranked), next_smaller(ranked)
+    at = np.flatnonzero(before >= 0)
+    factor[at] = _least_within(common, before[at], here[at])
+    at = np.flatnonzero(behind < n)
+    factor[at] = np.maximum(factor[at], _least_within(common, here[at], behind[at]))
+    out = np.zeros(n, np.uint8)
+    out[order] = factor
     return out
 
 
@@ -409,7 +434,7 @@ def _compare(config: SuffixConfig):
         live = np.flatnonzero(_can_match(data, seg_at, size, shift.astype(np.int64), ids, config))
         seg = np.repeat(live, count[live])
         within = np.arange(len(seg)) - np.repeat(np.concatenate([[0], np.cumsum(count[live])[:-1]]), count[live])
-        hit = earlier_windows(data, seg_at[seg] + within, ids[seg], config.length, config.sorted_at_once)
+        hit = earlier_factors(data, seg_at[seg] + within, ids[seg], config.length, config.sorted_at_once) >= config.length
         masks = np.zeros(len(count), tn.U)
         np.bitwise_or.at(masks, seg[hit], tn.U(1) << within[hit].astype(tn.U))
         out, at = [], 0

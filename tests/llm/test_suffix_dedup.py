@@ -35,6 +35,19 @@ def test_previous_smaller(values):
     assert got == [next((j for j in range(i - 1, -1, -1) if values[j] < values[i]), -1) for i in range(len(values))]
 
 
+@settings(max_examples=60, deadline=None)
+@given(st.lists(st.binary(max_size=40).map(lambda b: bytes(x % 2 + 97 for x in b)), min_size=1, max_size=5), st.integers(3, 20), st.sampled_from([7, 1 << 30]))
+def test_earlier_factors(texts, length, at_once):
+    data = np.frombuffer(b"".join(texts), np.uint8)
+    ends = np.cumsum([len(t) for t in texts])
+    spots = [(d, int(ends[d]) - len(t) + i) for d, t in enumerate(texts) for i in range(len(t) - length + 1)]
+    got = suffix_dedup.earlier_factors(data, np.array([s for _, s in spots], np.int64), np.array([d for d, _ in spots], np.int64), length, at_once)
+    raw = data.tobytes()
+    for (d, s), have in zip(spots, got.tolist(), strict=True):
+        best = max((next((n for n in range(length) if raw[s + n] != raw[o + n]), length) for e, o in spots if e < d), default=0)
+        assert have == best or at_once == 7 and have < min(8, length) and best < min(8, length)
+
+
 def brute(rows, n=50):
     first = {}
     for i, text in rows:
