@@ -19,6 +19,7 @@ gives a manifest without rows; other columns are ignored.
 from __future__ import annotations
 
 import bisect
+import hashlib
 import struct
 import uuid
 import zlib
@@ -68,15 +69,15 @@ def _read_varint(raw: bytes, at: int) -> tuple[int, int]:
 
 
 class Bloom:
-    """Bit array with k positions a key, from two halves of one 64-bit hash."""
+    """Bit array with k positions a key, from two independent hashes."""
 
     def __init__(self, bits: np.ndarray, k: int = 7):
         self.bits, self.k = bits, k
 
     @staticmethod
     def _hash(key: bytes) -> tuple[int, int]:
-        h = (zlib.crc32(key) << 32 | zlib.crc32(key, 0x5BD1E995)) * 0x9E3779B97F4A7C15 & (1 << 64) - 1
-        return h >> 32, h & 0xFFFFFFFF | 1
+        a, b = struct.unpack("<QQ", hashlib.blake2b(key, digest_size=16).digest())
+        return a, b | 1
 
     @classmethod
     def of(cls, keys: list[bytes], per_key: int = 10) -> Bloom:

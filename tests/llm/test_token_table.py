@@ -62,3 +62,10 @@ def test_shard_lookup_and_damage():
     raw[20] ^= 1
     with pytest.raises((ValueError, OSError)):
         list(tt.ShardReader(_Memory(bytes(raw))).scan())
+
+
+def test_bloom_filter_rarely_errs():
+    keys = [tt.encode_key(7 * k) for k in range(20_000)]
+    bloom = tt.Bloom.load(tt.Bloom.of(keys).dump())
+    assert all(k in bloom for k in keys)
+    assert sum(tt.encode_key(7 * k + 3) in bloom for k in range(20_000)) < 400
