@@ -307,7 +307,7 @@ def _likely(pairs: DataFrame, nodes: DataFrame, config: NearDupConfig) -> DataFr
 
 
 def near_duplicates(docs: DataFrame, config: NearDupConfig | None = None) -> DataFrame:
-    """One row per document: doc_id, n_shingles, component_id, n_links (confirmed ones of its class), kept."""
+    """One row per document: doc_id, n_shingles, component_id, kept."""
     config = config or NearDupConfig()
     signed, _ = stored(signatures(docs, config), "near-signatures")
     full = signed.where(F.col("node").isNotNull())
@@ -318,14 +318,15 @@ def near_duplicates(docs: DataFrame, config: NearDupConfig | None = None) -> Dat
     )
     spread = nodes.select("node", F.explode("bands").alias("band"))
     buckets, bucket_path = stored(spread.groupBy("band").agg(F.min("node").alias("low"), F.max("node").alias("high")).where("low <> high").select("band", F.col("low").alias("a")), "near-buckets")
-    shared, _ = stored(spread.join(buckets, "band").select("band", "a", F.col("node").alias("b")), "near-shared", free=True)
+    shared, shared_path = stored(spread.join(buckets, "band").select("band", "a", F.col("node").alias("b")), "near-shared", free=True)
     drop_path(docs.sparkSession, bucket_path)
 
     star = shared.where("a <> b").groupBy("a", "b").agg(F.count("*").alias("n"))
-    star, _ = stored(_likely(star.select("a", "b", "n"), nodes, config).join(star, ["a", "b"]).groupBy("b").agg(F.max_by("a", F.struct("n", F.negative("a"))).alias("a")).select("a", "b"), "near-star")
+    star, star_path = stored(_likely(star.select("a", "b", "n"), nodes, config).join(star, ["a", "b"]).groupBy("b").agg(F.max_by("a", F.struct("n", F.negative("a"))).alias("a")).select("a", "b"), "near-star")
     ends = lambda pairs: pairs.select(F.col("a").alias("node")).union(pairs.select(F.col("b").alias("node"))).distinct()
     sets = lambda pairs: _sets(docs, nodes.join(ends(pairs), "node", "left_semi").select("node", "doc_id"), config)
-    links, _ = stored(confirm(star, sets(star), config), "near-links", free=True)
+    links, links_path = stored(confirm(star, sets(star), config), "near-links", free=True)
+    used = [shared_path, star_path, links_path]
     comps = connected_components(links)
 
     members = shared.select("band", F.col("b").alias("node"))
@@ -341,8 +342,9 @@ def near_duplicates(docs: DataFrame, config: NearDupConfig | None = None) -> Dat
     full_sets, sets_path = stored(_sets(docs, wanted, config), "near-sets", free=True)
     turns, closest = 0, True
     while True:
-        pairs, _ = stored(across_components(placed, nodes, full_sets, config, closest).join(done, ["a", "b"], "left_anti"), "near-pairs")
-        more, _ = stored(confirm(pairs, full_sets, config), "near-more", free=True)
+        pairs, pairs_path = stored(across_components(placed, nodes, full_sets, config, closest).join(done, ["a", "b"], "left_anti"), "near-pairs")
+        more, more_path = stored(confirm(pairs, full_sets, config), "near-more", free=True)
+        used += [pairs_path, more_path]
         links, done, turns = links.unionByName(more), done.unionByName(pairs), turns + 1
         found = more.limit(1).count() > 0
         if found:
@@ -353,12 +355,11 @@ def near_duplicates(docs: DataFrame, config: NearDupConfig | None = None) -> Dat
             drop_path(docs.sparkSession, placed_path)
             placed, placed_path = contested(comps)
         closest = found and turns < config.rounds
-    for path in (placed_path, sets_path):
+    for path in (*used, placed_path, sets_path):
         drop_path(docs.sparkSession, path)
-    degree = links.select(F.col("a").alias("node")).union(links.select(F.col("b").alias("node"))).groupBy("node").agg(F.count("*").alias("n_links"))
     named = nodes.select("node", "doc_id").join(comps, "node", "left").select("node", "doc_id", F.coalesce("comp", "node").alias("comp"))
     least = named.groupBy("comp").agg(F.min("doc_id").alias("component_id"))
-    by_node = named.join(least, "comp").join(degree, "node", "left").select("node", "component_id", F.coalesce("n_links", F.lit(0)).alias("n_links"))
+    by_node = named.join(least, "comp").select("node", "component_id")
     out = signed.select("doc_id", "n_shingles", "node").join(by_node, "node", "left")
     component = F.when(F.col("node").isNull(), F.col("doc_id")).otherwise(F.col("component_id"))
-    return out.select("doc_id", "n_shingles", component.alias("component_id"), F.coalesce("n_links", F.lit(0)).cast("bigint").alias("n_links"), F.coalesce(F.col("doc_id") == component, F.lit(False)).alias("kept"))
+    return out.select("doc_id", "n_shingles", component.alias("component_id"), F.coalesce(F.col("doc_id") == component, F.lit(False)).alias("kept"))

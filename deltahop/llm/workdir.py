@@ -11,9 +11,11 @@ from pyspark.sql import DataFrame, SparkSession
 
 
 def shared_dir(spark: SparkSession) -> str:
-    """The folder named in spark.checkpoint.dir; where that is unset (local tests) a temporary one."""
+    """The folder named in spark.checkpoint.dir; where that is unset (local tests) a temporary one, which a cluster couldn't share."""
     base = spark.conf.get("spark.checkpoint.dir", None)
     if not base:
+        if not spark.sparkContext.master.startswith("local["):
+            raise ValueError("set spark.checkpoint.dir to a folder that driver and executors share")
         base = getattr(shared_dir, "_own", None)
         if base is None:
             base = shared_dir._own = "file://" + tempfile.mkdtemp(prefix="deltahop-")
