@@ -101,6 +101,52 @@ def test_rule_columns_equal_numpy_scores_and_learn(spark):
     assert np.mean([(out.loc[i, "predicted"] == 1) == (i < 300) for i in test]) > 0.97
 
 
+def test_lasso_meets_its_optimality_conditions():
+    rng = np.random.default_rng(4)
+    z = (rng.random((400, 12)) < rng.uniform(0.1, 0.9, 12)).astype(float)
+    y = (rng.random(400) < 1 / (1 + np.exp(-(2.5 * z[:, 0] - 2 * z[:, 1] + 0.3)))).astype(float)
+    for penalty in (0.005, 0.03, 10.0):
+        b, w = quality_rules.lasso_logistic(z, y, penalty, steps=4000)
+        left = 1 / (1 + np.exp(-(b + z @ w))) - y
+        slope = ((z - z.mean(0)) / np.maximum(z.std(0), 1e-3)).T @ left / len(y)
+        assert abs(left.mean()) < 1e-4  # the intercept is free
+        assert np.all(np.abs(slope) <= penalty + 1e-4)
+        on = w != 0
+        assert np.allclose(slope[on], -penalty * np.sign(w[on]), atol=1e-4)
+        assert on[:2].all() if penalty < 1 else not on.any()
+
+
+def test_first_tree_splits_as_an_exhaustive_search_does():
+    rng = np.random.default_rng(6)
+    x = np.round(rng.random((60, len(quality_rules.STATISTICS))), 2)
+    y = (x[:, 3] + 0.3 * x[:, 7] + rng.normal(0, 0.1, 60) > 0.7).astype(float)
+    rules = quality_rules.extract_rules(x, y, trees=1, depth=2, n_bins=200, least=5)
+    p = (y.sum() + 1) / (len(y) + 2)
+    grad, hess = y - p, np.full(60, p * (1 - p))
+
+    def best(rows):
+        found = (1e-6, None)
+        for k in range(x.shape[1]):
+            for cut in np.unique(np.quantile(x[:, k], np.linspace(0, 1, 201)[1:-1])):
+                low = rows[x[rows, k] <= cut]
+                high = np.setdiff1d(rows, low)
+                if min(len(low), len(high)) >= 5:
+                    gain = sum(grad[s].sum() ** 2 / (hess[s].sum() + 1) for s in (low, high)) - grad[rows].sum() ** 2 / (hess[rows].sum() + 1)
+                    if gain > found[0] + 1e-12:
+                        found = (gain, (k, cut, low, high))
+        return found[1]
+
+    k, cut, low, high = best(np.arange(60))
+    want = set()
+    for rows, above in ((low, False), (high, True)):
+        path = ((quality_rules.STATISTICS[k], float(cut), above),)
+        want.add(path)
+        inner = best(rows) if len(rows) >= 10 else None
+        if inner:
+            want |= {(*path, (quality_rules.STATISTICS[inner[0]], float(inner[1]), side)) for side in (False, True)}
+    assert {r.conditions for r in rules} == want
+
+
 def test_rule_ensemble_on_odd_rows(spark, odd_docs):
     labels = spark.createDataFrame([(1, 1), (1, 0), (5, 0), (None, 1)], "doc_id bigint, quality int")
     model = quality_rules.fit(odd_docs, labels)
