@@ -7,7 +7,8 @@ For each alignment, values that recur in the item must mostly be replaced by the
 names is found while chance hits of a template are not; unchanged slots and words that begin a sentence are no evidence against it, and
 an alignment in which most of the item is unchanged needs none.
 
-The benchmark goes to the tasks in blocks of checked size (`block_bytes` of text each), every block against all documents.
+Windows of documents and items meet in a Spark join on their hashes, of any size on both sides; documents send only windows that a
+bitmap of the items' hashes, of fixed size, lets pass. The documents and items that meet are then aligned and judged group by group.
 Defined results: null and empty texts match nothing; an item of fewer tokens than a window is one window; items without
 literal tokens only match unchanged; repeated items and repeated documents give rows of their own; an empty table on either side
 gives no rows.
@@ -20,11 +21,11 @@ from dataclasses import dataclass
 
 import numpy as np
 import pyarrow as pa
-from pyspark.sql import DataFrame
+from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
-from pyspark.sql import types as T
 
 from deltahop.llm import textnum as tn
+from deltahop.llm.workdir import stored
 
 # Unit words that fill a unit slot.
 UNITS = "mm cm m km in ft mi inch inches foot feet yard yards mile miles meter meters metre metres kilometer kilometers kilometre kilometres g kg mg lb lbs oz gram grams kilogram kilograms pound pounds ounce ounces ton tons l ml liter liters litre litres gallon gallons s ms min h second seconds minute minutes hour hours day days week weeks month months year years dollar dollars euro euros cent cents usd eur percent degree degrees celsius fahrenheit mph kph watt watts volt volts joule joules hz khz mhz ghz byte bytes kb mb gb tb".split()
@@ -48,8 +49,10 @@ class LeakRules:
     coverage: float = 0.5  # share of an item's tokens inside matching windows
     agreement: float = 0.5  # share of the recurrences of changed values that are replaced alike
     verbatim: float = 0.8  # share of an item's tokens that is a copy whatever the rest is
-    slab_bytes: int = 1 << 20
-    block_bytes: int = 8 << 20
+    slab_bytes: int = 512 << 10
+    bits: int = 1 << 25  # of the bitmap, a power of two
+    parts: int = 16  # that a window's documents are dealt out to
+    pairs: int = 500  # documents and items judged by one task call, about
 
 
 class Template:
@@ -140,16 +143,13 @@ UNIT_HASHES = _hashes(UNITS)
 class Benchmark:
     """Windows of a block of items, sorted by hash for each window length, word by word and of the collapsed template (`runs`)."""
 
-    def __init__(self, items: list[tuple[int | None, str]], rules: LeakRules):
-        raw = [(t or "").encode() for _, t in items]
-        offsets = np.concatenate([[0], np.cumsum([len(r) for r in raw])]).astype(np.int64)
-        self.ids = [i for i, _ in items]
-        words = Template(np.frombuffer(b"".join(raw), np.uint8), offsets)
-        self._tabulate(words, rules, np.ones(len(items), bool))
+    def __init__(self, words: Template, ids: list[int | None], rules: LeakRules):
+        self.ids = ids
+        self._tabulate(words, rules, np.ones(len(ids), bool))
         self.runs = object.__new__(Benchmark)
         runs = words.collapsed()
         # items without literals match unchanged only, which is found word by word
-        self.runs._tabulate(runs, rules, np.bincount(runs.doc[~runs.slot], minlength=len(items)) > 0)
+        self.runs._tabulate(runs, rules, np.bincount(runs.doc[~runs.slot], minlength=len(ids)) > 0)
 
     def _tabulate(self, t: Template, rules: LeakRules, wanted: np.ndarray) -> None:
         self.token, self.value, self.head, self.slot, self.initial, self.first = t.token, t.value, t.head, t.slot, t.initial, t.first
@@ -266,61 +266,137 @@ def _judged(docs: Template, bench: Benchmark, rules: LeakRules, chain: list[tupl
     return bool(share >= rules.coverage and telling and (consistent or verbatim)), share, exact, sum(p[3] for p in chain)
 
 
-def _blocks(benchmark: DataFrame, rules: LeakRules) -> Iterator[list[tuple[int | None, str]]]:
-    """Items in blocks whose text is at most block_bytes, read block by block."""
-    texts = benchmark.select(F.col("item_id").cast("bigint").alias("item_id"), F.col("text").cast("string").alias("text")).where(F.col("text").isNotNull())
-    total = texts.agg(F.sum(F.octet_length("text"))).first()[0] or 0
-    n = max(1, -(-2 * total // rules.block_bytes)) if total > rules.block_bytes else 1
-    for b in range(n):
-        part = texts if n == 1 else texts.where(F.pmod(F.xxhash64("text"), F.lit(n)) == b)
-        yield sorted(((r.item_id, r.text) for r in part.collect()), key=lambda x: (x[0] is None, x[0] or 0, x[1]))
-
-
 RESULT = "doc_id bigint, item_id bigint, n_windows bigint, coverage double, exact boolean, leaked boolean"
+FORMS = (tn.U(0), tn.U(0x5A5A5A5A5A5A5A5A))  # tells windows of words and of collapsed templates apart
+
+
+def _marked(positions: np.ndarray, bits: int) -> np.ndarray:
+    out = np.zeros(bits, bool)
+    out[positions] = True
+    return np.packbits(out)
+
+
+def _items(benchmark: DataFrame) -> DataFrame:
+    """(item_no, item_id, text) of the items that have a text, written once so that their numbers stay."""
+    rows = benchmark.select(F.monotonically_increasing_id().alias("item_no"), F.col("item_id").cast("bigint").alias("item_id"), F.col("text").cast("string").alias("text"))
+    return stored(rows.where(F.col("text").isNotNull()), "leak-items")[0]
+
+
+def _item_windows(items: DataFrame, rules: LeakRules) -> DataFrame:
+    """(name, size, item_no): window hashes of both forms of every item."""
+
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        for batch in batches:
+            data, offsets = tn.utf8_buffers(batch.column("text"))
+            for low, high in tn.slabs(offsets, rules.slab_bytes):
+                cut = offsets[low : high + 1]
+                bench = Benchmark(Template(data[cut[0] : cut[-1]], cut - cut[0]), [None] * (high - low), rules)
+                numbers = batch.column("item_no").to_numpy()[low:high]
+                for form, tables in zip(FORMS, (bench, bench.runs), strict=True):
+                    for n, (name, at) in tables.tables.items():
+                        item = np.searchsorted(tables.first, at, side="right") - 1
+                        yield pa.RecordBatch.from_arrays([pa.array((name ^ form).view(np.int64)), pa.array(np.full(len(name), n, np.int32)), pa.array(numbers[item])], names=["name", "size", "item_no"])
+
+    return items.mapInArrow(run, "name bigint, size int, item_no bigint").distinct()
+
+
+def _doc_windows(texts: DataFrame, sizes: list[int], marks: np.ndarray, rules: LeakRules) -> DataFrame:
+    """(name, doc_key): the windows of each document whose place in the bitmap is marked, each once."""
+
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        for batch in batches:
+            data, offsets = tn.utf8_buffers(batch.column("text"))
+            keys = batch.column("doc_key").to_numpy()
+            for low, high in tn.slabs(offsets, rules.slab_bytes):
+                cut = offsets[low : high + 1]
+                words = Template(data[cut[0] : cut[-1]], cut - cut[0])
+                for form, template in zip(FORMS, (words, words.collapsed()), strict=True):
+                    for n in sizes:
+                        at, name = template.windows(n)
+                        name = name ^ form
+                        spot = name & tn.U(8 * len(marks) - 1)
+                        hit = np.flatnonzero((marks[(spot >> tn.U(3)).astype(np.int64)] >> (7 - (spot & tn.U(7))).astype(np.uint8)) & 1)
+                        if len(hit):
+                            row, name = template.doc[at[hit]], name[hit].view(np.int64)
+                            order = np.lexsort((name, row))
+                            fresh = np.ones(len(order), bool)
+                            fresh[1:] = (row[order][1:] != row[order][:-1]) | (name[order][1:] != name[order][:-1])
+                            pick = order[fresh]
+                            yield pa.RecordBatch.from_arrays([pa.array(name[pick]), pa.array(keys[low + row[pick]])], names=["name", "doc_key"])
+            tn.give_back()
+
+    return texts.mapInArrow(run, "name bigint, doc_key bigint")
+
+
+def _keyed(docs: DataFrame) -> DataFrame:
+    """(doc_key, doc_id, text); equal rows have equal keys, and equal results."""
+    plain = docs.select(F.col("doc_id").cast("bigint").alias("doc_id"), F.col("text").cast("string").alias("text"))
+    return plain.select(document_key().alias("doc_key"), "doc_id", "text")
+
+
+def document_key() -> Column:
+    return F.xxhash64(F.col("doc_id").cast("bigint"), F.col("text").cast("string"))
+
+
+def candidates(docs: DataFrame, items: DataFrame, rules: LeakRules) -> DataFrame:
+    """(doc_key, item_no) of documents and items with a common window: a hash join of their window tables.
+
+    Documents send only windows that a bitmap of fixed size (`bits`) marks as a possible item's; the join decides.
+    """
+    windows, _ = stored(_item_windows(items, rules), "leak-windows")
+    sizes = sorted(r["size"] for r in windows.select("size").distinct().collect())  # at most `window` values
+    if not sizes:
+        return docs.sparkSession.createDataFrame([], "doc_key bigint, item_no bigint")
+    spots = windows.select(F.col("name").bitwiseAND(F.lit(rules.bits - 1)).cast("int").alias("spot")).distinct().toPandas()["spot"]  # at most `bits`
+    found = _doc_windows(_keyed(docs).select("doc_key", "text"), sizes, _marked(spots.to_numpy(), rules.bits), rules)
+    # documents with one window, a third of all perhaps, are dealt out; the items' table is the small side and goes to every part
+    found = found.withColumn("part", F.pmod("doc_key", F.lit(rules.parts)).cast("int"))
+    spread = windows.select("name", "item_no", F.explode(F.sequence(F.lit(0), F.lit(rules.parts - 1))).alias("part"))
+    return found.join(spread, ["name", "part"]).select("doc_key", "item_no").distinct()
+
+
+def _judge_pairs(docs: DataFrame, items: DataFrame, pairs: DataFrame, rules: LeakRules) -> DataFrame:
+    """The rows of leaks, with doc_key, for the documents and items of the pairs, some hundred pairs a task call."""
+    count = pairs.count()
+    groups = max(1, -(-count // rules.pairs))
+    group = F.pmod("doc_key", F.lit(groups)).cast("int").alias("group")
+    keyed = _keyed(docs)
+    once = keyed.join(pairs.select("doc_key").distinct(), "doc_key", "left_semi").groupBy("doc_key").agg(F.first("doc_id").alias("doc_id"), F.first("text").alias("text"), F.count("*").alias("times"))
+    texts = once.select(group, "doc_key", "doc_id", "text", "times")
+    wanted = pairs.select(group, "item_no").distinct().join(items, "item_no")
+
+    def judge(ours: pa.Table, theirs: pa.Table) -> pa.Table:
+        rows: list[tuple] = []
+        if ours.num_rows and theirs.num_rows:
+            data, offsets = tn.utf8_buffers(theirs.column("text"))
+            bench = Benchmark(Template(data, offsets), theirs.column("item_id").to_pylist(), rules)
+            ids, keys, times = (ours.column(c).to_pylist() for c in ("doc_id", "doc_key", "times"))
+            data, offsets = tn.utf8_buffers(ours.column("text"))
+            for low, high in tn.slabs(offsets, rules.slab_bytes):
+                cut = offsets[low : high + 1]
+                template = Template(data[cut[0] : cut[-1]], cut - cut[0])
+                rows += [(keys[low + d], times[low + d], ids[low + d], bench.ids[i], *rest) for d, i, *rest in find_leaks(template, bench, rules)]
+        kinds = (pa.int64(), pa.int64(), pa.int64(), pa.int64(), pa.int64(), pa.float64(), pa.bool_(), pa.bool_())
+        cols = list(zip(*rows, strict=True)) if rows else [[]] * len(kinds)
+        names = ["doc_key", "times", "doc_id", "item_id", "n_windows", "coverage", "exact", "leaked"]
+        return pa.Table.from_arrays([pa.array(c, k) for c, k in zip(cols, kinds, strict=True)], names=names)
+
+    judged = texts.groupBy("group").cogroup(wanted.groupBy("group")).applyInArrow(judge, f"doc_key bigint, times bigint, {RESULT}")
+    return judged.withColumn("times", F.explode(F.sequence(F.lit(1).cast("bigint"), F.col("times")))).drop("times")
 
 
 def leaks(docs: DataFrame, benchmark: DataFrame, rules: LeakRules | None = None) -> DataFrame:
     """A row for each document and item with a common template window."""
-    rules = rules or LeakRules()
-    texts = docs.select(F.col("doc_id").cast("bigint").alias("doc_id"), F.col("text").cast("string").alias("text"))
-    out = None
-    for items in _blocks(benchmark, rules):
-
-        def run(batches: Iterator[pa.RecordBatch], items=items) -> Iterator[pa.RecordBatch]:
-            bench = Benchmark(items, rules)
-            for batch in batches:
-                data, offsets = tn.utf8_buffers(batch.column("text"))
-                rows = []
-                for low, high in tn.slabs(offsets, rules.slab_bytes):
-                    cut = offsets[low : high + 1]
-                    template = Template(data[cut[0] : cut[-1]], cut - cut[0])
-                    rows += [(batch.column("doc_id")[low + d].as_py(), bench.ids[i], *rest) for d, i, *rest in find_leaks(template, bench, rules)]
-                if rows:
-                    kinds = (pa.int64(), pa.int64(), pa.int64(), pa.float64(), pa.bool_(), pa.bool_())
-                    yield pa.RecordBatch.from_arrays([pa.array(c, k) for c, k in zip(zip(*rows, strict=True), kinds, strict=True)], names=["doc_id", "item_id", "n_windows", "coverage", "exact", "leaked"])
-
-        found = texts.mapInArrow(run, RESULT)
-        out = found if out is None else out.unionByName(found)
-    return out
+    return _leaks(docs, benchmark, rules or LeakRules()).drop("doc_key")
+
+
+def _leaks(docs: DataFrame, benchmark: DataFrame, rules: LeakRules) -> DataFrame:
+    items = _items(benchmark)
+    pairs, _ = stored(candidates(docs, items, rules), "leak-pairs")
+    return _judge_pairs(docs, items, pairs, rules)
 
 
 def without_leaks(docs: DataFrame, benchmark: DataFrame, rules: LeakRules | None = None) -> DataFrame:
     """The documents, all their columns unchanged, in which no item leaked."""
-    rules = rules or LeakRules()
-    for items in _blocks(benchmark, rules):
-
-        def run(batches: Iterator[pa.RecordBatch], items=items) -> Iterator[pa.RecordBatch]:
-            bench = Benchmark(items, rules)
-            for batch in batches:
-                data, offsets = tn.utf8_buffers(batch.column("text"))
-                keep = np.ones(batch.num_rows, bool)
-                for low, high in tn.slabs(offsets, rules.slab_bytes):
-                    cut = offsets[low : high + 1]
-                    template = Template(data[cut[0] : cut[-1]], cut - cut[0])
-                    for d, *_, leaked in find_leaks(template, bench, rules):
-                        keep[low + d] &= not leaked
-                yield batch.filter(pa.array(keep))
-            tn.give_back()
-
-        docs = docs.mapInArrow(run, T.StructType(docs.schema.fields))
-    return docs
+    gone, _ = stored(_leaks(docs, benchmark, rules or LeakRules()).where("leaked").select(F.col("doc_key").alias("leaked_key")).distinct(), "leak-documents")
+    return docs.join(gone, document_key() == gone["leaked_key"], "left_anti")

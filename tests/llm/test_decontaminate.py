@@ -64,5 +64,33 @@ def test_verbatim_passages_match_brute_force_in_blocks(spark):
             t += " " + rng.choice(items) + " " + word()
         texts.append(t)
     want = {(d, i) for d, t in enumerate(texts) for i, b in enumerate(items) if f" {b} " in f" {t} "}
-    got = leaked(spark, texts, items, dc.LeakRules(block_bytes=600))
+    got = leaked(spark, texts, items, dc.LeakRules(bits=256, pairs=7))
     assert {k for k, r in got.items() if r.coverage == 1.0 and r.exact} == want and want
+
+
+def test_reparameterised_items_by_construction(spark):
+    """Templates of literal words with recurring slots: new values given alike are leaks, values given at random aren't."""
+    rng = random.Random(11)
+    literal = lambda: "".join(rng.choice("bcdfglmnprst") + rng.choice("aeiou") for _ in range(3))
+    names = ["Alice", "Bruno", "Carla", "Dieter", "Elena", "Fausto", "Greta", "Hugo", "Irene", "Jonas", "Karin", "Luis"]
+    value = {"N": lambda: str(rng.randint(2, 9999)), "P": lambda: rng.choice(names)}
+    fill = lambda template, given: " ".join(given[w] if w in given else w for w in template)
+    items, texts, want = [], [], set()
+    for i in range(25):
+        slots = ["N1", "P1", "N2", "P2"]
+        template = [literal(), literal()]
+        for s in rng.sample(slots * 3, 12):
+            template += [s, literal(), literal()]
+        fresh = lambda: dict(zip(slots, [value["N"](), names[rng.randrange(6)], value["N"](), names[6 + rng.randrange(6)]], strict=True))
+        given, other = fresh(), fresh()
+        while set(given.values()) & set(other.values()):
+            other = fresh()
+        items.append(fill(template, given))
+        around = lambda t: f"{literal()} {literal()} {t} {literal()}"
+        want |= {(len(texts), i), (len(texts) + 1, i)}
+        texts += [around(items[-1]), around(fill(template, other))]
+        texts.append(around(" ".join(value[w[0]]() if w in slots else w for w in template)))  # each slot another value
+        texts.append(around(" ".join(literal() if w not in slots else given[w] for w in template)))  # another template
+    got = leaked(spark, texts, items, dc.LeakRules(bits=1 << 12))
+    assert {k for k, r in got.items() if r.leaked} == want
+    assert all((4 * i + 2, i) in got for i in range(25))
