@@ -64,57 +64,86 @@ class Sample:
     k: int
 
 
-def delta_sample(targets: DataFrame, adj: DataFrame, fanouts: list[int | None], salt: Salt = Salt(), keep: bool = False) -> Sample:
+def _step(frontier: DataFrame, adj, fanout: int | None, salt: Salt, hop: int | None = None) -> DataFrame:
+    """One hop over an adjacency, or over a pair (incoming, outgoing), of which each gives up to `fanout` neighbours."""
+    if not isinstance(adj, tuple):
+        return one_hop(frontier, adj, fanout, salt, hop)
+    found = one_hop_both(frontier, adj[1], adj[0], fanout, fanout, salt, hop)
+    return found.withColumn("nbr_rank", F.col("nbr_rank") + F.col("side") * (fanout or 1 << 30)).drop("side")
+
+
+def _keeper(keep: bool):
+    """Writes a step's table to the shared folder, so that later steps read it instead of doing it again."""
+    return (lambda df, name: stored(df, name)) if keep else (lambda df, name: df)
+
+
+def _kept(save, adj, hops: int):
+    if hops < 2:
+        return adj
+    return tuple(save(a, "adjacency") for a in adj) if isinstance(adj, tuple) else save(adj, "adjacency")
+
+
+def delta_sample(targets: DataFrame, adj, fanouts: list[int | None], salt: Salt = Salt(), keep: bool = True) -> Sample:
     """fanouts[0] applies to the targets (group k); group i-1 are vertices first met among the neighbours of group i.
 
-    keep: write each hop to the shared folder, for many hops or large frontiers.
+    adj: an adjacency, or a pair (incoming, outgoing). keep: each hop is written once and read by all that needs it, so the plan grows
+    by the same number of scans with every hop; without it each hop repeats all hops before.
     """
-    k = len(fanouts)
-    save = (lambda df: stored(df, "hop")) if keep else (lambda df: df)
+    k, save = len(fanouts), _keeper(keep)
+    adj = _kept(save, adj, k)
     frontier = targets.select("batch_id", "node_id").distinct()
+    frontier = save(frontier, "targets") if k else frontier
     nodes, nbrs = None, None
     for i, fanout in zip(range(k, 0, -1), fanouts, strict=True):
         group = frontier.select("batch_id", F.lit(i).alias("delta_idx"), "node_id", F.lit(fanout).cast("int").alias("fanout"))
         nodes = group if nodes is None else nodes.unionByName(group)
-        found = save(one_hop(frontier, adj, fanout, salt).withColumn("delta_idx", F.lit(i)))
+        found = save(_step(frontier, adj, fanout, salt).withColumn("delta_idx", F.lit(i)), "hop")
         nbrs = found if nbrs is None else nbrs.unionByName(found)
-        frontier = save(fresh_frontier(found, nodes))
+        frontier = save(fresh_frontier(found, nodes), "frontier")
     last = frontier.select("batch_id", F.lit(0).alias("delta_idx"), "node_id", F.lit(None).cast("int").alias("fanout"))
     return Sample(last if nodes is None else nodes.unionByName(last), nbrs, k)
 
 
-def layer_resample(targets: DataFrame, adj: DataFrame, fanouts: list[int], salt: Salt = Salt(), layer_salt: bool = True) -> DataFrame:
+def layer_resample(targets: DataFrame, adj, fanouts: list[int], salt: Salt = Salt(), layer_salt: bool = True, keep: bool = True) -> DataFrame:
     """(batch_id, hop, node_id, nbr_rank, nbr_id): in each hop all vertices met so far are sampled again."""
-    frontier, out = targets.select("batch_id", "node_id").distinct(), None
+    save = _keeper(keep)
+    adj = _kept(save, adj, len(fanouts))
+    frontier, out = save(targets.select("batch_id", "node_id").distinct(), "targets"), None
     for hop, fanout in enumerate(fanouts):
-        found = one_hop(frontier, adj, fanout, salt, hop if layer_salt else None).withColumn("hop", F.lit(hop))
+        found = save(_step(frontier, adj, fanout, salt, hop if layer_salt else None).withColumn("hop", F.lit(hop)), "hop")
         out = found if out is None else out.unionByName(found)
-        frontier = frontier.unionByName(found.select("batch_id", F.col("nbr_id").alias("node_id"))).distinct()
+        if hop + 1 < len(fanouts):
+            frontier = save(frontier.unionByName(found.select("batch_id", F.col("nbr_id").alias("node_id"))).distinct(), "frontier")
     return out
 
 
-def path_sample(targets: DataFrame, adj: DataFrame, fanouts: list[int], salt: Salt = Salt(), dedupe: bool = False) -> DataFrame:
+def path_sample(targets: DataFrame, adj, fanouts: list[int], salt: Salt = Salt(), dedupe: bool = False, keep: bool = True) -> DataFrame:
     """(batch_id, hop, node_id, nbr_id, n_paths): expansion along paths, without reuse between layers.
 
     Paths through one vertex at one hop share its sample, so equal paths are counted instead of listed. dedupe: once per hop.
     """
-    frontier = targets.select("batch_id", "node_id").distinct().withColumn("n_paths", F.lit(1).cast("bigint"))
+    save = _keeper(keep)
+    adj = _kept(save, adj, len(fanouts))
+    frontier = save(targets.select("batch_id", "node_id").distinct().withColumn("n_paths", F.lit(1).cast("bigint")), "targets")
     out = None
     for hop, fanout in enumerate(fanouts):
-        found = one_hop(frontier, adj, fanout, salt, hop).join(frontier, ["batch_id", "node_id"]).withColumn("hop", F.lit(hop))
-        found = found.select("batch_id", "hop", "node_id", "nbr_id", "n_paths")
+        found = _step(frontier, adj, fanout, salt, hop).join(frontier, ["batch_id", "node_id"]).withColumn("hop", F.lit(hop))
+        found = save(found.select("batch_id", "hop", "node_id", "nbr_id", "n_paths"), "hop")
         out = found if out is None else out.unionByName(found)
-        frontier = found.groupBy("batch_id", F.col("nbr_id").alias("node_id")).agg((F.lit(1) if dedupe else F.sum("n_paths")).cast("bigint").alias("n_paths"))
+        if hop + 1 < len(fanouts):
+            frontier = save(found.groupBy("batch_id", F.col("nbr_id").alias("node_id")).agg((F.lit(1) if dedupe else F.sum("n_paths")).cast("bigint").alias("n_paths")), "frontier")
     return out
 
 
-def khop_exact(targets: DataFrame, adj: DataFrame, k: int) -> DataFrame:
+def khop_exact(targets: DataFrame, adj: DataFrame, k: int, keep: bool = True) -> DataFrame:
     """(batch_id, node_id, dist): all vertices within k hops."""
-    seen = targets.select("batch_id", "node_id").distinct().withColumn("dist", F.lit(0))
+    save = _keeper(keep)
+    adj = _kept(save, adj, k)
+    seen = save(targets.select("batch_id", "node_id").distinct().withColumn("dist", F.lit(0)), "targets")
     frontier = seen
     for hop in range(1, k + 1):
         near = frontier.join(adj, "node_id").select("batch_id", F.col("nbr_id").alias("node_id")).distinct()
-        frontier = near.join(seen, ["batch_id", "node_id"], "left_anti").withColumn("dist", F.lit(hop))
+        frontier = save(near.join(seen, ["batch_id", "node_id"], "left_anti").withColumn("dist", F.lit(hop)), "frontier")
         seen = seen.unionByName(frontier)
     return seen
 

@@ -45,4 +45,3 @@ ADJ = {
     "core": f"SELECT src_id AS node_id, dst_id AS nbr_id FROM ({TRADE_CORE}) UNION SELECT dst_id, src_id FROM ({TRADE_CORE})",
     "copurchase": f"SELECT src_id AS node_id, dst_id AS nbr_id FROM ({COPURCHASE})",
 }
-PARTIAL_TARGETS = {"core": "SELECT 0 AS batch_id, c_custkey * 16 AS node_id FROM customer WHERE c_custkey < 20", "copurchase": "SELECT 0 AS batch_id, p_partkey * 16 + 1 AS node_id FROM part WHERE p_partkey < 20"}

@@ -1,4 +1,7 @@
-"""Samples, baselines and packed arrays. The oracles build the hops as a chain of common table expressions."""
+"""Samples, baselines and packed arrays. The oracles build the hops as a chain of common table expressions.
+
+Every customer, or every part, is a target: an epoch of batches of 1000 targets in one plan.
+"""
 
 from __future__ import annotations
 
@@ -8,8 +11,10 @@ from deltahop import graphs
 from deltahop.operators import packing
 from deltahop.operators import partitioning as part
 from deltahop.operators import sampling as s
-from deltahop.queries.registry import ADJ, COPURCHASE, PARTIAL_TARGETS, TRADE, TRADE_CORE, mix, query
+from deltahop.operators.storage import stored
+from deltahop.queries.registry import ADJ, TRADE, TRADE_CORE, mix, query
 
+BATCH = 1000  # targets
 TYPE = {"core": (graphs.trade_core_edges, "any"), "copurchase": (graphs.copurchase_edges, "out")}
 
 
@@ -18,16 +23,16 @@ def adjacency(spark, sf_dir, name):
     return part.adjacency(build(spark, sf_dir), direction)
 
 
-def targets(spark, sf_dir, name, batches: int = 1):
+def targets(spark, sf_dir, name):
     raw = graphs.table(spark, sf_dir, "customer" if name == "core" else "part")
     key = "c_custkey" if name == "core" else "p_partkey"
     node = graphs.typed(key, "customer" if name == "core" else "part")
-    return raw.where(F.col(key) < 20 * batches).select(F.floor(F.col(key) / 20).cast("int").alias("batch_id"), node.alias("node_id"))
+    return raw.select(F.floor(F.col(key) / BATCH).cast("int").alias("batch_id"), node.alias("node_id"))
 
 
-def sql_targets(name, batches=1):
+def sql_targets(name):
     key, base, code = ("c_custkey", "customer", 0) if name == "core" else ("p_partkey", "part", 1)
-    return f"SELECT CAST(floor({key} / 20) AS INTEGER) AS batch_id, {key} * 16 + {code} AS node_id FROM {base} WHERE {key} < {20 * batches}"
+    return f"SELECT CAST(floor({key} / {BATCH}) AS INTEGER) AS batch_id, {key} * 16 + {code} AS node_id FROM {base}"
 
 
 def sql_hop(frontier: str, adj: str, fanout: int | None, hop: int | None = None, rel: bool = False) -> str:
@@ -38,10 +43,10 @@ def sql_hop(frontier: str, adj: str, fanout: int | None, hop: int | None = None,
 FROM {frontier} f JOIN {adj} a ON a.node_id = f.node_id){limit}"""
 
 
-def sql_delta(name, fanouts, batches=1, adj=None, start=None) -> str:
+def sql_delta(name, fanouts, adj=None, start=None) -> str:
     """CTEs adj, d<k>..d0 (batch_id, node_id) and e<k>..e1 (batch_id, node_id, nbr_id, nbr_rank)."""
     k = len(fanouts)
-    out = [f"adj AS MATERIALIZED ({adj or ADJ[name]})", f"d{k} AS MATERIALIZED (SELECT DISTINCT batch_id, node_id FROM ({start or sql_targets(name, batches)}))"]
+    out = [f"adj AS MATERIALIZED ({adj or ADJ[name]})", f"d{k} AS MATERIALIZED (SELECT DISTINCT batch_id, node_id FROM ({start or sql_targets(name)}))"]
     for i, f in zip(range(k, 0, -1), fanouts, strict=True):
         seen = " UNION ALL ".join(f"SELECT batch_id, node_id FROM d{j}" for j in range(k, i - 1, -1))
         out.append(f"e{i} AS MATERIALIZED ({sql_hop(f'd{i}', 'adj', f)})")
@@ -51,17 +56,17 @@ def sql_delta(name, fanouts, batches=1, adj=None, start=None) -> str:
     return "WITH " + ", ".join(out) + f", nodes AS MATERIALIZED ({nodes}), nbrs AS MATERIALIZED ({nbrs}) "
 
 
-def delta(spark, sf_dir, name, fanouts, batches=1, adj=None):
-    return s.delta_sample(targets(spark, sf_dir, name, batches), adj if adj is not None else adjacency(spark, sf_dir, name), fanouts)
+def delta(spark, sf_dir, name, fanouts, adj=None):
+    return s.delta_sample(targets(spark, sf_dir, name), adj if adj is not None else adjacency(spark, sf_dir, name), fanouts)
 
 
 HOP_COLS = ("batch_id", "node_id", "nbr_rank", "nbr_id")
 _DIRECTED = {d: f"SELECT DISTINCT {a} AS node_id, {b} AS nbr_id FROM ({TRADE_CORE})" for d, a, b in (("out", "src_id", "dst_id"), ("in", "dst_id", "src_id"))}
-_PARTS = "SELECT CAST(floor(p_partkey / 20) AS INTEGER) AS batch_id, p_partkey * 16 + 1 AS node_id FROM part WHERE p_partkey < 60"
+_PARTS = sql_targets("copurchase")
 
 
 def part_targets(spark, sf_dir):
-    return targets(spark, sf_dir, "copurchase", 3)
+    return targets(spark, sf_dir, "copurchase")
 
 
 for _d in ("out", "in"):
@@ -73,8 +78,8 @@ query("one_hop_both", f"WITH t AS ({_PARTS}), i AS ({_DIRECTED['in']}), o AS ({_
     lambda spark, sf_dir: s.one_hop_both(part_targets(spark, sf_dir), part.adjacency(graphs.trade_core_edges(spark, sf_dir), "out"), part.adjacency(graphs.trade_core_edges(spark, sf_dir), "in"), 6, 4)
 )
 
-query("one_hop_relational", f"WITH t AS ({sql_targets('core', 3)}), adj AS (SELECT DISTINCT src_id AS node_id, dst_id AS nbr_id, rel_id FROM ({TRADE})) {sql_hop('t', 'adj', 8, rel=True)}")(
-    lambda spark, sf_dir: s.one_hop(targets(spark, sf_dir, "core", 3), part.adjacency(graphs.trade_edges(spark, sf_dir), "out", relational=True), 8)
+query("one_hop_relational", f"WITH t AS ({sql_targets('core')}), adj AS (SELECT DISTINCT src_id AS node_id, dst_id AS nbr_id, rel_id FROM ({TRADE})) {sql_hop('t', 'adj', 8, rel=True)}")(
+    lambda spark, sf_dir: s.one_hop(targets(spark, sf_dir, "core"), part.adjacency(graphs.trade_edges(spark, sf_dir), "out", relational=True), 8)
 )
 
 for _k, _name, _f in ((2, "core", [10, 10]), (3, "copurchase", [20, 20, 20])):
@@ -82,7 +87,7 @@ for _k, _name, _f in ((2, "core", [10, 10]), (3, "copurchase", [20, 20, 20])):
 query("delta_edges_k2", sql_delta("core", [10, 10]) + "SELECT * FROM nbrs")(lambda spark, sf_dir: delta(spark, sf_dir, "core", [10, 10]).nbrs.select("batch_id", "delta_idx", "node_id", "nbr_rank", "nbr_id"))
 
 STATS = "SELECT n.batch_id, n_nodes, coalesce(n_edges, 0) AS n_edges FROM (SELECT batch_id, count(*) AS n_nodes FROM nodes GROUP BY 1) n LEFT JOIN (SELECT batch_id, count(*) AS n_edges FROM nbrs GROUP BY 1) e USING (batch_id)"
-query("delta_batched_sizes", sql_delta("core", [10, 10], 8) + STATS)(lambda spark, sf_dir: s.sample_stats(delta(spark, sf_dir, "core", [10, 10], 8)))
+query("delta_batched_sizes", sql_delta("core", [10, 10]) + STATS)(lambda spark, sf_dir: s.sample_stats(delta(spark, sf_dir, "core", [10, 10])))
 query("delta_effective_fanout", sql_delta("core", [12, 6, 3]) + "SELECT n.delta_idx, n.fanout, count(*) AS n_nodes, CAST(sum(coalesce(c, 0)) AS BIGINT) AS n_nbrs FROM nodes n LEFT JOIN (SELECT batch_id, node_id, count(*) AS c FROM nbrs GROUP BY ALL) e USING (batch_id, node_id) GROUP BY ALL")(
     lambda spark, sf_dir: (lambda x: x.nodes.join(x.nbrs.groupBy("batch_id", "node_id").agg(F.count("*").alias("c")), ["batch_id", "node_id"], "left").groupBy("delta_idx", "fanout").agg(F.count("*").alias("n_nodes"), F.sum(F.coalesce("c", F.lit(0))).alias("n_nbrs")))(
         delta(spark, sf_dir, "core", [12, 6, 3])
@@ -92,32 +97,32 @@ query("fresh_frontier", sql_delta("core", [10]) + "SELECT * FROM d0")(
     lambda spark, sf_dir: (lambda t: s.fresh_frontier(s.one_hop(t, adjacency(spark, sf_dir, "core"), 10), t))(targets(spark, sf_dir, "core"))
 )
 query("delta_full_k2", sql_delta("core", [None, None]).replace("CAST(None AS INTEGER)", "CAST(NULL AS INTEGER)") + STATS)(lambda spark, sf_dir: s.sample_stats(delta(spark, sf_dir, "core", [None, None])))
-query("delta_k0", f"SELECT DISTINCT batch_id, 0 AS delta_idx, node_id, CAST(NULL AS INTEGER) AS fanout FROM ({sql_targets('core', 2)})")(lambda spark, sf_dir: delta(spark, sf_dir, "core", [], 2).nodes)
+query("delta_k0", f"SELECT DISTINCT batch_id, 0 AS delta_idx, node_id, CAST(NULL AS INTEGER) AS fanout FROM ({sql_targets('core')})")(lambda spark, sf_dir: delta(spark, sf_dir, "core", []).nodes)
 
 _IN = "(0, 1, 2, 3)"
 _RESIDENT = f"SELECT * FROM ({TRADE_CORE}) WHERE {mix('src_id', 3)} % 8 IN {_IN} AND {mix('dst_id', 3)} % 8 IN {_IN}"
 _RESIDENT_ADJ = f"SELECT src_id AS node_id, dst_id AS nbr_id FROM ({_RESIDENT}) UNION SELECT dst_id, src_id FROM ({_RESIDENT})"
 
 
-@query("delta_in_buffer", sql_delta("core", [10, 10], 4, adj=_RESIDENT_ADJ) + STATS)
+@query("delta_in_buffer", sql_delta("core", [10, 10], adj=_RESIDENT_ADJ) + STATS)
 def delta_in_buffer(spark, sf_dir):
     inside = part.induced(part.bucketed(graphs.trade_core_edges(spark, sf_dir), 8, 3), [0, 1, 2, 3])
-    return s.sample_stats(delta(spark, sf_dir, "core", [10, 10], 4, part.adjacency(inside, "any")))
+    return s.sample_stats(delta(spark, sf_dir, "core", [10, 10], part.adjacency(inside, "any")))
 
 
 _POS = "pos AS (SELECT *, row_number() OVER (PARTITION BY batch_id ORDER BY delta_idx, node_id) - 1 AS pos FROM nodes)"
 query(
     "delta_packed_offsets",
-    sql_delta("core", [10, 10], 2).rstrip() + f", {_POS} SELECT p.batch_id, p.node_id, p.pos, CAST(sum(coalesce(c, 0)) OVER (PARTITION BY p.batch_id ORDER BY p.pos) - coalesce(c, 0) AS BIGINT) AS nbr_start, coalesce(c, 0) AS n_nbrs FROM pos p LEFT JOIN (SELECT batch_id, node_id, count(*) AS c FROM nbrs GROUP BY ALL) e USING (batch_id, node_id) WHERE p.delta_idx > 0",
-)(lambda spark, sf_dir: packing.neighbour_starts(delta(spark, sf_dir, "core", [10, 10], 2)))
+    sql_delta("core", [10, 10]).rstrip() + f", {_POS} SELECT p.batch_id, p.node_id, p.pos, CAST(sum(coalesce(c, 0)) OVER (PARTITION BY p.batch_id ORDER BY p.pos) - coalesce(c, 0) AS BIGINT) AS nbr_start, coalesce(c, 0) AS n_nbrs FROM pos p LEFT JOIN (SELECT batch_id, node_id, count(*) AS c FROM nbrs GROUP BY ALL) e USING (batch_id, node_id) WHERE p.delta_idx > 0",
+)(lambda spark, sf_dir: packing.neighbour_starts(delta(spark, sf_dir, "core", [10, 10])))
 query(
     "delta_group_starts",
-    sql_delta("core", [10, 10], 2) + "SELECT b.batch_id, g.delta_idx, CAST(sum(coalesce(c, 0)) OVER (PARTITION BY b.batch_id ORDER BY g.delta_idx) - coalesce(c, 0) AS BIGINT) AS group_start, coalesce(c, 0) AS n FROM (SELECT DISTINCT batch_id FROM nodes) b JOIN (VALUES (0), (1), (2)) g(delta_idx) ON true LEFT JOIN (SELECT batch_id, delta_idx, count(*) AS c FROM nodes GROUP BY ALL) USING (batch_id, delta_idx)",
-)(lambda spark, sf_dir: packing.group_starts(delta(spark, sf_dir, "core", [10, 10], 2)))
+    sql_delta("core", [10, 10]) + "SELECT b.batch_id, g.delta_idx, CAST(sum(coalesce(c, 0)) OVER (PARTITION BY b.batch_id ORDER BY g.delta_idx) - coalesce(c, 0) AS BIGINT) AS group_start, coalesce(c, 0) AS n FROM (SELECT DISTINCT batch_id FROM nodes) b JOIN (VALUES (0), (1), (2)) g(delta_idx) ON true LEFT JOIN (SELECT batch_id, delta_idx, count(*) AS c FROM nodes GROUP BY ALL) USING (batch_id, delta_idx)",
+)(lambda spark, sf_dir: packing.group_starts(delta(spark, sf_dir, "core", [10, 10])))
 _INPUT = f", {_POS} SELECT n.batch_id, n.node_id, o.pos AS node_pos, n.nbr_rank, n.nbr_id, r.pos AS repr_pos FROM nbrs n JOIN pos o ON o.batch_id = n.batch_id AND o.node_id = n.node_id JOIN pos r ON r.batch_id = n.batch_id AND r.node_id = n.nbr_id"
-query("delta_input_rows", sql_delta("core", [10, 10], 2).rstrip() + _INPUT)(lambda spark, sf_dir: packing.neighbour_positions(delta(spark, sf_dir, "core", [10, 10], 2)).select("batch_id", "node_id", "node_pos", "nbr_rank", "nbr_id", "repr_pos"))
-query("delta_trim_after_layer1", sql_delta("core", [10, 10], 2).rstrip() + ", pos AS (SELECT *, row_number() OVER (PARTITION BY batch_id ORDER BY delta_idx, node_id) - 1 AS pos FROM nodes WHERE delta_idx >= 1) SELECT n.batch_id, n.node_id, o.pos AS node_pos, n.nbr_rank, n.nbr_id, r.pos AS repr_pos FROM nbrs n JOIN pos o ON o.batch_id = n.batch_id AND o.node_id = n.node_id JOIN pos r ON r.batch_id = n.batch_id AND r.node_id = n.nbr_id WHERE n.delta_idx > 1")(
-    lambda spark, sf_dir: packing.neighbour_positions(packing.trim(delta(spark, sf_dir, "core", [10, 10], 2), 1)).select("batch_id", "node_id", "node_pos", "nbr_rank", "nbr_id", "repr_pos")
+query("delta_input_rows", sql_delta("core", [10, 10]).rstrip() + _INPUT)(lambda spark, sf_dir: packing.neighbour_positions(delta(spark, sf_dir, "core", [10, 10])).select("batch_id", "node_id", "node_pos", "nbr_rank", "nbr_id", "repr_pos"))
+query("delta_trim_after_layer1", sql_delta("core", [10, 10]).rstrip() + ", pos AS (SELECT *, row_number() OVER (PARTITION BY batch_id ORDER BY delta_idx, node_id) - 1 AS pos FROM nodes WHERE delta_idx >= 1) SELECT n.batch_id, n.node_id, o.pos AS node_pos, n.nbr_rank, n.nbr_id, r.pos AS repr_pos FROM nbrs n JOIN pos o ON o.batch_id = n.batch_id AND o.node_id = n.node_id JOIN pos r ON r.batch_id = n.batch_id AND r.node_id = n.nbr_id WHERE n.delta_idx > 1")(
+    lambda spark, sf_dir: packing.neighbour_positions(packing.trim(delta(spark, sf_dir, "core", [10, 10]), 1)).select("batch_id", "node_id", "node_pos", "nbr_rank", "nbr_id", "repr_pos")
 )
 
 
@@ -129,20 +134,39 @@ def sql_resample(name, fanouts, layer_salt=True) -> str:
     return "WITH " + ", ".join(out) + " "
 
 
+def _both_sql(fanouts) -> str:
+    """The delta sample over incoming and outgoing neighbours of the trade graph, up to f of each."""
+    k = len(fanouts)
+    out = [f"i AS MATERIALIZED ({_DIRECTED['in']})", f"o AS MATERIALIZED ({_DIRECTED['out']})", f"d{k} AS MATERIALIZED (SELECT DISTINCT batch_id, node_id FROM ({sql_targets('core')}))"]
+    for h, f in zip(range(k, 0, -1), fanouts, strict=True):
+        seen = " UNION ALL ".join(f"SELECT batch_id, node_id FROM d{j}" for j in range(k, h - 1, -1))
+        out.append(f"e{h} AS MATERIALIZED (SELECT * FROM ({sql_hop(f'd{h}', 'i', f)}) UNION ALL SELECT batch_id, node_id, nbr_id, nbr_rank + {f} FROM ({sql_hop(f'd{h}', 'o', f)}))")
+        out.append(f"d{h - 1} AS MATERIALIZED (SELECT DISTINCT batch_id, nbr_id AS node_id FROM e{h} EXCEPT ({seen}))")
+    return "WITH " + ", ".join(out) + " " + " UNION ALL ".join(f"SELECT batch_id, {h} AS delta_idx, node_id, nbr_rank, nbr_id FROM e{h}" for h in range(k, 0, -1))
+
+
+@query("delta_edges_in_and_out", _both_sql([6, 4]))
+def delta_edges_in_and_out(spark, sf_dir):
+    edges = graphs.trade_core_edges(spark, sf_dir)
+    found = s.delta_sample(targets(spark, sf_dir, "core"), (part.adjacency(edges, "in"), part.adjacency(edges, "out")), [6, 4])
+    return found.nbrs.select("batch_id", "delta_idx", "node_id", "nbr_rank", "nbr_id")
+
+
 for _k, _name, _f in ((2, "core", [10, 10]), (3, "copurchase", [20, 20, 20])):
     query(f"layer_resample_k{_k}", sql_resample(_name, _f) + " UNION ALL ".join(f"SELECT batch_id, {h} AS hop, node_id, nbr_rank, nbr_id FROM e{h}" for h in range(_k)))(
         lambda spark, sf_dir, n=_name, f=_f: s.layer_resample(targets(spark, sf_dir, n), adjacency(spark, sf_dir, n), f).select("batch_id", "hop", "node_id", "nbr_rank", "nbr_id")
     )
 
 
-def sql_path(name, fanouts) -> str:
+def sql_path(name, fanouts, dedupe=False) -> str:
     out = [f"adj AS MATERIALIZED ({ADJ[name]})", f"f0 AS MATERIALIZED (SELECT DISTINCT batch_id, node_id, CAST(1 AS BIGINT) AS n_paths FROM ({sql_targets(name)}))"]
     for h, f in enumerate(fanouts):
         out.append(f"e{h} AS MATERIALIZED (SELECT e.batch_id, e.node_id, e.nbr_id, f.n_paths FROM ({sql_hop(f'f{h}', 'adj', f, h)}) e JOIN f{h} f ON f.batch_id = e.batch_id AND f.node_id = e.node_id)")
-        out.append(f"f{h + 1} AS MATERIALIZED (SELECT batch_id, nbr_id AS node_id, CAST(sum(n_paths) AS BIGINT) AS n_paths FROM e{h} GROUP BY ALL)")
+        out.append(f"f{h + 1} AS MATERIALIZED (SELECT batch_id, nbr_id AS node_id, CAST({'1' if dedupe else 'sum(n_paths)'} AS BIGINT) AS n_paths FROM e{h} GROUP BY ALL)")
     return "WITH " + ", ".join(out) + " "
 
 
+query("path_sample_dedupe_k2", sql_path("core", [10, 10], True) + "SELECT *, 0 AS hop FROM e0 UNION ALL SELECT *, 1 FROM e1")(lambda spark, sf_dir: s.path_sample(targets(spark, sf_dir, "core"), adjacency(spark, sf_dir, "core"), [10, 10], dedupe=True))
 query("path_sample_k2", sql_path("core", [10, 10]) + "SELECT *, 0 AS hop FROM e0 UNION ALL SELECT *, 1 FROM e1")(lambda spark, sf_dir: s.path_sample(targets(spark, sf_dir, "core"), adjacency(spark, sf_dir, "core"), [10, 10]))
 
 query(
@@ -168,13 +192,13 @@ def _sweep_sql(name, f):
 
 def sample_sizes(spark, sf_dir, name, fanout, most=4):
     """(graph, k, ...) unique vertices and edges of the three samplers for k = 1..most."""
-    adj, start = adjacency(spark, sf_dir, name).persist(), targets(spark, sf_dir, name)
+    adj, start = stored(adjacency(spark, sf_dir, name), "adjacency"), targets(spark, sf_dir, name)
     delta_all = s.delta_sample(start, adj, [fanout] * most)
     again, paths = s.layer_resample(start, adj, [fanout] * most), s.path_sample(start, adj, [fanout] * most)
     depth = lambda c, top: F.explode(F.sequence(c, F.lit(top))).alias("k")
     dn = delta_all.nodes.select(depth(F.greatest(F.lit(1), most - F.col("delta_idx")), most)).groupBy("k").agg(F.count("*").alias("delta_nodes"))
     de = delta_all.nbrs.select(depth(most - F.col("delta_idx") + 1, most)).groupBy("k").agg(F.count("*").alias("delta_edges"))
-    met = again.groupBy(F.col("nbr_id").alias("node_id")).agg((F.min("hop") + 1).alias("k")).unionByName(start.select("node_id", F.lit(1).alias("k"))).groupBy("node_id").agg(F.min("k").alias("k0"))
+    met = again.groupBy("batch_id", F.col("nbr_id").alias("node_id")).agg((F.min("hop") + 1).alias("k")).unionByName(start.select("batch_id", "node_id", F.lit(1).alias("k"))).groupBy("batch_id", "node_id").agg(F.min("k").alias("k0"))
     rn = met.select(depth(F.col("k0"), most)).groupBy("k").agg(F.count("*").alias("resample_nodes"))
     re = again.select(depth(F.col("hop") + 1, most)).groupBy("k").agg(F.count("*").alias("resample_edges"))
     pe = paths.select(depth(F.col("hop") + 1, most), "n_paths").groupBy("k").agg(F.sum("n_paths").alias("path_edges"))
@@ -192,5 +216,3 @@ def subset_diversity(spark, sf_dir):
     f = targets(spark, sf_dir, "core").select("node_id", F.explode(F.sequence(F.lit(0), F.lit(5))).alias("batch_id"))
     return s.subset_diversity(s.one_hop(f, adjacency(spark, sf_dir, "core"), 5).withColumnRenamed("batch_id", "sample_id"))
 
-
-__all__ = ["COPURCHASE", "PARTIAL_TARGETS"]
