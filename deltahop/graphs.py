@@ -117,13 +117,14 @@ def hyperlink_edges(spark, sf_dir, hashed: bool = False) -> DataFrame:
     return _edges(links.join(ids, "href"), typed("page_id", "page"), 0, typed("target_id", "target"))
 
 
-def knn_edges(spark, sf_dir, k: int = 10) -> DataFrame:
-    """Top k by inner product, ties by id. All vectors are compared in blocks of queries against blocks of vectors."""
+def knn_edges(spark, sf_dir, k: int = 10, block: int = 4096) -> DataFrame:
+    """Top k by inner product, ties by id. All vectors are compared in blocks of about `block` queries against blocks of as many vectors;
+    a pair of blocks gives k rows a query."""
     import numpy as np
     import pandas as pd
 
     vectors = table(spark, sf_dir, "embeddings").select("vec_id", "embedding")
-    blocks = 8
+    blocks = max(1, -(-vectors.count() // block))
     left = vectors.withColumn("qb", F.pmod("vec_id", F.lit(blocks)).cast("int")).withColumn("vb", F.explode(F.sequence(F.lit(0), F.lit(blocks - 1)))).withColumn("query", F.lit(True))
     right = vectors.withColumn("vb", F.pmod("vec_id", F.lit(blocks)).cast("int")).withColumn("qb", F.explode(F.sequence(F.lit(0), F.lit(blocks - 1)))).withColumn("query", F.lit(False))
 

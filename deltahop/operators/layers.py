@@ -8,10 +8,13 @@ from __future__ import annotations
 
 from collections.abc import Callable
 
+import numpy as np
+import pandas as pd
 from pyspark.sql import Column, DataFrame, Window
 from pyspark.sql import functions as F
 
 from deltahop import hashing
+from deltahop.operators.partitioning import hash_ranked
 
 KEYS = ["batch_id", "node_id"]
 
@@ -128,20 +131,51 @@ def softmax_loss(logits: DataFrame, classes: int) -> DataFrame:
 
 
 def sample_negatives(examples: DataFrame, pool: DataFrame, n: int, seed: int, epoch: int) -> DataFrame:
-    """(batch_id, candidate_id): a pool of n negatives per batch, those of smallest hash among the pool's vertices.
+    """(batch_id, candidate_id): up to n different negatives per batch, uniform over the pool's vertices.
 
-    Of a large pool a batch only ranks the vertices below a hash limit, 4 n of them on average; with n in the hundreds fewer than n
-    are left with negligible probability.
+    A batch draws 2 n hashes, each of which names a place in the pool's hash order, and keeps the first n vertices; so a batch costs
+    2 n rows however large the pool is. A pool of n vertices or fewer is taken whole.
     """
     total = pool.select("node_id").distinct()
-    batches = examples.select("batch_id").distinct()
-    size = total.count()
-    ranked = Window.partitionBy("batch_id").orderBy("_p", "candidate_id")
-    both = batches.join(F.broadcast(total.withColumnRenamed("node_id", "candidate_id"))) if size * 16 <= 1 << 26 else batches.join(total.withColumnRenamed("node_id", "candidate_id"))
-    near = both.withColumn("_m", hashing.mix(F.col("candidate_id"), F.col("batch_id") * 31 + seed * 1009 + epoch))
-    limit = hashing.MIX_PRIME if size <= 8 * n else int(hashing.MIX_PRIME * 4 * n / size)
-    kept = near.where(F.col("_m") < limit).withColumn("_p", hashing.priority(seed, epoch, F.col("batch_id"), F.col("candidate_id")))
-    return kept.withColumn("_r", F.row_number().over(ranked)).where(F.col("_r") <= n).select("batch_id", "candidate_id")
+    batches, size = examples.select("batch_id").distinct(), total.count()
+    if size <= n:
+        return batches.join(F.broadcast(total.select(F.col("node_id").alias("candidate_id"))))  # n rows at most
+    placed = hash_ranked(total, seed * 1009 + epoch, "_place").withColumnRenamed("node_id", "candidate_id")
+    draws = batches.withColumn("_k", F.explode(F.sequence(F.lit(0), F.lit(2 * n - 1))))
+    hit = F.conv(F.substring(hashing.priority(seed, epoch, F.col("batch_id"), F.col("_k")), 1, 8), 16, 10).cast("bigint")  # below 2**32
+    draws = draws.withColumn("_place", F.shiftright(hit * size, 32))
+    first = draws.join(placed, "_place").groupBy("batch_id", "candidate_id").agg(F.min("_k").alias("_k"))
+    order = Window.partitionBy("batch_id").orderBy("_k")
+    return first.withColumn("_r", F.row_number().over(order)).where(F.col("_r") <= n).select("batch_id", "candidate_id")
+
+
+def rank_against_all(examples: DataFrame, vectors: DataFrame, relations: list[list[float]] | None = None, ties: str = "mid", block: int = 4096) -> DataFrame:
+    """(example_id, rank) of the true end of (example_id, src_id, rel_id, dst_id) among all vertices of vectors (node_id, h).
+
+    Examples and vertices are dealt out in blocks of about `block` rows; each pair of blocks is one matrix product that counts higher
+    and equal scores, and the counts of an example are added up. relations: the decoder's diagonals (None: plain dot products).
+    """
+    n_v, n_e = vectors.count(), examples.count()
+    share = {"mid": 0.5, "optimistic": 0.0, "pessimistic": 1.0}[ties]
+    vb, qb = max(1, -(-n_v // block)), max(1, -(-n_e // block))
+    end = lambda e: vectors.select(F.col("node_id").alias(f"{e}_id"), F.col("h").alias(e))
+    full = examples.select("example_id", "src_id", "rel_id", "dst_id").join(end("src"), "src_id").join(end("dst"), "dst_id")
+    left = full.select("example_id", "rel_id", "dst_id", "src", "dst", F.pmod(F.xxhash64("example_id"), F.lit(qb)).cast("int").alias("qb"), F.explode(F.sequence(F.lit(0), F.lit(vb - 1))).alias("vb"))
+    right = vectors.select("node_id", "h", F.pmod(F.xxhash64("node_id"), F.lit(vb)).cast("int").alias("vb"), F.explode(F.sequence(F.lit(0), F.lit(qb - 1))).alias("qb"))
+
+    def count(q: pd.DataFrame, v: pd.DataFrame) -> pd.DataFrame:
+        if not len(q) or not len(v):
+            return pd.DataFrame({"example_id": [], "above": [], "equal": []}).astype({"example_id": "int64", "above": "int64", "equal": "int64"})
+        src, dst, h = (np.stack(x).astype(np.float64) for x in (q["src"], q["dst"], v["h"]))
+        if relations is not None:
+            src = src * np.asarray(relations, float)[q["rel_id"].to_numpy()]
+        own = np.round((src * dst).sum(1), 9)[:, None]
+        score = np.round(src @ h.T, 9)
+        other = v["node_id"].to_numpy()[None] != q["dst_id"].to_numpy()[:, None]
+        return pd.DataFrame({"example_id": q["example_id"].to_numpy(), "above": ((score > own) & other).sum(1), "equal": ((score == own) & other).sum(1)})
+
+    counted = left.groupBy("qb", "vb").cogroup(right.groupBy("qb", "vb")).applyInPandas(count, "example_id bigint, above bigint, equal bigint")
+    return counted.groupBy("example_id").agg((1 + F.sum("above") + share * F.sum("equal")).alias("rank"))
 
 
 def corrupt(examples: DataFrame, negatives: DataFrame, side: str = "dst") -> DataFrame:

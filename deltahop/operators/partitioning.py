@@ -19,15 +19,26 @@ def assign_partitions(nodes: DataFrame, p: int, seed: int = 0) -> DataFrame:
     return nodes.withColumn("part_id", random_part("node_id", p, seed))
 
 
+def ranked(df: DataFrame, part: Column, order: list, name: str = "rank", by: tuple[str, ...] = ()) -> DataFrame:
+    """Adds the 0-based place of each row in the given order, within groups of `by`. part: a non-decreasing function of the order,
+    so that no task sorts more than the rows of one part; the counts of the parts before go through one small prefix sum."""
+    keyed = df.withColumn("_s", part)
+    counts = keyed.groupBy(*by, "_s").agg(F.count("*").alias("_n"))
+    before = counts.select(*by, "_s", (F.sum("_n").over(Window.partitionBy(*(by or (F.lit(0),))).orderBy("_s")) - F.col("_n")).alias("_before"))
+    within = F.row_number().over(Window.partitionBy(*by, "_s").orderBy(*order)) - 1
+    return keyed.withColumn("_r", within).join(before, [*by, "_s"]).withColumn(name, (F.col("_before") + F.col("_r")).cast("bigint")).drop("_s", "_r", "_before")
+
+
+def hash_ranked(nodes: DataFrame, seed, name: str = "rank", slices: int = 64) -> DataFrame:
+    """Places in the order of (hash, node_id)."""
+    key = hashing.mix(F.col("node_id"), seed)
+    keyed = nodes.withColumn("_h", key)
+    return ranked(keyed, F.floor(F.col("_h") * slices / hashing.MIX_PRIME).cast("int"), ["_h", "node_id"], name).drop("_h")
+
+
 def assign_balanced(nodes: DataFrame, p: int, seed: int = 0, slices: int = 64) -> DataFrame:
-    """Sizes differ by one at most: ranks in hash order, modulo p. Ranks come from slices of the hash range and a prefix sum over
-    the slice counts, so no task sorts all vertices."""
-    keyed = nodes.withColumn("_h", hashing.mix(F.col("node_id"), seed))
-    keyed = keyed.withColumn("_s", F.floor(F.col("_h") * slices / hashing.MIX_PRIME).cast("int"))
-    counts = keyed.groupBy("_s").count()
-    before = counts.select("_s", (F.sum("count").over(Window.partitionBy(F.lit(0)).orderBy("_s")) - F.col("count")).alias("_before"))
-    within = F.row_number().over(Window.partitionBy("_s").orderBy("_h", "node_id")) - 1
-    return keyed.withColumn("_r", within).join(F.broadcast(before), "_s").withColumn("part_id", F.pmod(F.col("_before") + F.col("_r"), F.lit(p)).cast("int")).drop("_h", "_s", "_r", "_before")
+    """Sizes differ by one at most: ranks in hash order, modulo p."""
+    return hash_ranked(nodes, seed, "_rank", slices).withColumn("part_id", F.pmod("_rank", F.lit(p)).cast("int")).drop("_rank")
 
 
 def assign_label_first(nodes: DataFrame, train: DataFrame, p: int, seed: int = 0, capacity: int | None = None) -> tuple[DataFrame, int]:
@@ -37,10 +48,10 @@ def assign_label_first(nodes: DataFrame, train: DataFrame, p: int, seed: int = 0
     k = -(-n_train // capacity)
     if k >= p and n_train:
         raise ValueError("training vertices leave no partition for the others")
-    ranked = train.select("node_id").distinct().withColumn("_r", F.row_number().over(Window.partitionBy(F.lit(0)).orderBy("node_id")) - 1)
+    placed = ranked(train.select("node_id").distinct(), F.floor(F.col("node_id") / (1 << 14)), ["node_id"], "_place")
     rest = F.lit(k) + random_part("node_id", p - k, seed)
-    part = F.coalesce(F.floor(F.col("_r") / capacity).cast("int"), rest.cast("int"))
-    return nodes.join(ranked, "node_id", "left").withColumn("part_id", part).drop("_r"), k
+    part = F.coalesce(F.floor(F.col("_place") / capacity).cast("int"), rest.cast("int"))
+    return nodes.join(placed, "node_id", "left").withColumn("part_id", part).drop("_place"), k
 
 
 def bucketed(edges: DataFrame, p: int, seed: int = 0) -> DataFrame:

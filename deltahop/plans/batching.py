@@ -2,10 +2,11 @@
 
 from __future__ import annotations
 
-from pyspark.sql import DataFrame, Window
+from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
 from deltahop import hashing
+from deltahop.operators.partitioning import ranked
 
 
 def examples_of_sets(edges: DataFrame, buckets: DataFrame) -> DataFrame:
@@ -15,9 +16,9 @@ def examples_of_sets(edges: DataFrame, buckets: DataFrame) -> DataFrame:
 
 def exact_batches(edges: DataFrame, size: int, seed: int, epoch: int, by: list[str] | None = None) -> DataFrame:
     """Batches of exactly `size` examples in hash order within each group of `by` (e.g. set_idx)."""
-    key = hashing.priority(seed, epoch, F.col("src_id"), F.coalesce("rel_id", F.lit(0)), F.col("dst_id"))
-    w = Window.partitionBy(*(by or [F.lit(0)])).orderBy(key, "src_id", "dst_id")
-    return edges.withColumn("batch_id", F.floor((F.row_number().over(w) - 1) / size))
+    keyed = edges.withColumn("_key", hashing.priority(seed, epoch, F.col("src_id"), F.coalesce("rel_id", F.lit(0)), F.col("dst_id")))
+    placed = ranked(keyed, F.substring("_key", 1, 2), ["_key", "src_id", "dst_id"], "_place", tuple(by or ()))
+    return placed.withColumn("batch_id", F.floor(F.col("_place") / size)).drop("_key", "_place")
 
 
 def hashed_batches(edges: DataFrame, n_batches: int, seed: int) -> DataFrame:

@@ -9,6 +9,7 @@ from pyspark.sql import functions as F
 from deltahop import graphs, hashing
 from deltahop.operators import layers, packed_layers, packing
 from deltahop.operators import sampling as s
+from deltahop.plans import metrics
 from deltahop.queries.registry import mix, query
 from deltahop.queries.sampling import delta, sql_delta
 
@@ -26,7 +27,7 @@ def flat(df, d=D, digits=None):
 
 
 FAN = [10, 10]
-BASE = sql_delta("core", FAN, 2).rstrip() + ", x0 AS (SELECT batch_id, node_id, CAST(node_id % 7 AS DOUBLE) AS h0, CAST(node_id % 11 AS DOUBLE) AS h1 FROM nodes)"
+BASE = sql_delta("core", FAN).rstrip() + ", x0 AS (SELECT batch_id, node_id, CAST(node_id % 7 AS DOUBLE) AS h0, CAST(node_id % 11 AS DOUBLE) AS h1 FROM nodes)"
 
 
 def _sql_add(src, dst, least):
@@ -34,7 +35,7 @@ def _sql_add(src, dst, least):
 
 
 def sample(spark, sf_dir):
-    return delta(spark, sf_dir, "core", FAN, 2)
+    return delta(spark, sf_dir, "core", FAN)
 
 
 def outputs(x, i=1):
@@ -155,18 +156,19 @@ def softmax_ce_loss(spark, sf_dir):
 
 
 def _examples(spark, sf_dir):
-    edges = graphs.customer_part_edges(spark, sf_dir, relational=False).where("src_id < 320")
-    return edges.select(F.floor(F.col("src_id") / 80).cast("int").alias("batch_id"), (F.col("src_id") * 1000000 + F.col("dst_id")).alias("example_id"), "src_id", "rel_id", "dst_id")
+    edges = graphs.customer_part_edges(spark, sf_dir, relational=False)
+    return edges.select(F.floor(F.col("src_id") / 1600).cast("int").alias("batch_id"), (F.col("src_id") * 1000000 + F.col("dst_id")).alias("example_id"), "src_id", "rel_id", "dst_id")
 
 
-_EX = "SELECT DISTINCT CAST(floor(o_custkey / 5) AS INTEGER) AS batch_id, o_custkey * 16000000 + l_partkey * 16 + 1 AS example_id, o_custkey * 16 AS src_id, 0 AS rel_id, l_partkey * 16 + 1 AS dst_id FROM lineitem JOIN orders ON l_orderkey = o_orderkey WHERE o_custkey < 20"
+_EX = "SELECT DISTINCT CAST(floor(o_custkey / 100) AS INTEGER) AS batch_id, o_custkey * 16000000 + l_partkey * 16 + 1 AS example_id, o_custkey * 16 AS src_id, 0 AS rel_id, l_partkey * 16 + 1 AS dst_id FROM lineitem JOIN orders ON l_orderkey = o_orderkey"
 
 
 def _neg_sql(n):
-    size = "(SELECT count(*) FROM part)"
-    m = mix("c.candidate_id", "(b.batch_id * 31 + 5 * 1009)")
-    return f"""SELECT batch_id, candidate_id FROM (SELECT b.batch_id, c.candidate_id, row_number() OVER (PARTITION BY b.batch_id ORDER BY md5(concat_ws(':', 5, 0, b.batch_id, c.candidate_id)), c.candidate_id) AS r
-FROM (SELECT DISTINCT batch_id FROM ({_EX})) b CROSS JOIN (SELECT p_partkey * 16 + 1 AS candidate_id FROM part) c WHERE {size} <= {8 * n} OR {m} < CAST(floor(2147483647.0 * {4 * n} / {size}) AS BIGINT)) WHERE r <= {n}"""
+    """Draws over the places of all parts in hash order; the given tables have more parts than negatives."""
+    draw = "('0x' || substr(md5(concat_ws(':', 5, 0, b.batch_id, t.k)), 1, 8))::BIGINT"
+    return f"""SELECT batch_id, candidate_id FROM (SELECT batch_id, candidate_id, row_number() OVER (PARTITION BY batch_id ORDER BY k) AS r FROM (
+SELECT d.batch_id, p.candidate_id, min(d.k) AS k FROM (SELECT b.batch_id, t.k, ({draw} * (SELECT count(*) FROM part)) >> 32 AS place FROM (SELECT DISTINCT batch_id FROM ({_EX})) b CROSS JOIN range({2 * n}) t(k)) d
+JOIN (SELECT p_partkey * 16 + 1 AS candidate_id, row_number() OVER (ORDER BY {mix('p_partkey * 16 + 1', '(5 * 1009 + 0)')}, p_partkey) - 1 AS place FROM part) p USING (place) GROUP BY ALL)) WHERE r <= {n}"""
 
 
 def _negatives(spark, sf_dir, n):
@@ -176,11 +178,11 @@ def _negatives(spark, sf_dir, n):
 
 query("negatives_per_batch", _neg_sql(50))(lambda spark, sf_dir: _negatives(spark, sf_dir, 50))
 
-_SC = f"WITH ex AS ({_EX}), ng AS ({_neg_sql(20)}), c AS (SELECT batch_id, example_id, src_id, dst_id, dst_id AS candidate_id, true AS is_pos FROM ex UNION ALL SELECT batch_id, example_id, src_id, candidate_id, candidate_id, false FROM ex JOIN ng USING (batch_id) WHERE candidate_id <> dst_id), s AS (SELECT *, CAST((src_id * 31 + dst_id * 17) % 23 AS DOUBLE) / 4 AS score FROM c) "
+_SC = f"WITH ex AS ({_EX}), ng AS ({_neg_sql(5)}), c AS (SELECT batch_id, example_id, src_id, dst_id, dst_id AS candidate_id, true AS is_pos FROM ex UNION ALL SELECT batch_id, example_id, src_id, candidate_id, candidate_id, false FROM ex JOIN ng USING (batch_id) WHERE candidate_id <> dst_id), s AS (SELECT *, CAST((src_id * 31 + dst_id * 17) % 23 AS DOUBLE) / 4 AS score FROM c) "
 
 
 def _scored(spark, sf_dir):
-    rows = layers.corrupt(_examples(spark, sf_dir), _negatives(spark, sf_dir, 20))
+    rows = layers.corrupt(_examples(spark, sf_dir), _negatives(spark, sf_dir, 5))
     return rows.withColumn("score", ((F.col("src_id") * 31 + F.col("dst_id") * 17) % 23).cast("double") / 4)
 
 
@@ -192,4 +194,44 @@ query("link_softmax_loss", _SC + "SELECT round(avg(l), 7) AS loss FROM (SELECT e
     lambda spark, sf_dir: layers.link_loss(_scored(spark, sf_dir)).select(F.round("loss", 7).alias("loss"))
 )
 
+# Reciprocal ranks of held-out edges (a twentieth, by hash) under a DistMult decoder over fixed vectors.
+_HELD = f"SELECT * FROM ({_EX}) WHERE {mix('src_id * 31 + dst_id', 3)} % 100 >= 95"
+_SIDES = "CAST(src_id % 7 AS DOUBLE) AS s0, CAST(src_id % 11 AS DOUBLE) * 0.5 AS s1"
+
+
+def _held(spark, sf_dir):
+    return _examples(spark, sf_dir).where(F.pmod(hashing.mix(F.col("src_id") * 31 + F.col("dst_id"), 3), F.lit(100)) >= 95)
+
+
+def _node_vectors(spark, sf_dir):
+    nodes = graphs.Graph.from_edges(graphs.customer_part_edges(spark, sf_dir, relational=False)).nodes
+    return features(nodes.withColumn("batch_id", F.lit(0))).select("node_id", "h")
+
+
+def _mrr_all_sql(share):
+    return f"""WITH v AS (SELECT DISTINCT unnest([src_id, dst_id]) AS node_id FROM ({_EX})), e AS (SELECT example_id, dst_id, {_SIDES} FROM ({_HELD})),
+o AS (SELECT *, s0 * (dst_id % 7) + s1 * (dst_id % 11) AS own FROM e),
+r AS (SELECT example_id, 1 + sum(CASE WHEN node_id = dst_id THEN 0 WHEN x > own THEN 1.0 WHEN x = own THEN {share} ELSE 0 END) AS rank FROM (SELECT o.*, v.node_id, s0 * (v.node_id % 7) + s1 * (v.node_id % 11) AS x FROM o CROSS JOIN v) GROUP BY 1)
+SELECT count(*) AS n, round(avg(1 / rank), 9) AS mrr FROM r"""
+
+
+for _n, _ties, _share in (("mrr_all", "mid", 0.5), ("mrr_optimistic", "optimistic", 0.0), ("mrr_pessimistic", "pessimistic", 1.0)):
+    query(_n, _mrr_all_sql(_share))(
+        lambda spark, sf_dir, t=_ties: layers.rank_against_all(_held(spark, sf_dir), _node_vectors(spark, sf_dir), [[1.0, 0.5]], t).agg(F.count("*").alias("n"), F.round(F.avg(1 / F.col("rank")), 9).alias("mrr"))
+    )
+
+
+@query(
+    "mrr_sampled",
+    f"""WITH ng AS ({_neg_sql(50)}), e AS (SELECT batch_id, example_id, dst_id, {_SIDES} FROM ({_HELD})),
+r AS (SELECT example_id, 1 + sum(CASE WHEN x > own THEN 1.0 WHEN x = own THEN 0.5 ELSE 0 END) AS rank FROM (SELECT example_id, s0 * (dst_id % 7) + s1 * (dst_id % 11) AS own, s0 * (candidate_id % 7) + s1 * (candidate_id % 11) AS x FROM e JOIN ng USING (batch_id) WHERE candidate_id <> dst_id) GROUP BY 1)
+SELECT count(*) AS n, round(avg(1 / rank), 9) AS mrr FROM r""",
+)
+def mrr_sampled(spark, sf_dir):
+    rows = layers.corrupt(_held(spark, sf_dir), _negatives(spark, sf_dir, 50))
+    side = lambda c: F.array((F.col(c) % 7).cast("double"), (F.col(c) % 11).cast("double"))
+    scored = rows.withColumn("score", layers.distmult(side("src_id"), F.array(F.lit(1.0), F.lit(0.5)), side("dst_id")))
+    return metrics.mrr(scored, "mid").select("n", F.round("mrr", 9).alias("mrr"))
+
+
 __all__ = ["hashing", "s"]

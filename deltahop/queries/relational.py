@@ -54,8 +54,8 @@ query("join_broadcast_nation", "SELECT n_name, count(*) AS n FROM supplier JOIN
 query("join_left_degree", f"SELECT c_custkey, coalesce(degree, 0) AS degree FROM customer LEFT JOIN ({DEGREE}) ON node_id = c_custkey * 16")(
     lambda s, d: table(s, d, "customer").join(degree(s, d), F.col("node_id") == graphs.typed("c_custkey", "customer"), "left").select("c_custkey", F.coalesce("degree", F.lit(0)).alias("degree"))
 )
-query("join_right_orders", "SELECT o_orderkey, c_name FROM (SELECT * FROM customer WHERE c_custkey % 7 = 0) RIGHT JOIN orders ON c_custkey = o_custkey")(
-    lambda s, d: table(s, d, "customer").where("c_custkey % 7 = 0").join(table(s, d, "orders"), F.col("c_custkey") == F.col("o_custkey"), "right").select("o_orderkey", "c_name")
+query("join_right_orders", "SELECT o_orderkey, c_name FROM (SELECT * FROM customer WHERE c_acctbal > 0) RIGHT JOIN orders ON c_custkey = o_custkey")(
+    lambda s, d: table(s, d, "customer").where("c_acctbal > 0").join(table(s, d, "orders"), F.col("c_custkey") == F.col("o_custkey"), "right").select("o_orderkey", "c_name")
 )
 query("join_full_parts", "SELECT a.k AS left_key, b.k AS right_key FROM (SELECT p_partkey AS k FROM part WHERE p_size < 20) a FULL JOIN (SELECT p_partkey AS k FROM part WHERE p_size > 10) b ON a.k = b.k")(
     lambda s, d: table(s, d, "part").where("p_size < 20").select(F.col("p_partkey").alias("left_key")).join(table(s, d, "part").where("p_size > 10").select(F.col("p_partkey").alias("right_key")), F.col("left_key") == F.col("right_key"), "full")
