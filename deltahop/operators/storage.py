@@ -11,10 +11,18 @@ from pyspark.sql import DataFrame, SparkSession
 def shared_path(spark: SparkSession, name: str) -> str:
     base = spark.conf.get("spark.checkpoint.dir", None)
     if not base:
+        if not spark.sparkContext.master.startswith("local["):
+            raise ValueError("set spark.checkpoint.dir to a folder that driver and executors share")
         base = shared_path.own = getattr(shared_path, "own", None) or "file://" + tempfile.mkdtemp(prefix="deltahop-")
     return f"{base.rstrip('/')}/{name}-{uuid.uuid4().hex[:12]}"
 
 
+def drop(spark: SparkSession, path: str) -> None:
+    """Delete an intermediate table that no later step reads."""
+    target = spark._jvm.org.apache.hadoop.fs.Path(path)
+    target.getFileSystem(spark._jsc.hadoopConfiguration()).delete(target, True)
+
+
 def stored(df: DataFrame, name: str = "step") -> DataFrame:
     path = shared_path(df.sparkSession, name)
     df.write.parquet(path)
