@@ -2,13 +2,15 @@
 
 from __future__ import annotations
 
+from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 
 from deltahop import graphs
 from deltahop.operators import partitioning as part
+from deltahop.operators.storage import stored
 from deltahop.plans import batching, metrics, policy, tuning
 from deltahop.queries.graph import NODES, PART
-from deltahop.queries.registry import CUST_PART_PLAIN, TRADE, TRADE_CORE, mix, query
+from deltahop.queries.registry import CUST_PART_PLAIN, ORACLES, TRADE, TRADE_CORE, mix, query
 
 P, C, L = 16, 4, 8
 GREEDY = policy.plan_greedy(P, C)
@@ -175,20 +177,6 @@ def accuracy_multiclass(spark, sf_dir):
     return metrics.accuracy(best).select("n", F.round("accuracy", 9).alias("accuracy"))
 
 
-def _scores(spark, sf_dir, most):
-    ex = graphs.table(spark, sf_dir, "customer").where("c_custkey < 200").select(F.col("c_custkey").alias("example_id"))
-    rows = ex.select("example_id", F.explode(F.sequence(F.lit(0), F.lit(most - 1))).alias("candidate_id"))
-    return rows.select("example_id", "candidate_id", (F.col("candidate_id") == F.col("example_id") % most).alias("is_pos"), ((F.col("example_id") * 31 + F.col("candidate_id") * 17) % 53).cast("double").alias("score"))
-
-
-def _mrr_sql(most, share):
-    return f"""WITH s AS (SELECT c_custkey AS e, k AS c, k = c_custkey % {most} AS pos, (c_custkey * 31 + k * 17) % 53 AS v FROM customer, range({most}) t(k) WHERE c_custkey < 200),
-r AS (SELECT o.e, 1 + sum(CASE WHEN n.v > o.v THEN 1.0 WHEN n.v = o.v THEN {share} ELSE 0.0 END) AS rank FROM s o JOIN s n ON n.e = o.e AND NOT n.pos WHERE o.pos GROUP BY o.e) SELECT count(*) AS n, round(avg(1 / rank), 9) AS mrr FROM r"""
-
-
-for _n, _most, _ties, _share in (("mrr_sampled", 40, "mid", 0.5), ("mrr_all", 200, "mid", 0.5), ("mrr_optimistic", 200, "optimistic", 0.0), ("mrr_pessimistic", 200, "pessimistic", 1.0)):
-    query(_n, _mrr_sql(_most, _share))(lambda spark, sf_dir, m=_most, t=_ties: metrics.mrr(_scores(spark, sf_dir, m), t).select("n", F.round("mrr", 9).alias("mrr")))
-
 # Published epoch minutes with the hourly price of the machine they ran on, and the published cost.
 EPOCHS = [("citation A", "memory", 0.77, 12.24, 0.16), ("citation A", "disk", 0.83, 3.06, 0.04), ("citation B", "memory", 2.57, 24.48, 1.05), ("citation B", "disk", 0.94, 3.06, 0.05), ("KG A", "memory", 17.5, 12.24, 3.57), ("KG A", "disk", 34.2, 3.06, 1.74), ("KG B", "disk", 69.9, 3.06, 3.56), ("KG A attention", "memory", 52.6, 12.24, 10.7), ("KG A attention", "disk", 56.9, 3.06, 2.90)]
 query("cost_per_epoch", f"SELECT graph, mode, round(minutes / 60 * rate, 6) AS dollars, abs(minutes / 60 * rate - printed) <= 0.02 * printed + 0.006 AS agrees FROM (SELECT graph, mode, CAST(m AS DOUBLE) AS minutes, CAST(r AS DOUBLE) AS rate, CAST(d AS DOUBLE) AS printed FROM {values(EPOCHS, 'graph, mode, m, r, d')})")(
@@ -251,8 +239,6 @@ SWEEP = sweep_rows()
 def policy_sweep(spark, sf_dir):
     """Number of sets and bias for every p and l: both grow with l, the bias falls with p at a fixed l."""
     rows = spark.createDataFrame([(p, n, x, i, j) for p, n, _, plan in SWEEP for (i, j), x in plan.buckets.items()], "p int, l int, set_idx int, src_part int, dst_part int")
-    from pyspark.sql import Window
-
     ends = rows.select("p", "l", "set_idx", F.explode(F.array("src_part", "dst_part")).alias("part_id")).groupBy("p", "l", "set_idx", "part_id").agg(F.count("*").alias("n"))
     full = rows.select("p", "l", "set_idx").distinct().join(rows.select("p", "l", F.col("src_part").alias("part_id")).distinct(), ["p", "l"])
     per = full.join(ends, ["p", "l", "set_idx", "part_id"], "left").withColumn("n", F.coalesce("n", F.lit(0)))
@@ -262,7 +248,58 @@ def policy_sweep(spark, sf_dir):
     return spread.groupBy("p", "l").agg(F.countDistinct("set_idx").alias("n_sets"), F.round(F.max("d"), 9).alias("bias"))
 
 
-TREND = [("p", float(x), 5.0 * x**-1.2) for x in (4, 8, 16, 32)] + [("l", float(x), 0.1 * x**0.4) for x in (4, 8, 16)]
-query("bias_trend_fit", f"SELECT series, round(regr_slope(ln(b), ln(x)), 6) AS exponent FROM (SELECT series, CAST(x AS DOUBLE) AS x, CAST(b AS DOUBLE) AS b FROM {values(TREND, 'series, x, b')}) GROUP BY series")(
-    lambda spark, sf_dir: tuning.bias_trend(spark.createDataFrame(TREND, "series string, x double, bias double")).select("series", F.round("exponent", 6).alias("exponent"))
-)
+SWEEP_SQL = ORACLES["policy_sweep"]
+
+
+@query("bias_trend_fit", f"WITH s AS ({SWEEP_SQL}) SELECT 'p' AS series, round(regr_slope(ln(bias), ln(p)), 6) AS exponent FROM s WHERE l = 8 UNION ALL SELECT 'l', round(regr_slope(ln(bias), ln(l)), 6) FROM s WHERE p = 32")
+def bias_trend_fit(spark, sf_dir):
+    """Exponents of the measured bias over p at eight groups, and over l at 32 partitions."""
+    rows = policy_sweep(spark, sf_dir)
+    series = lambda name, kept: rows.where(kept).select(F.lit(name).alias("series"), F.col(name).cast("double").alias("x"), "bias")
+    return tuning.bias_trend(series("p", "l = 8").unionByName(series("l", "p = 32"))).select("series", F.round("exponent", 6).alias("exponent"))
+
+
+def scan_points(o: tuning.Overheads, memory: float, block: float, reserve: float) -> list[tuple[int, int, int, bool]]:
+    """(p, l, c, tuned): the tuned point, and points around it with fewer, more or larger partitions and groups that fit the memory."""
+    best = tuning.autotune(o, memory, block, reserve)
+    points = {(best["p"], best["l"], best["c"]): True}
+    for p in sorted({max(4, best["p"] // 4), max(4, best["p"] // 2), best["p"], 2 * best["p"]}):
+        most = tuning.choose_c(o, p, memory, reserve)
+        for c in sorted({max(2, most // 2), most}):
+            if 2 <= c <= most:
+                least = tuning.choose_l(p, c)
+                for n in sorted({least, min(p, 2 * least), p}):
+                    points.setdefault((p, n, c), False)
+    return [(*key, tuned) for key, tuned in sorted(points.items())]
+
+
+def tuning_scan(spark, sf_dir, seed: int = 3) -> DataFrame:
+    """Sets, loads, bias, bytes read, smallest read and modelled cost of the tuned (p, l, c) and the points around it, on the trade graph
+    with a buffer for a third of its partitions. place: by modelled cost, equal ones by bias."""
+    g = graphs.Graph(stored(graphs.Graph.from_tables(spark, sf_dir, "trade").nodes, "nodes"), stored(graphs.trade_edges(spark, sf_dir).select("src_id", "dst_id"), "edges"), "trade")
+    n_nodes, n_edges = g.nodes.count(), g.edges.count()
+    o = tuning.Overheads.of(n_nodes, n_edges, DIM, EDGE)
+    memory, block = 1.02 * (o.node_bytes / 3 + 2 * o.edge_bytes / 9), o.edge_bytes / 256
+    rows = []
+    for p, n, c, tuned in scan_points(o, memory, block, 0):
+        try:
+            plan = policy.plan_two_level(p, n, c, 0, seed)
+        except ValueError:  # two of these groups don't fit
+            continue
+        sizes = part.assign_partitions(g.nodes, p, seed).groupBy("part_id").agg((F.count("*") * DIM * 4).alias("bytes"))
+        buckets = part.bucket_sizes(part.bucketed(g.edges, p, seed)).select("src_part", "dst_part", (F.col("n_edges") * EDGE).alias("bytes"))
+        sizes, buckets = stored(sizes, "sizes"), stored(buckets, "buckets")
+        io = metrics.io_bytes(plan.loads_df(spark), plan.sets_df(spark), sizes, buckets).first()
+        least = min(sizes.agg(F.min("bytes")).first()[0], buckets.agg(F.min("bytes")).first()[0])
+        bias = metrics.edge_permutation_bias(plan.buckets_df(spark), p).first().bias
+        rows.append((p, n, c, tuned, len(plan.sets), plan.n_loads, float(bias), io.node_bytes + io.edge_bytes, int(least), tuning.epoch_cost(len(plan.sets), p, choose_alpha(o, block))))
+    scan = spark.createDataFrame(rows, "p int, l int, c int, tuned boolean, n_sets int, n_loads int, bias double, io_bytes bigint, min_read bigint, epoch_cost double")
+    return scan.withColumn("place", F.rank().over(Window.orderBy("epoch_cost", "bias")))
+
+
+def choose_alpha(o: tuning.Overheads, block: float) -> float:
+    """Partitions beyond which reads get smaller than a block."""
+    return float(tuning.choose_p(o, block))
+
+
+query("tuning_scan")(tuning_scan)

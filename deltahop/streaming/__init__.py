@@ -19,9 +19,10 @@ from deltahop.operators.storage import shared_path
 SCHEMA = "event_id bigint, ts timestamp_ntz, user_id bigint, event_type string, value double, props string"
 
 
-def edge_stream(spark: SparkSession, folder: str, pattern: str = "events.parquet") -> DataFrame:
-    """Streaming events of a folder, with ts as TIMESTAMP and the item of props.k."""
-    raw = spark.readStream.schema(SCHEMA).option("pathGlobFilter", pattern).parquet(folder)
+def edge_stream(spark: SparkSession, folder: str, pattern: str = "events.parquet", files: int | None = None) -> DataFrame:
+    """Streaming events of a folder, with ts as TIMESTAMP and the item of props.k. files: at most so many a micro batch."""
+    reader = spark.readStream.schema(SCHEMA).option("pathGlobFilter", pattern)
+    raw = (reader.option("maxFilesPerTrigger", files) if files else reader).parquet(folder)
     return raw.select("event_id", F.col("ts").cast("timestamp").alias("ts"), "user_id", "event_type", "value", F.get_json_object("props", "$.k").cast("bigint").alias("item"))
 
 
@@ -29,8 +30,8 @@ def as_edges(events: DataFrame) -> DataFrame:
     return events.select(graphs.typed("user_id", "customer").alias("src_id"), F.col("event_type").alias("rel"), graphs.typed("item", "item").alias("dst_id"), "ts")
 
 
-def drain(stream: DataFrame, name: str, mode: str = "append") -> DataFrame:
-    """Run a stream to the end of its source and return what it wrote."""
+def drain(stream: DataFrame, name: str, mode: str = "append", keys: tuple[str, ...] = ()) -> DataFrame:
+    """Run a stream to the end of its source and return what it wrote: in update mode the last row of each of `keys`."""
     spark = stream.sparkSession
     path, marks = shared_path(spark, name), shared_path(spark, f"{name}-marks")
     if mode == "append":
@@ -42,8 +43,10 @@ def drain(stream: DataFrame, name: str, mode: str = "append") -> DataFrame:
 
     stream.writeStream.foreachBatch(keep).option("checkpointLocation", marks).outputMode(mode).trigger(availableNow=True).start().awaitTermination()
     rows = spark.read.parquet(path)
-    last = rows.agg(F.max("epoch")).first()[0]
-    return rows.where(F.col("epoch") == last).drop("epoch")
+    if not keys:
+        return rows.where(F.col("epoch") == rows.agg(F.max("epoch")).first()[0]).drop("epoch")
+    last = rows.groupBy(*keys).agg(F.max_by(F.struct(*stream.columns), "epoch").alias("r"))
+    return last.select("r.*")
 
 
 def dedupe(events: DataFrame, delay: str = "1 day") -> DataFrame:
@@ -91,7 +94,8 @@ def degree_and_sample(events: DataFrame, fanout: int = 5) -> DataFrame:
         for pdf in frames:
             degree += len(pdf)
             for item, p in zip(pdf["item"], pdf["p"], strict=True):
-                best[int(item)] = int(p)
+                if not pd.isna(item):  # counts as an edge, but has no end to keep
+                    best[int(item)] = int(p)
         kept = sorted(best.items(), key=lambda x: (x[1], x[0]))[:fanout]
         state.update((degree, [v for item, p in kept for v in (p, item)]))
         yield pd.DataFrame({"user_id": [key[0]], "degree": [degree], "sample": [",".join(str(i) for i, _ in kept)]})
