@@ -1,14 +1,17 @@
 """Worked examples, invariants and gradient checks of the methods."""
 
+from itertools import combinations
+
 import numpy as np
 import pytest
 from pyspark.sql import functions as F
 
 from deltahop import graphs, hashing
+from deltahop.operators import layers as tables
 from deltahop.operators import packed_layers as pl
 from deltahop.operators import packing, sampling
 from deltahop.operators import partitioning as part
-from deltahop.plans import metrics, policy, tuning
+from deltahop.plans import batching, metrics, policy, tuning
 from deltahop.sources import store
 
 A, B, C, D, E = range(5)
@@ -206,3 +209,129 @@ def test_bucketed_table_needs_no_exchange(spark, sf):
 def test_mix_agrees_with_plain_numbers(spark):
     rows = spark.range(50).select("id", hashing.mix(F.col("id") * 1_000_003, 9).alias("m")).collect()
     assert all(r.m == hashing.mix_int(r.id * 1_000_003, 9) for r in rows)
+
+
+def scans(df):
+    return df._jdf.queryExecution().optimizedPlan().toString().count("Relation [")
+
+
+def test_plans_grow_evenly_with_hops(spark, sf):
+    edges = graphs.trade_core_edges(spark, sf)
+    adj = part.adjacency(edges, "any")
+    targets = spark.createDataFrame([(0, i * 16) for i in range(20)], "batch_id int, node_id bigint")
+    targets.write.mode("overwrite").saveAsTable("dh_targets_test")
+    targets = spark.table("dh_targets_test")
+    samples = [sampling.delta_sample(targets, adj, [3] * k) for k in range(1, 6)]
+    for frames in ([x.nodes for x in samples], [x.nbrs for x in samples], [sampling.layer_resample(targets, adj, [3] * k) for k in range(1, 6)]):
+        n = [scans(f) for f in frames]
+        assert len(set(np.diff(n))) == 1 and n[-1] <= 12
+    lazy = [scans(sampling.delta_sample(targets, adj, [3] * k, keep=False).nodes) for k in range(1, 4)]
+    assert lazy[2] - lazy[1] > 2 * (lazy[1] - lazy[0])  # what keeping hops avoids
+    spark.sql("DROP TABLE dh_targets_test")
+
+
+def test_delta_sample_of_both_directions(spark):
+    edges = spark.createDataFrame([(1, 0, 2), (2, 0, 3), (4, 0, 2), (3, 0, 1)], "src_id bigint, rel_id int, dst_id bigint")
+    pair = part.adjacency(edges, "in"), part.adjacency(edges, "out")
+    found = sampling.delta_sample(spark.createDataFrame([(0, 2)], "batch_id int, node_id bigint"), pair, [None, None])
+    assert {(r.delta_idx, r.node_id, r.nbr_id) for r in found.nbrs.collect()} == {(2, 2, 1), (2, 2, 4), (2, 2, 3), (1, 1, 3), (1, 1, 2), (1, 4, 2), (1, 3, 2), (1, 3, 1)}
+    assert packing.Packed.of(packing.pack(found).first()).group_starts.tolist() == [0, 0, 3]
+
+
+def test_ranks_equal_a_whole_sort(spark):
+    rng = np.random.default_rng(2)
+    ids = [int(x) for x in rng.choice(10**6, 500, replace=False)]
+    df = spark.createDataFrame([(i % 3, i) for i in ids], "g int, node_id bigint")
+    got = {r.node_id: r.place for r in part.hash_ranked(df, 4, "place").collect()}
+    assert sorted(ids, key=lambda i: (hashing.mix_int(i, 4), i)) == sorted(ids, key=got.get) and sorted(got.values()) == list(range(500))
+    within = part.ranked(df, F.floor(F.col("node_id") / 1000), ["node_id"], "place", ("g",)).collect()
+    assert all(sorted(r.place for r in within if r.g == g) == list(range(sum(r.g == g for r in within))) for g in range(3))
+    edges = df.select(F.col("node_id").alias("src_id"), F.lit(0).alias("rel_id"), F.col("g").cast("bigint").alias("dst_id"))
+    sizes = sorted(r["count"] for r in batching.exact_batches(edges, 120, 1, 0).groupBy("batch_id").count().collect())
+    assert sizes == [20, 120, 120, 120, 120]
+
+
+def test_negatives_are_uniform_and_need_no_cross_join(spark):
+    pool = spark.range(40).select((F.col("id") * 7).alias("node_id"))
+    batches = spark.range(600).select(F.col("id").cast("int").alias("batch_id"))
+    found = tables.sample_negatives(batches, pool, 10, 1, 0)
+    rows = found.collect()
+    per = {}
+    for r in rows:
+        per.setdefault(r.batch_id, set()).add(r.candidate_id)
+    assert len(per) == 600 and all(len(v) <= 10 for v in per.values()) and sum(map(len, per.values())) == len(rows) > 5900
+    count = np.bincount([r.candidate_id // 7 for r in rows], minlength=40)
+    assert len(count) == 40 and ((count - len(rows) / 40) ** 2 / (len(rows) / 40)).sum() < 75
+    text = found._jdf.queryExecution().optimizedPlan().toString()
+    assert "Cross" not in text and "NestedLoop" not in found._jdf.queryExecution().executedPlan().toString()
+    assert tables.sample_negatives(batches.limit(2), pool.limit(6), 10, 1, 0).count() == 12
+
+
+@pytest.mark.parametrize("ties, share", [("mid", 0.5), ("optimistic", 0.0), ("pessimistic", 1.0)])
+def test_ranks_among_all_vertices(spark, ties, share):
+    rng = np.random.default_rng(7)
+    h = rng.integers(-2, 3, (30, 3)).astype(float)
+    edges = [(k, int(a), int(r), int(b)) for k, (a, r, b) in enumerate(zip(rng.integers(0, 30, 40), rng.integers(0, 2, 40), rng.integers(0, 30, 40), strict=True))]
+    rel = [[1.0, 0.5, 2.0], [1.0, -1.0, 0.0]]
+    vectors = spark.createDataFrame([(i, v.tolist()) for i, v in enumerate(h)], "node_id bigint, h array<double>")
+    examples = spark.createDataFrame(edges, "example_id bigint, src_id bigint, rel_id int, dst_id bigint")
+    got = {r.example_id: r["rank"] for r in tables.rank_against_all(examples, vectors, rel, ties, block=7).collect()}
+    for k, a, r, b in edges:
+        score = (h[a] * rel[r]) @ h.T
+        other = np.delete(score, b)
+        assert got[k] == 1 + (other > score[b]).sum() + share * (other == score[b]).sum()
+
+
+def brute_greedy(n, m):
+    """One swap at a time, by counting from scratch which pairs each swap would bring together."""
+    held, covered, out = set(range(m)), set(), []
+    while True:
+        covered |= {frozenset(x) for x in combinations(sorted(held), 2)}
+        out.append(sorted(held))
+        if len(covered) == n * (n - 1) // 2:
+            return out
+        swaps = []
+        for gone in sorted(held):
+            for new in sorted(set(range(n)) - held):
+                kept = held - {gone}
+                swaps.append((-len({frozenset((new, k)) for k in kept} - covered), gone, new))
+        gain, gone, new = min(swaps)
+        if gain == 0:
+            a, b = min(tuple(sorted(p)) for p in ({frozenset(x) for x in combinations(range(n), 2)} - covered))
+            keep, new = (a, b) if a in held else (b, a) if b in held else (None, a)
+            gone = min(held - {keep})
+        held = held - {gone} | {new}
+
+
+@pytest.mark.parametrize("n, m", [(4, 2), (6, 3), (8, 2), (9, 4), (16, 4)])
+def test_greedy_sets_equal_brute_force(n, m):
+    assert policy.greedy_sets(n, m) == brute_greedy(n, m)
+
+
+@pytest.mark.parametrize("p, groups, c", [(16, 8, 4), (12, 6, 4), (20, 5, 8), (32, 8, 8)])
+def test_two_level_and_cover_sets_follow_their_groups(p, groups, c):
+    for epoch in range(3):
+        plan = policy.plan_two_level(p, groups, c, epoch, 3)
+        order = sorted(range(p), key=lambda i: (hashing.mix_int(i, 3 * 1009 + epoch), i))
+        size = p // groups
+        assert plan.groups == [sorted(order[g * size : (g + 1) * size]) for g in range(groups)]
+        logical = brute_greedy(groups, c // size)
+        assert plan.sets == [sorted(q for g in s for q in plan.groups[g]) for s in logical]
+        cover = policy.plan_random_cover(p, groups, c, epoch, 3)
+        seen = set(cover.logical_sets[0])
+        assert len(seen) == c // size
+        for a, b in zip(cover.logical_sets, cover.logical_sets[1:], strict=False):
+            (new,) = set(b) - set(a)
+            assert new not in seen and len(b) == len(a)
+            seen.add(new)
+        assert seen == set(range(groups))
+
+
+def test_tuned_point_is_among_the_cheapest(spark, sf):
+    from deltahop.queries.plan import tuning_scan
+
+    rows = tuning_scan(spark, sf).collect()
+    (best,) = [r for r in rows if r.tuned]
+    assert len(rows) >= 6 and best.place <= max(1, len(rows) // 4)
+    assert all(r.min_read <= best.min_read for r in rows if r.p > best.p)
+    assert all(0 <= r.bias <= 1 and r.io_bytes > 0 for r in rows)
