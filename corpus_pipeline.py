@@ -10,7 +10,7 @@ from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
 from deltahop.llm import decontaminate, near_dup, quality_rules, sentence_pieces, suffix_dedup
-from deltahop.llm.workdir import stored
+from deltahop.llm.workdir import drop_path, stored
 
 
 def reserved(docs: DataFrame) -> dict[str, str]:
@@ -75,8 +75,10 @@ ORACLE_SQL = None
 
 def run(spark: SparkSession, sf_dir: str) -> DataFrame:
     """All stages applied to documents; each result is written and read again as the next one's input."""
-    docs = spark.read.parquet(f"{sf_dir}/documents.parquet")
-    for k, (name, stage) in enumerate(STAGES):
-        out = stage(spark, docs, sf_dir)
-        docs = out if k == len(STAGES) - 1 else stored(out, f"stage-{k}")[0]
-    return docs
+    docs, held = spark.read.parquet(f"{sf_dir}/documents.parquet"), None
+    for k, (_, stage) in enumerate(STAGES[:-1]):
+        docs, path = stored(stage(spark, docs, sf_dir), f"stage-{k}")
+        if held:
+            drop_path(spark, held)  # the next stages read the table just written
+        held = path
+    return STAGES[-1][1](spark, docs, sf_dir)
