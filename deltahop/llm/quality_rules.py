@@ -43,7 +43,7 @@ def statistics(data: np.ndarray, offsets: np.ndarray) -> np.ndarray:
     per_byte, per_word = np.maximum(size, 1), np.maximum(count, 1)
     col = {"words": np.log1p(count), "word_length": tn.per_doc(words.end - words.start, words.first) / per_word}
     for name, table in _CLASS.items():
-        run = np.concatenate([[0], np.cumsum(table[data], dtype=np.int64)])
+        run = np.concatenate([[0], np.cumsum(table[data], dtype=np.int32)])
         col[name] = (run[offsets[1:]] - run[offsets[:-1]]) / per_byte
     salt = tn.mix(words.doc.astype(tn.U) + tn.U(11))
     _, later = tn.repeated(words.hash ^ salt)
@@ -69,7 +69,7 @@ def statistics(data: np.ndarray, offsets: np.ndarray) -> np.ndarray:
     return np.column_stack([col[name] for name in STATISTICS]).astype(np.float64) if n_docs else np.empty((0, len(STATISTICS)))
 
 
-def with_statistics(docs: DataFrame, slab_bytes: int = 1 << 20) -> DataFrame:
+def with_statistics(docs: DataFrame, slab_bytes: int = 512 << 10) -> DataFrame:
     """All columns of docs plus `stats`, a struct of the statistics."""
     schema = T.StructType([*docs.schema.fields, T.StructField("stats", T.StructType([T.StructField(s, T.DoubleType()) for s in STATISTICS]))])
 
@@ -220,7 +220,8 @@ def fit(docs: DataFrame, labels: DataFrame, label: str = "quality", max_rows: in
     target = target.groupBy("doc_id").agg(F.max("_y").alias("_y"))
     sample = target.orderBy(F.xxhash64("doc_id"), "doc_id").limit(max_rows)
     texts = docs.select(F.col("doc_id").cast("bigint").alias("doc_id"), F.col("text").cast("string").alias("text")).join(F.broadcast(sample), "doc_id")
-    rows = with_statistics(texts).select("doc_id", "_y", "stats").toPandas()  # max_rows x 17 numbers at most, but for repeated ids
+    texts = texts.groupBy("doc_id", "_y").agg(F.min("text").alias("text"))  # of repeated ids one text
+    rows = with_statistics(texts).select("doc_id", "_y", "stats").toPandas()  # max_rows x 17 numbers at most
     rows = rows.sort_values("doc_id", kind="stable")
     x = np.array([[r[s] for s in STATISTICS] for r in rows["stats"]]).reshape(len(rows), len(STATISTICS))
     return fit_matrix(x, rows["_y"].to_numpy(float))

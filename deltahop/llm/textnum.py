@@ -127,7 +127,7 @@ class Words:
         self.end = np.flatnonzero(finishes) + 1
         self.first = np.searchsorted(self.start, offsets)
         self.doc = np.repeat(np.arange(self.n_docs), np.diff(self.first))
-        self.hash = span_hash(data, self.start, self.end, lower, self.sep)
+        self.hash = span_hash(data, self.start, self.end, lower)
 
     def __len__(self) -> int:
         return len(self.start)
@@ -153,19 +153,27 @@ class Words:
         return at, out
 
 
-def span_hash(data: np.ndarray, start: np.ndarray, end: np.ndarray, lower: bool = False, zero: np.ndarray | None = None) -> np.ndarray:
-    """Hash of the bytes of disjoint ascending spans; `zero` marks bytes between them if already known."""
-    if len(start) == 0:
-        return np.empty(0, U)
-    p, q = _powers(len(data) + 1)
-    value = (_LOWER if lower else _PLAIN)[data] * p[: len(data)]
-    if zero is not None:
-        value[zero] = 0
-        total = np.add.reduceat(value, start)
-    else:
-        run = np.concatenate([np.zeros(1, U), np.cumsum(value, dtype=U)])
-        total = run[end] - run[start]
-    return mix(total * q[start] + (end - start).astype(U) * _MIX_B)
+def span_hash(data: np.ndarray, start: np.ndarray, end: np.ndarray, lower: bool = False, block: int = 1 << 19) -> np.ndarray:
+    """Hash of the bytes of disjoint ascending spans, a block of bytes at a time; a longer span is summed up piece by piece."""
+    total = np.empty(len(start), U)
+    table, low = _LOWER if lower else _PLAIN, 0
+    while low < len(start):
+        begin = int(start[low])
+        high = int(np.searchsorted(end, begin + block, side="right"))
+        if high > low:
+            finish = int(end[high - 1])
+            p, q = _powers(finish - begin + 1)
+            run = np.zeros(finish - begin + 1, U)
+            np.cumsum(table[data[begin:finish]] * p[:-1], dtype=U, out=run[1:])
+            total[low:high] = (run[end[low:high] - begin] - run[start[low:high] - begin]) * q[start[low:high] - begin]
+        else:
+            high, finish, sums = low + 1, int(end[low]), 0
+            for at in range(begin, finish, block):
+                piece = table[data[at : min(at + block, finish)]]
+                sums += int((piece * _powers(len(piece))[0]).sum(dtype=U)) * pow(_BASE, at - begin, 1 << 64)
+            total[low] = sums % (1 << 64)
+        low = high
+    return mix(total + (end - start).astype(U) * _MIX_B)
 
 
 def lines(data: np.ndarray, offsets: np.ndarray) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
