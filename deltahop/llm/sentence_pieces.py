@@ -10,7 +10,9 @@ of the text before it, which holds for exactly one edge at every place (`relax_m
 no merge across their border comes before the merges that made them; this is read off the last merges of both. Characters without
 a piece are bytes. Results equal those of the library's own encoder.
 
-Words with runs of spaces, whose pieces all have one priority, and words over `longest` bytes are merged one by one with a heap.
+A place that no occurrence of a piece crosses is never merged over, so words are cut there before the relaxation; this keeps texts without
+spaces in short segments. Words with runs of spaces, whose pieces all have one priority, are merged one by one with a heap, and so are
+segments over `longest` bytes (one character repeated thousands of times, say), whose relaxation would take a step a byte.
 Defined results: null and empty texts have no tokens; decoding gives the text back unless it holds U+2581, which stands for a
 space; repeated rows repeat; other columns are ignored.
 """
@@ -311,10 +313,22 @@ def relax_scores(v: Vocabulary, data, start, end, edges, unknown_score: float =
     return last
 
 
+def _cut_uncrossed(text, low, high, edges):
+    """(starts, ends) of the segments of words between places that no edge crosses."""
+    begin, finish, _ = edges
+    step = np.zeros(len(text) + 1, np.int32)
+    np.add.at(step, begin + 1, 1)  # an edge crosses the places after its begin and before its end
+    np.add.at(step, finish, -1)
+    cut = np.cumsum(step[:-1]) == 0
+    cut[low] = True
+    start = np.flatnonzero(cut)
+    return start, np.append(start[1:], len(text))
+
+
 class SentencePieceEncoder(MemoEncoder):
-    def __init__(self, v: Vocabulary, relax=relax_merges, memo_size: int = 1_500_000, longest: int = 400):
+    def __init__(self, v: Vocabulary, relax=relax_merges, memo_size: int = 1_000_000, longest: int = 4000, at_once: int = 96 << 10):
         super().__init__(2 if v.unknown < 1 << 16 else 4, memo_size)
-        self.v, self.matcher, self.relax, self.longest = v, Matcher(v), relax, longest
+        self.v, self.matcher, self.relax, self.longest, self.at_once = v, Matcher(v), relax, longest, at_once
         self.by_bytes = {v.pieces[i]: int(i) for i in np.flatnonzero([len(p) > 0 for p in v.pieces])}
         self.length = np.array([len(p) for p in v.pieces])
 
@@ -326,28 +340,54 @@ class SentencePieceEncoder(MemoEncoder):
         return start, np.zeros(len(start), bool)
 
     def encode_new(self, data, start, end, alone):
-        odd = (end - start > self.longest) | ((end - start > 1) & (data[start] == 32) & (data[np.minimum(start + 1, len(data) - 1)] == 32))
-        order, counts, found = [], [], []
         if self.relax is relax_merges:
-            for k in np.flatnonzero(odd):
-                ids = merge_one(self.v, self.by_bytes, data[start[k] : end[k]].tobytes().decode())
-                order.append([k])
-                counts.append([len(ids)])
-                found.append(np.array(ids, self.kind))
-            plain = np.flatnonzero(~odd)
+            by_heap = (end - start > 1) & (data[start] == 32) & (data[np.minimum(start + 1, len(data) - 1)] == 32)
         else:
-            plain = np.arange(len(start))
-        if len(plain):
-            size = (end - start)[plain]
-            high = np.cumsum(size)
-            low = high - size
-            text = data[np.repeat(start[plain] - low, size) + np.arange(high[-1])]
-            edges = _with_characters(self.v, text, self.matcher.edges(text, low, high))
-            n, ids = self._read(text, low, high, self.relax(self.v, text, low, high, edges))
-            order.append(plain)
-            counts.append(n)
-            found.append(ids)
-        return np.concatenate(order).astype(np.int64), np.concatenate(counts).astype(np.int64), np.concatenate(found)
+            by_heap = np.zeros(len(start), bool)
+        found = [self._merged(data, start, end, np.flatnonzero(by_heap))]
+        rest = np.flatnonzero(~by_heap)
+        reached = np.cumsum((end - start)[rest])
+        at = 0
+        while at < len(rest):
+            before = int(reached[at - 1]) if at else 0
+            upto = max(at + 1, int(np.searchsorted(reached, before + self.at_once, side="right")))
+            found.append(self._relaxed(data, start, end, rest[at:upto]))
+            at = upto
+        order, counts, ids = zip(*found, strict=True)
+        return np.concatenate(order).astype(np.int64), np.concatenate(counts).astype(np.int64), np.concatenate(ids)
+
+    def _merged(self, data, start, end, which):
+        lists = [merge_one(self.v, self.by_bytes, data[start[k] : end[k]].tobytes().decode()) for k in which]
+        return which, np.array([len(x) for x in lists], np.int64), np.array([i for x in lists for i in x], self.kind)
+
+    def _relaxed(self, data, start, end, which):
+        size = (end - start)[which]
+        high = np.cumsum(size)
+        low = high - size
+        text = data[np.repeat(start[which] - low, size) + np.arange(high[-1])]
+        edges = _with_characters(self.v, text, self.matcher.edges(text, low, high))
+        if self.relax is not relax_merges:
+            counts, ids = self._read(text, low, high, self.relax(self.v, text, low, high, edges))
+            return which, counts, ids
+        seg_low, seg_high = _cut_uncrossed(text, low, high, edges)
+        lengthy = np.flatnonzero(seg_high - seg_low > self.longest)
+        if len(lengthy):
+            inside = np.zeros(len(text), bool)
+            for k in lengthy:
+                inside[seg_low[k] : seg_high[k]] = True
+            edges = tuple(e[~inside[edges[0]]] for e in edges)
+        last = self.relax(self.v, text, seg_low, seg_high, edges)
+        easy = np.setdiff1d(np.arange(len(seg_low)), lengthy)
+        counts, parts = np.zeros(len(seg_low), np.int64), []
+        counts[easy], ids = self._read(text, seg_low[easy], seg_high[easy], last) if len(easy) else (0, np.empty(0, self.kind))
+        if len(lengthy):
+            done = np.concatenate([[0], np.cumsum(counts)])
+            at = 0
+            for k, own in zip(lengthy.tolist(), (self._merged(text, seg_low, seg_high, [k])[2] for k in lengthy), strict=True):
+                parts += [ids[at : done[k]], own]
+                at, counts[k] = done[k], len(own)
+            ids = np.concatenate([*parts, ids[at:]])
+        return which, np.add.reduceat(counts, np.searchsorted(seg_low, low)), ids
 
     def _read(self, text, low, high, last):
         """(tokens per word, ids): follow the last pieces back from the words' ends."""
@@ -406,7 +446,7 @@ def _encoder(v: Vocabulary) -> SentencePieceEncoder:
     return _ENCODERS[key]
 
 
-def encode_documents(docs: DataFrame, model: str = "piece_bpe_32k.model", slab_bytes: int = 2 << 20, with_ids: bool = False) -> DataFrame:
+def encode_documents(docs: DataFrame, model: str = "piece_bpe_32k.model", slab_bytes: int = 512 << 10, with_ids: bool = False) -> DataFrame:
     """(doc_id, n_tokens, ids_crc32, round_trip[, ids]): encode whole texts, decode the ids and compare."""
     v = load_vocabulary(model)
     names = ["doc_id", "n_tokens", "ids_crc32", "round_trip"] + ["ids"] * with_ids
@@ -415,10 +455,9 @@ def encode_documents(docs: DataFrame, model: str = "piece_bpe_32k.model", slab_b
         encode, decode = _encoder(v), Decoder(v)
         for batch in batches:
             source, source_at = tn.utf8_buffers(batch.column("text"))
-            data, offsets = tn.utf8_buffers(with_prefix(batch.column("text")))
-            for low, high in tn.slabs(offsets, slab_bytes):
-                cut = offsets[low : high + 1]
-                ids, bounds = encode(data[cut[0] : cut[-1]], cut - cut[0])
+            for low, high in tn.slabs(source_at, slab_bytes):
+                data, cut = tn.utf8_buffers(with_prefix(batch.column("text").slice(low, high - low)))
+                ids, bounds = encode(data, cut)
                 text, at = decode(ids, bounds)
                 crc = [zlib.crc32(ids[bounds[k] : bounds[k + 1]].astype("<u4").tobytes()) for k in range(high - low)]
                 same = [np.array_equal(text[at[k] + (at[k + 1] > at[k]) : at[k + 1]], source[source_at[low + k] : source_at[low + k + 1]]) for k in range(high - low)]
