@@ -8,6 +8,8 @@ from pyspark.sql import Column, DataFrame, SparkSession, Window
 from pyspark.sql import functions as F
 from pyspark.sql import types as T
 
+from deltahop.operators.partitioning import ranked
+
 # Type codes and relation ids.
 TYPES = {"customer": 0, "part": 1, "supplier": 2, "nation": 3, "region": 4, "document": 5, "token": 6, "page": 7, "target": 8, "item": 9, "vector": 10}
 RELATIONS = {"part_supplier": 6, "customer_nation": 7, "supplier_nation": 8, "nation_region": 9}
@@ -100,7 +102,7 @@ def doctoken_edges(spark, sf_dir, hashed: bool = False) -> DataFrame:
     if hashed:
         token = F.shiftrightunsigned(F.xxhash64("token"), 5)
         return _edges(pairs, typed("doc_id", "document"), 0, typed(token, "token"))
-    ids = pairs.select("token").distinct().withColumn("token_id", F.row_number().over(Window.orderBy("token")) - 1)
+    ids = ranked(pairs.select("token").distinct(), F.substring("token", 1, 2), ["token"], "token_id")  # a prefix follows the order
     return _edges(pairs.join(ids, "token"), typed("doc_id", "document"), 0, typed("token_id", "token"))
 
 
@@ -113,7 +115,7 @@ def hyperlink_edges(spark, sf_dir, hashed: bool = False) -> DataFrame:
     links = page_links(spark, sf_dir).distinct()
     if hashed:
         return _edges(links, typed("page_id", "page"), 0, typed(F.shiftrightunsigned(F.xxhash64("href"), 5), "target"))
-    ids = links.select("href").distinct().withColumn("target_id", F.row_number().over(Window.orderBy("href")) - 1)
+    ids = ranked(links.select("href").distinct(), F.substring("href", 1, 40), ["href"], "target_id")
     return _edges(links.join(ids, "href"), typed("page_id", "page"), 0, typed("target_id", "target"))
 
 

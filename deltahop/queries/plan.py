@@ -7,9 +7,10 @@ from pyspark.sql import functions as F
 
 from deltahop import graphs
 from deltahop.operators import partitioning as part
-from deltahop.operators.storage import stored
+from deltahop.operators.storage import shared_path, stored
 from deltahop.plans import batching, metrics, policy, tuning
 from deltahop.queries.graph import NODES, PART
+from deltahop.sources import store
 from deltahop.queries.registry import CUST_PART_PLAIN, ORACLES, TRADE, TRADE_CORE, mix, query
 
 P, C, L = 16, 4, 8
@@ -58,6 +59,11 @@ def assign_nodes(spark, sf_dir):
     return policy.assign_nodes(nodes, TWO.sets_df(spark))
 
 
+@query("plan_table_sink", deferred_sql(TWO))
+def plan_table_sink(spark, sf_dir):
+    return store.read_plan(spark, store.write_plan(spark, TWO))["buckets"].select("src_part", "dst_part", "set_idx")
+
+
 def loads_sql(plan) -> str:
     return f"""SELECT set_idx, part_id, 'load' AS action FROM {sets_sql(plan)} s WHERE NOT EXISTS (SELECT 1 FROM {sets_sql(plan)} o WHERE o.part_id = s.part_id AND o.set_idx = s.set_idx - 1)
 UNION ALL SELECT set_idx + 1, part_id, 'evict' FROM {sets_sql(plan)} s WHERE set_idx < {len(plan.sets) - 1} AND NOT EXISTS (SELECT 1 FROM {sets_sql(plan)} o WHERE o.part_id = s.part_id AND o.set_idx = s.set_idx + 1)"""
@@ -188,6 +194,17 @@ RUNS = [(run, e, 10.0 * e + k, "accuracy", round(1 - 0.5 ** (e * (k + 1)), 4)) f
 query("time_to_accuracy", f"SELECT run, CAST(min(elapsed_s) AS DOUBLE) AS elapsed_s FROM {values(RUNS, 'run, epoch, elapsed_s, metric, value')} WHERE metric = 'accuracy' AND value >= 0.95 GROUP BY run")(
     lambda spark, sf_dir: metrics.time_to_metric(spark.createDataFrame(RUNS, "run string, epoch int, elapsed_s double, metric string, value double"), "accuracy", 0.95)
 )
+
+
+@query("metric_table_sink", f"SELECT run, CAST(epoch AS INTEGER) AS epoch, CAST(elapsed_s AS DOUBLE) AS elapsed_s, metric, CAST(value AS DOUBLE) AS value FROM {values(RUNS, 'run, epoch, elapsed_s, metric, value')}")
+def metric_table_sink(spark, sf_dir):
+    """Two runs written one after the other, the first one twice."""
+    path, schema = shared_path(spark, "metrics"), "run string, epoch int, elapsed_s double, metric string, value double"
+    for run in ("memory", "disk", "memory"):
+        store.write_metrics(spark.createDataFrame([r for r in RUNS if r[0] == run], schema), path)
+    return spark.read.parquet(path).select("run", "epoch", "elapsed_s", "metric", "value")
+
+
 # Published reciprocal ranks (model and graph, memory, two-level, greedy).
 RANKS = [("DistMult small KG", 0.2533, 0.2659, 0.2431), ("DistMult KG A", 0.7249, 0.7220, 0.7189), ("DistMult KG B", 0.3941, 0.4071, 0.3951), ("SAGE small KG", 0.2825, 0.2736, 0.2369), ("SAGE KG A", 0.7342, 0.7123, 0.6976), ("SAGE KG B", 0.4658, 0.4078, 0.4080), ("GAT small KG", 0.2869, 0.2341, 0.2076), ("GAT KG A", 0.7418, 0.7053, 0.6860)]
 query("gap_closed", f"SELECT run, round((CAST(two AS DOUBLE) - greedy) / (CAST(mem AS DOUBLE) - greedy), 6) AS closed FROM {values(RANKS, 'run, mem, two, greedy')}")(
@@ -248,6 +265,12 @@ def policy_sweep(spark, sf_dir):
     return spread.groupBy("p", "l").agg(F.countDistinct("set_idx").alias("n_sets"), F.round(F.max("d"), 9).alias("bias"))
 
 
+@query("epoch_cost_model", f"SELECT p, l, count(DISTINCT set_idx) * greatest(1.0::DOUBLE, p / 16.0::DOUBLE) AS cost FROM {values([(p, n, x) for p, n, _, plan in SWEEP for x in range(len(plan.sets))], 'p, l, set_idx')} GROUP BY p, l")
+def epoch_cost_model(spark, sf_dir):
+    """Modelled epoch cost of the sweep's plans, with reads that shrink below a block beyond 16 partitions."""
+    return spark.createDataFrame([(p, n, tuning.epoch_cost(len(plan.sets), p, 16.0)) for p, n, _, plan in SWEEP], "p int, l int, cost double")
+
+
 SWEEP_SQL = ORACLES["policy_sweep"]
 
 

@@ -110,6 +110,16 @@ def delta_in_buffer(spark, sf_dir):
     return s.sample_stats(delta(spark, sf_dir, "core", [10, 10], part.adjacency(inside, "any")))
 
 
+_FULL, _HELD = sql_delta("core", [10, 10]) + STATS, sql_delta("core", [10, 10], adj=_RESIDENT_ADJ) + STATS
+
+
+@query("in_buffer_share", f"SELECT f.batch_id, f.n_nodes AS full_nodes, f.n_edges AS full_edges, b.n_nodes AS buffer_nodes, b.n_edges AS buffer_edges FROM ({_FULL}) f JOIN ({_HELD}) b USING (batch_id)")
+def in_buffer_share(spark, sf_dir):
+    """Size of each batch over the whole graph and over half of its partitions."""
+    full = s.sample_stats(delta(spark, sf_dir, "core", [10, 10])).select("batch_id", F.col("n_nodes").alias("full_nodes"), F.col("n_edges").alias("full_edges"))
+    return full.join(delta_in_buffer(spark, sf_dir).select("batch_id", F.col("n_nodes").alias("buffer_nodes"), F.col("n_edges").alias("buffer_edges")), "batch_id")
+
+
 _POS = "pos AS (SELECT *, row_number() OVER (PARTITION BY batch_id ORDER BY delta_idx, node_id) - 1 AS pos FROM nodes)"
 query(
     "delta_packed_offsets",

@@ -15,6 +15,7 @@ from pyspark.sql import functions as F
 from deltahop.graphs import Graph
 from deltahop.operators.partitioning import assign_partitions, bucketed
 from deltahop.operators.storage import drop, shared_path
+from deltahop.plans.policy import Plan
 
 
 @dataclass
@@ -93,6 +94,23 @@ class GraphStore:
                 self.version[part] = fresh
 
 
+def write_plan(spark: SparkSession, plan: Plan, path: str | None = None) -> str:
+    """Write a plan's tables (sets, buckets, loads) for other programs; returns the folder."""
+    path = path or shared_path(spark, "plan")
+    for name, rows in (("sets", plan.sets_df(spark)), ("buckets", plan.buckets_df(spark)), ("loads", plan.loads_df(spark))):
+        rows.coalesce(1).write.mode("overwrite").parquet(f"{path}/{name}")
+    return path
+
+
+def read_plan(spark: SparkSession, path: str) -> dict[str, DataFrame]:
+    return {name: spark.read.parquet(f"{path}/{name}") for name in ("sets", "buckets", "loads")}
+
+
+def write_metrics(rows: DataFrame, path: str) -> None:
+    """Put rows (run, epoch, elapsed_s, metric, value) in place of those of the same runs; other runs stay."""
+    rows.repartition("run").write.mode("overwrite").option("partitionOverwriteMode", "dynamic").partitionBy("run").parquet(path)
+
+
 def write_bucketed(edges: DataFrame, name: str, n: int = 8) -> DataFrame:
     """A table bucketed and sorted by source, which later joins and aggregations on src_id read without an exchange."""
     edges.write.mode("overwrite").bucketBy(n, "src_id").sortBy("src_id").saveAsTable(name)
