@@ -2,6 +2,8 @@
 
 from __future__ import annotations
 
+import atexit
+import shutil
 import tempfile
 import uuid
 
@@ -13,7 +15,11 @@ def shared_path(spark: SparkSession, name: str) -> str:
     if not base:
         if not spark.sparkContext.master.startswith("local["):
             raise ValueError("set spark.checkpoint.dir to a folder that driver and executors share")
-        base = shared_path.own = getattr(shared_path, "own", None) or "file://" + tempfile.mkdtemp(prefix="deltahop-")
+        base = getattr(shared_path, "own", None)
+        if base is None:
+            folder = tempfile.mkdtemp(prefix="deltahop-")
+            atexit.register(shutil.rmtree, folder, True)
+            base = shared_path.own = f"file://{folder}"
     return f"{base.rstrip('/')}/{name}-{uuid.uuid4().hex[:12]}"
 
 
