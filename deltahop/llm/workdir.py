@@ -2,7 +2,9 @@
 
 from __future__ import annotations
 
+import atexit
 import gc
+import shutil
 import tempfile
 import time
 import uuid
@@ -18,7 +20,9 @@ def shared_dir(spark: SparkSession) -> str:
             raise ValueError("set spark.checkpoint.dir to a folder that driver and executors share")
         base = getattr(shared_dir, "_own", None)
         if base is None:
-            base = shared_dir._own = "file://" + tempfile.mkdtemp(prefix="deltahop-")
+            folder = tempfile.mkdtemp(prefix="deltahop-")
+            atexit.register(shutil.rmtree, folder, True)
+            base = shared_dir._own = f"file://{folder}"
     return base.rstrip("/")
 
 
