@@ -6,9 +6,9 @@ over the lower-order mass of all words not seen after u, so every context's prob
 context's counts is discounted, one further occurrence is set aside for unseen words.
 
 Tables of counts are partitioned by a hash of the context and are built and asked in one exchange per order: a chunk of documents
-sends its distinct n-grams with their training counts, a bucket adds them up and answers with the corpus counts and, for each
-context, what its backoff weight is made of. Contexts that hold more than a share of all tokens are split by word, so no
-bucket gathers a frequent context. All counts come from all training rows.
+sends its distinct n-grams with their training counts, a bucket adds them up and answers with the corpus counts, for each
+context its divisor and, where an n-gram of it was never seen, what its backoff weight is made of. Contexts that hold more than a
+share of all tokens are split by word, so no bucket gathers a frequent context. All counts come from all training rows.
 
 Defined results: null and empty texts are the end token alone; a null doc_id is a training row; repeated rows count as often as
 they occur; an empty table gives no rows; without training rows all words are unknown and have probability one.
@@ -26,7 +26,7 @@ from pyspark.sql import functions as F
 
 from deltahop.llm import packed
 from deltahop.llm import textnum as tn
-from deltahop.llm.workdir import stored
+from deltahop.llm.workdir import drop_path, stored
 
 START = 0  # word id of the start of a text, a context only
 END = tn.U(0x5EED0E0D5EED0E0D)  # hash that stands for the end token
@@ -35,7 +35,7 @@ SUMMARY, SPLIT = 8, 9  # kinds of rows that the driver reads
 
 @dataclass(frozen=True)
 class KatzConfig:
-    order: int = 2
+    order: int = 3
     discounted: int = 5  # counts above it aren't discounted
     chunk_bytes: int = 8 << 20
     bucket_bytes: int = 8 << 20
@@ -132,108 +132,122 @@ def tokenised(batch: pa.RecordBatch, slab_bytes: int) -> bytes:
     )
 
 
-class Stream:
-    """A chunk's tokens and what is known of them so far."""
+class Chunk:
+    """A chunk's tokens before their words have numbers."""
 
     def __init__(self, raw: bytes, buckets: int):
-        self.ids, self.no_id, held, self.counts, self.local, self.vocabulary = packed.unpack_arrays(raw)
-        self.held = held.astype(bool)
+        self.ids, self.no_id, self.held, self.counts, self.local, self.vocabulary = packed.unpack_arrays(raw)
         self.buckets = buckets
-        self.train = np.repeat(~self.held, self.counts)
-        ends = np.cumsum(self.counts)
-        self.at = np.arange(len(self.local)) - np.repeat(ends - self.counts, self.counts)  # place within the document
-
-    # unigrams
-
-    def _by_hash(self) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
-        order = np.argsort(self.vocabulary)
-        by, at = packed.split_by_bucket(self.vocabulary[order] % tn.U(self.buckets), self.buckets)
-        return order, by, at
+        self.order = np.argsort(self.vocabulary)
+        self.by, self.at = packed.split_by_bucket(self.vocabulary[self.order] % tn.U(buckets), buckets)
 
     def ask_words(self, key: int) -> list[tuple[int, int, int, bytes]]:
-        often = np.bincount(self.local, weights=self.train, minlength=len(self.vocabulary)).astype(np.uint32)
-        order, by, at = self._by_hash()
+        train = np.repeat(self.held == 0, self.counts)
+        often = np.bincount(self.local, weights=train, minlength=len(self.vocabulary)).astype(np.uint32)
         out = []
-        for b in np.flatnonzero(np.diff(at)):
-            pick = order[by[at[b] : at[b + 1]]]
+        for b in np.flatnonzero(np.diff(self.at)):
+            pick = self.order[self.by[self.at[b] : self.at[b + 1]]]
             out.append((int(b), 0, key, packed.pack_arrays(self.vocabulary[pick], often[pick])))
-        out.append((int(key % self.buckets), 1, key, packed.pack_arrays(np.array([(~self.held).sum()], np.int64))))
+        out.append((int(key % self.buckets), 1, key, packed.pack_arrays(np.array([(self.held == 0).sum()], np.int64))))
         return out
 
-    def learn_words(self, answers: list[tuple[int, bytes]], first: Order) -> None:
+    def numbered(self, answers: list[tuple[int, bytes]]) -> bytes:
+        """The chunk with the number and the training count of each word in place of its hash."""
         number, count = np.zeros(len(self.vocabulary), np.int64), np.zeros(len(self.vocabulary), np.int64)
-        order, by, at = self._by_hash()
         for b, raw in answers:
-            pick = order[by[at[b] : at[b + 1]]]
+            pick = self.order[self.by[self.at[b] : self.at[b + 1]]]
             number[pick], count[pick] = packed.unpack_arrays(raw)
-        self.word, self.count = number[self.local], count[self.local]
-        self.p = unigram(count, first)[self.local]
-        self.often = {}
+        return packed.pack_arrays(self.ids, self.no_id, self.held, self.counts, self.local, number, count)
 
-    # longer n-grams
 
-    def _context(self, k: int, first: Order, limit: int) -> tuple[np.ndarray, np.ndarray]:
-        """Context key and split part of every token for order k."""
-        back = [np.where(self.at >= j, np.concatenate([np.zeros(j, np.int64), self.word[:-j or None]])[: len(self.word)], START) for j in range(1, k)]
-        if k == 2:
-            context = back[0].astype(tn.U)
-        else:
-            context = back[0].astype(tn.U)
-            for older in back[1:]:
-                context = tn.combine(context, older.astype(tn.U))
-        # an n-gram context is at most as frequent as its last word
-        near = np.concatenate([np.zeros(1, np.int64), self.count[:-1]]) if len(self.count) else self.count
-        near = np.where(self.at >= 1, near, first.documents)
-        parts = 1 + near // limit
-        return context, np.where(parts > 1, self.word % parts, -1)
+def context_key(words: list[np.ndarray]) -> np.ndarray:
+    """One number per context, from its words, the nearest first."""
+    key = words[0].astype(tn.U)
+    for older in words[1:]:
+        key = tn.combine(key, older.astype(tn.U))
+    return key
+
+
+def _runs(columns: list[np.ndarray]) -> np.ndarray:
+    """Where rows differ from the row before."""
+    fresh = np.zeros(len(columns[0]), bool)
+    fresh[:1] = True
+    for c in columns:
+        fresh[1:] |= c[1:] != c[:-1]
+    return fresh
+
+
+class Stream:
+    """A chunk's tokens and what is known of them so far: probability, count and divisor of the longest n-gram looked up."""
+
+    def __init__(self, raw: bytes, buckets: int, first: Order):
+        self.ids, self.no_id, held, self.counts, local, number, count = packed.unpack_arrays(raw)
+        self.held = held.astype(bool)
+        self.buckets = buckets
+        self.train = np.repeat(~self.held, self.counts)
+        ends = np.cumsum(self.counts)
+        self.at = np.arange(len(local)) - np.repeat(ends - self.counts, self.counts)  # place within the document
+        self.word, self.count = number[local], count[local]
+        self.p = unigram(count, first)[local]
+        self.lower, self.divisor = self.count, np.zeros(len(local), np.int64)
+
+    def _before(self, values: np.ndarray, j: int, start: int) -> np.ndarray:
+        shifted = np.concatenate([np.zeros(min(j, len(values)), values.dtype), values[: max(0, len(values) - j)]])
+        return np.where(self.at >= j, shifted, start)
 
     def _grams(self, k: int, first: Order, limit: int):
-        context, part = self._context(k, first, limit)
-        word = self.word.astype(tn.U)
-        if k == 2 and len(word) and max(int(context.max()), int(word.max())) < 1 << 32:
-            key = context << tn.U(32) | word
-            order = np.argsort(key, kind="stable")
-            differs = key[order][1:] != key[order][:-1]
-        else:
-            order = np.lexsort((word, context))
-            differs = (context[order][1:] != context[order][:-1]) | (word[order][1:] != word[order][:-1])
-        fresh = np.concatenate([np.ones(min(1, len(order)), bool), differs])
+        """Distinct n-grams of the chunk, ordered by context word (the nearest first) and word, and where they are sent.
+
+        N-grams of one nearest word go to one bucket, so that its sorted numbers pack well; those of a frequent one are dealt
+        out by the older word, and those of a frequent context by the word that follows.
+        """
+        back = [self._before(self.word, j, START) for j in range(1, k)]
+        parts = 1 + self._before(self.lower, 1, first.documents) // limit  # lower: how often the context itself occurs
+        part = np.where(parts > 1, self.word % parts, -1)
+        order = np.lexsort((self.word, *reversed(back)))
+        fresh = _runs([c[order] for c in (*back, self.word)])
         gram = np.empty(len(order), np.int64)
         gram[order] = np.cumsum(fresh) - 1
         head = order[fresh]
-        bucket = tn.mix(context[head] + (part[head] + 1).astype(tn.U) * tn.U(0x9E3779B97F4A7C15)) % tn.U(self.buckets)
+        spot = back[0][head].astype(tn.U)
+        if k > 2:
+            near = self._before(self.count, 1, first.documents)[head]
+            spot = tn.combine(spot, (back[1][head] % (1 + near // limit)).astype(tn.U))
+        bucket = tn.mix(spot + (part[head] + 1).astype(tn.U) * tn.U(0x9E3779B97F4A7C15)) % tn.U(self.buckets)
         by, at = packed.split_by_bucket(bucket, self.buckets)
-        return gram, head, context, part, by, at
+        return gram, head, back, part, by, at
 
     def ask_grams(self, key: int, k: int, first: Order, limit: int) -> list[tuple[int, int, int, bytes]]:
-        gram, head, context, part, by, at = self._grams(k, first, limit)
+        """Per bucket: the n-grams' words, how often they occur here, and count and divisor of their shorter n-grams."""
+        gram, head, back, part, by, at = self._grams(k, first, limit)
         often = np.bincount(gram, weights=self.train, minlength=len(head)).astype(np.uint32)
+        lower, divisor = (np.where(often > 0, x[head], 0) for x in (self.lower, self.divisor))
         out = []
         for b in np.flatnonzero(np.diff(at)):
             pick = by[at[b] : at[b + 1]]
             own = head[pick]
-            values, code = np.unique(self.p[own], return_inverse=True)
-            out.append((int(b), 0, key, packed.pack_arrays(context[own], self.word[own], often[pick], code.astype(np.uint32), values, (part[own] >= 0).astype(np.uint8))))
+            out.append((int(b), 0, key, packed.pack_arrays(self.word[own], often[pick], lower[pick], divisor[pick], (part[own] >= 0).astype(np.uint8), *(c[own] for c in back))))
         return out
 
     def learn_grams(self, answers: list[tuple[int, bytes]], k: int, first: Order, limit: int, known: Order) -> None:
         """Probabilities of order k for every token, from the answers by bucket."""
-        gram, head, context, part, by, at = self._grams(k, first, limit)
+        gram, head, back, part, by, at = self._grams(k, first, limit)
         d = known.d
-        count, p = np.zeros(len(head), np.int64), self.p[head].copy()
+        context = context_key([c[head] for c in back])
+        count, divisor, p = np.zeros(len(head), np.int64), np.zeros(len(head), np.int64), self.p[head].copy()
         for b, raw in answers:
             pick = by[at[b] : at[b + 1]]
-            own = head[pick]
-            count[pick], *columns = packed.unpack_arrays(raw)
-            stats = np.column_stack(columns).astype(np.float64)
-            edge = np.concatenate([np.ones(1, bool), context[own][1:] != context[own][:-1]])
-            row = np.cumsum(edge) - 1
-            for i in np.flatnonzero(edge & (part[own] >= 0)):
-                stats[row[i]] = known.split[int(context[own[i]])]
-            alpha, divisor = backoff(stats, d)
+            count[pick], whole, asked, *columns = packed.unpack_arrays(raw)
+            edge = _runs([context[pick]])
+            row, whole, alpha = np.cumsum(edge) - 1, whole.astype(np.int64), np.ones(int(edge.sum()))
+            if len(columns[0]):
+                alpha[asked.astype(bool)] = backoff(np.column_stack(columns).astype(np.float64), d)[0]
+            for i in np.flatnonzero(edge & (part[head[pick]] >= 0)):
+                (alpha[row[i]],), (whole[row[i]],) = backoff(known.split[int(context[pick[i]])][None], d)
             c = count[pick]
-            p[pick] = np.where(c > 0, _discounted(c, d) / divisor[row], np.where(stats[row, 0] > 0, alpha[row], 1.0) * p[pick])
-        self.p = p[gram]
+            divisor[pick] = whole[row]
+            p[pick] = np.where(c > 0, _discounted(c, d) / np.maximum(whole[row], 1), alpha[row] * p[pick])
+        self.p, self.lower, self.divisor = p[gram], count[gram], divisor[gram]
 
     def scores(self, first: Order) -> pa.Table:
         starts = np.cumsum(self.counts) - self.counts
@@ -278,42 +292,46 @@ def _count_words(config: KatzConfig, buckets: int):
     return answer
 
 
-def _count_grams(config: KatzConfig, kind_out: int):
+def _count_grams(config: KatzConfig, order_k: int, first: Order, below: np.ndarray | None):
+    """below: the discounts of the next shorter order, None for words alone."""
     k = config.discounted
 
     def answer(bucket: int, parts: list[tuple[int, int, bytes]]) -> list[tuple[int, int, int, bytes]]:
         asked = [(origin, packed.unpack_arrays(raw)) for _, origin, raw in parts]
-        context, word = (np.concatenate([a[i] for _, a in asked]) for i in (0, 1))
-        often = np.concatenate([a[2] for _, a in asked]).astype(np.int64)
-        lower = np.concatenate([a[4][a[3]] for _, a in asked])
-        split = np.concatenate([a[5] for _, a in asked])
+        word, often, lower, divisor, split, *back = (np.concatenate([a[i] for _, a in asked]) for i in range(len(asked[0][1])))
+        sizes = [len(a[0]) for _, a in asked]
+        asked = [origin for origin, _ in asked]
+        context = context_key(back)
         order = np.lexsort((word, context))
-        ctx, w = context[order], word[order]
-        fresh_ctx = np.concatenate([[True], ctx[1:] != ctx[:-1]])
-        fresh = fresh_ctx.copy()
-        fresh[1:] |= w[1:] != w[:-1]
+        ctx = context[order]
+        fresh_ctx = _runs([ctx])
+        fresh = fresh_ctx | _runs([word[order]])
         gram = np.empty(len(order), np.int64)
         gram[order] = np.cumsum(fresh) - 1
-        head = order[fresh]
-        count = np.bincount(gram, weights=often, minlength=len(head)).astype(np.int64)
+        at = np.flatnonzero(fresh)
+        count = np.bincount(gram, weights=often, minlength=len(at)).astype(np.int64)
+        lower, divisor = (np.maximum.reduceat(x[order], at) for x in (lower, divisor))  # chunks without training rows send none
+        mass = unigram(lower, first) if below is None else _discounted(lower, below) / np.maximum(divisor, 1)
         row = np.cumsum(fresh_ctx[fresh]) - 1  # context of each distinct n-gram
         n = int(row[-1]) + 1
         add = lambda x: np.bincount(row, weights=x, minlength=n)
-        stats = [add(count), *(add(count == r) for r in range(1, k + 1))]
-        mass = add(np.where(count > 0, lower[head], 0.0))
+        stats = [add(count), *(add(count == r) for r in range(1, k + 1)), add(np.where(count > 0, mass, 0.0))]
+        whole = (stats[0] + ((stats[0] > 0) & (sum(stats[1:-1]) == 0))).astype(np.int64)  # as in backoff
         n_of = np.bincount(np.minimum(count, k + 2), minlength=k + 3)[: k + 2].astype(np.int64)
         out = [(-1, SUMMARY, bucket, packed.pack_arrays(n_of, np.array([count.sum(), (count > 0).sum(), 0], np.int64)))]
-        tops = head[fresh_ctx[fresh]]
-        parted = np.flatnonzero(split[tops])
-        if len(parted):
-            out.append((-1, SPLIT, bucket, packed.pack_arrays(context[tops[parted]], *(s[parted] for s in stats), mass[parted])))
-        at = 0
-        for origin, a in asked:
-            pick = gram[at : at + len(a[0])]
-            at += len(pick)
-            rows = row[pick]
-            rows = rows[np.concatenate([[True], rows[1:] != rows[:-1]])]
-            out.append((origin, kind_out, bucket, packed.pack_arrays(count[pick], *(s[rows].astype(np.int64) for s in stats), mass[rows])))
+        tops = order[fresh_ctx]
+        parted = split[tops] > 0
+        if parted.any():
+            out.append((-1, SPLIT, bucket, packed.pack_arrays(context[tops[parted]], *(s[parted] for s in stats))))
+        low = 0
+        for origin, size in zip(asked, sizes, strict=True):
+            pick = gram[low : low + size]
+            low += size
+            edge = _runs([row[pick]])
+            rows, unseen = row[pick][edge], np.logical_or.reduceat(count[pick] == 0, np.flatnonzero(edge))
+            weigh = unseen & (whole[rows] > 0) & ~parted[rows]  # a backoff weight is asked for unseen n-grams only
+            asked_stats = [s[rows[weigh]] for s in stats]
+            out.append((origin, order_k, bucket, packed.pack_arrays(count[pick], whole[rows], weigh.astype(np.uint8), *(s.astype(np.int64) for s in asked_stats[:-1]), asked_stats[-1])))
         return out
 
     return answer
@@ -337,32 +355,47 @@ def _summary(answers: DataFrame, config: KatzConfig) -> Order:
 def score_documents(docs: DataFrame, config: KatzConfig | None = None) -> DataFrame:
     """One row per document: doc_id, held_out, n_tokens, n_known, train_tokens, base_score, score (log10)."""
     config = config or KatzConfig()
+    spark = docs.sparkSession
     texts = docs.select(F.col("doc_id").cast("bigint").alias("doc_id"), F.col("text").cast("string").alias("text"), held_out(F.col("doc_id")).alias("held"))
-    chunks, _ = stored(packed.chunk_documents(texts, config.chunk_bytes, lambda batch: tokenised(batch, config.slab_bytes)), "katz-chunks")
+    chunks, chunk_path = stored(packed.chunk_documents(texts, config.chunk_bytes, lambda batch: tokenised(batch, config.slab_bytes)), "katz-chunks")
     buckets = packed.bucket_count(packed.total_size(chunks), config.bucket_bytes)
 
-    def ask_words(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        for batch in batches:
-            for key, payload in zip(batch.column("key").to_pylist(), batch.column("payload"), strict=True):
-                yield packed.rows(Stream(payload.as_py(), buckets).ask_words(key))
+    def each_row(answer):
+        def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+            for batch in batches:
+                for key, payload in zip(batch.column("key").to_pylist(), batch.column("payload"), strict=True):
+                    yield packed.rows(answer(payload.as_py(), key))
+                    tn.give_back()
+
+        return run
 
-    answers, _ = stored(packed.exchange(chunks.mapInArrow(ask_words, packed.DDL), _count_words(config, buckets)), "katz-words", free=True)
+    asked = chunks.mapInArrow(each_row(lambda raw, key: Chunk(raw, buckets).ask_words(key)), packed.DDL)
+    answers, answer_path = stored(packed.exchange(asked, _count_words(config, buckets)), "katz-words", free=True)
     first = _summary(answers, config)
+
+    def number(key: int, parts: list[tuple[int, int, bytes]]) -> list[tuple[int, int, int, bytes]]:
+        raw = next(raw for kind, _, raw in parts if kind == 0)
+        return [(key, 0, 0, Chunk(raw, buckets).numbered([(origin, raw) for kind, origin, raw in parts if kind == 1]))]
+
+    together, _ = stored(packed.exchange(chunks.unionByName(answers.where("key >= 0")), number), "katz-numbered", free=True)
+    for path in (chunk_path, answer_path):
+        drop_path(spark, path)
     known: list[Order] = []
-    together = chunks.unionByName(answers.where("key >= 0"))
     limit = max(1000, first.tokens // (4 * buckets))
 
     def opened(parts: list[tuple[int, int, bytes]], orders: list[Order]) -> Stream:
-        stream = Stream(next(raw for kind, _, raw in parts if kind == 0), buckets)
-        stream.learn_words([(origin, raw) for kind, origin, raw in parts if kind == 1], first)
+        stream = Stream(next(raw for kind, _, raw in parts if kind == 0), buckets, first)
         for k, order in enumerate(orders, 2):
             stream.learn_grams([(origin, raw) for kind, origin, raw in parts if kind == k], k, first, limit, order)
         return stream
 
     for k in range(2, config.order + 1):
-        so_far = list(known)
-        asked = packed.exchange(together, lambda key, parts, k=k, so_far=so_far: opened(parts, so_far).ask_grams(key, k, first, limit))
-        answers, _ = stored(packed.exchange(asked, _count_grams(config, k)), "katz-grams", free=True)
+        if known:
+            so_far = list(known)
+            asked = packed.exchange(together, lambda key, parts, k=k, so_far=so_far: opened(parts, so_far).ask_grams(key, k, first, limit))
+        else:
+            asked = together.mapInArrow(each_row(lambda raw, key: Stream(raw, buckets, first).ask_grams(key, 2, first, limit)), packed.DDL)
+        answers, _ = stored(packed.exchange(asked, _count_grams(config, k, first, known[-1].d if known else None)), "katz-grams", free=True)
         known.append(_summary(answers, config))
         together = together.unionByName(answers.where("key >= 0"))
 

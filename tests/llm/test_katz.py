@@ -84,12 +84,13 @@ def test_odd_rows(spark, odd_docs):
     assert katz.score_documents(odd_docs.limit(0)).collect() == []
 
 
-def test_split_contexts_score_alike(spark, monkeypatch):
+@pytest.mark.parametrize("order", [2, 3])
+def test_split_contexts_score_alike(spark, order):
     rng = random.Random(9)
-    rows = [(i, " ".join(f"the w{rng.randrange(40)}" for _ in range(60))) for i in range(80)]
+    rows = [(i, " ".join(f"as the w{rng.randrange(40)}" for _ in range(60))) for i in range(80)]
     df = spark.createDataFrame(rows, "doc_id bigint, text string")
-    got = katz.score_documents(df, katz.KatzConfig(chunk_bytes=5000, bucket_bytes=100))  # many buckets, so "the" is split
-    want = brute(rows, 2)
+    got = katz.score_documents(df, katz.KatzConfig(order=order, chunk_bytes=5000, bucket_bytes=100))  # many buckets, so "as the" is split
+    want = brute(rows, order)
     got = got.collect()
     for r in got:
         assert math.isclose(r.score, want[r.doc_id][5], rel_tol=1e-7)
