@@ -177,6 +177,20 @@ def _runs(columns: list[np.ndarray]) -> np.ndarray:
     return fresh
 
 
+def _numbered_pairs(a: np.ndarray, b: np.ndarray) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
+    """(number of each pair in ascending order, an order of the rows by pair, where a pair is new in this order)."""
+    if len(a) and max(int(a.max()), int(b.max())) < 1 << 32:
+        key = a.astype(tn.U) << tn.U(32) | b.astype(tn.U)
+        order = np.argsort(key)
+        fresh = _runs([key[order]])
+    else:
+        order = np.lexsort((b, a))
+        fresh = _runs([a[order], b[order]])
+    number = np.empty(len(order), np.int64)
+    number[order] = np.cumsum(fresh) - 1
+    return number, order, fresh
+
+
 class Stream:
     """A chunk's tokens and what is known of them so far: probability, count and divisor of the longest n-gram looked up."""
 
@@ -204,10 +218,9 @@ class Stream:
         back = [self._before(self.word, j, START) for j in range(1, k)]
         parts = 1 + self._before(self.lower, 1, first.documents) // limit  # lower: how often the context itself occurs
         part = np.where(parts > 1, self.word % parts, -1)
-        order = np.lexsort((self.word, *reversed(back)))
-        fresh = _runs([c[order] for c in (*back, self.word)])
-        gram = np.empty(len(order), np.int64)
-        gram[order] = np.cumsum(fresh) - 1
+        gram = back[0]
+        for word in (*back[1:], self.word):
+            gram, order, fresh = _numbered_pairs(gram, word)
         head = order[fresh]
         spot = back[0][head].astype(tn.U)
         if k > 2:
