@@ -36,6 +36,9 @@ from deltahop.llm.components import connected_components
 from deltahop.llm.workdir import drop_path, stored
 
 
+LARGE = 1000  # a bucket with more than one part in so many of all members is joined by broadcast
+
+
 @dataclass(frozen=True)
 class NearDupConfig:
     shingle: int = 5
@@ -218,10 +221,9 @@ def _possible(bits: list[np.ndarray], size: np.ndarray, comp: np.ndarray, block:
 def across_components(placed: DataFrame, nodes: DataFrame, sets: DataFrame, config: NearDupConfig, closest: bool) -> DataFrame:
     """Pairs (a, b) of different components that share a band bucket and whose full sets may reach the limit.
 
-    placed: (band, node, comp) of the buckets that hold several components. closest: only each node's closest partner.
+    placed: (band, size, node, comp) of the buckets that hold several components. closest: only each node's closest partner.
     """
-    blocks = placed.groupBy("band").agg(F.ceil(F.count("*") / config.block).cast("int").alias("n"))
-    member = placed.join(blocks, "band").withColumn("block", F.pmod(F.xxhash64("node"), F.col("n")).cast("int"))
+    member = placed.withColumn("n", F.ceil(F.col("size") / config.block).cast("int")).withColumn("block", F.pmod(F.xxhash64("node"), F.col("n")).cast("int"))
     pair = F.transform(F.sequence(F.lit(0), F.col("n") - 1), lambda k: F.struct(F.least(k, F.col("block")).alias("one"), F.greatest(k, F.col("block")).alias("two")))
     dealt = member.withColumn("pair", F.explode(pair)).select("band", "pair.one", "pair.two", "block", "node", "comp")
     full = dealt.join(nodes.select("node", "n_shingles", "bands"), "node").join(sets.select("node", "bits"), "node")
@@ -317,8 +319,15 @@ def near_duplicates(docs: DataFrame, config: NearDupConfig | None = None) -> Dat
         "near-nodes",
     )
     spread = nodes.select("node", F.explode("bands").alias("band"))
-    buckets, bucket_path = stored(spread.groupBy("band").agg(F.min("node").alias("low"), F.max("node").alias("high")).where("low <> high").select("band", F.col("low").alias("a")), "near-buckets")
-    shared, shared_path = stored(spread.join(buckets, "band").select("band", "a", F.col("node").alias("b")), "near-shared", free=True)
+    buckets, bucket_path = stored(
+        spread.groupBy("band").agg(F.min("node").alias("a"), F.max("node").alias("high"), F.count("*").alias("size")).where("a <> high").select("band", "a", "size"),
+        "near-buckets",
+    )
+    # Buckets above a thousandth of all members are fewer than a thousand, whatever the input: their members join without a shuffle.
+    large = (buckets.agg(F.sum("size")).first()[0] or 0) / LARGE
+    hot = F.broadcast(buckets.where(F.col("size") > large))
+    cold = spread.join(hot.select("band"), "band", "left_anti").join(buckets.where(F.col("size") <= large), "band")
+    shared, shared_path = stored(spread.join(hot, "band").unionByName(cold).select("band", "size", "a", F.col("node").alias("b")), "near-shared", free=True)
     drop_path(docs.sparkSession, bucket_path)
 
     star = shared.where("a <> b").groupBy("a", "b").agg(F.count("*").alias("n"))
@@ -329,12 +338,17 @@ def near_duplicates(docs: DataFrame, config: NearDupConfig | None = None) -> Dat
     used = [shared_path, star_path, links_path]
     comps = connected_components(links)
 
-    members = shared.select("band", F.col("b").alias("node"))
+    members = shared.select("band", "size", F.col("b").alias("node"))
 
     def contested(comps: DataFrame) -> DataFrame:
-        placed = members.join(comps, "node", "left").select("band", "node", F.coalesce("comp", "node").alias("comp"))
-        mixed = placed.groupBy("band").agg(F.min("comp").alias("x"), F.max("comp").alias("y")).where("x <> y").select("band")
-        return stored(placed.join(mixed, "band", "left_semi"), "near-placed")
+        every, path = stored(members.join(comps, "node", "left").select("band", "size", "node", F.coalesce("comp", "node").alias("comp")), "near-members")
+        mixed = every.groupBy("band", "size").agg(F.min("comp").alias("x"), F.max("comp").alias("y")).where("x <> y").select("band", "size")
+        hot = F.broadcast(mixed.where(F.col("size") > large).select("band"))
+        some = every.where(F.col("size") > large).join(hot, "band", "left_semi")
+        rest = every.where(F.col("size") <= large).join(mixed.where(F.col("size") <= large).select("band"), "band", "left_semi")
+        out = stored(some.unionByName(rest), "near-placed")
+        drop_path(docs.sparkSession, path)
+        return out
 
     placed, placed_path = contested(comps)
     done = star.select(F.least("a", "b").alias("a"), F.greatest("a", "b").alias("b"))

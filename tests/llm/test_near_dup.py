@@ -51,6 +51,15 @@ def test_components_match_all_pairs(spark, n):
     assert all(r.kept == (r.doc_id == r.component_id) for r in got)
 
 
+@pytest.mark.parametrize("large", [1, 10**9])
+def test_large_and_small_buckets_join_alike(spark, monkeypatch, large):
+    """With 1 no bucket counts as large, with 10**9 every one does."""
+    monkeypatch.setattr(near_dup, "LARGE", large)
+    rows = corpus(11)[:160]
+    got = near_dup.near_duplicates(spark.createDataFrame(rows, "doc_id bigint, text string"), near_dup.NearDupConfig(shingle=2, block=7, members=3)).collect()
+    assert {r.doc_id: (r.n_shingles, r.component_id) for r in got} == brute(rows, 2)
+
+
 def test_odd_rows(spark, odd_docs):
     got = near_dup.near_duplicates(odd_docs).collect()
     assert len(got) == odd_docs.count()
