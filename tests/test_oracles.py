@@ -44,3 +44,10 @@ def test_registry_is_consistent():
 def test_approximate_counts_are_close(spark, sf):
     for r in QUERIES["agg_approx_nbrs"](spark, sf).collect():
         assert abs(r.approx - r.exact) <= 0.06 * r.exact and abs(r.sketch - r.exact) <= 0.06 * r.exact
+
+
+@pytest.mark.parametrize("name", "assign_deferred assign_eager assign_two_level_eager autotune_c autotune_l autotune_overheads autotune_p bias_trend_fit bias_uniform_deferred bias_uniform_eager cost_per_epoch epoch_cost_model".split())
+def test_query_needs_its_tables(spark, tmp_path, name):
+    """These once answered without any table."""
+    with pytest.raises(Exception, match="PATH_NOT_FOUND"):
+        QUERIES[name](spark, str(tmp_path)).collect()
