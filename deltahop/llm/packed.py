@@ -122,5 +122,6 @@ def total_size(chunks: DataFrame) -> int:
 
 def split_by_bucket(bucket: np.ndarray, n: int) -> tuple[np.ndarray, np.ndarray]:
     """(order, starts): order[starts[b]:starts[b+1]] are the entries of bucket b, in their order."""
-    order = np.argsort(bucket, kind="stable")
-    return order, np.searchsorted(bucket[order], np.arange(n + 1))
+    rows = max(0, len(bucket) - 1).bit_length()
+    key = np.sort(bucket.astype(tn.U) << tn.U(rows) | np.arange(len(bucket), dtype=tn.U))  # bucket and row as one number
+    return (key & tn.U((1 << rows) - 1)).astype(np.int64), np.searchsorted(key >> tn.U(rows), np.arange(n + 1, dtype=tn.U))
