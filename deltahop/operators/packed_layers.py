@@ -18,6 +18,11 @@ def _spread(batch: Packed) -> np.ndarray:
     return np.repeat(np.arange(len(batch.nbr_starts)), batch.lengths())
 
 
+def _scatter(rows: np.ndarray, values: np.ndarray, n: int) -> np.ndarray:
+    """(n, width) sums of the values of each row; column by column, which takes a fraction of np.add.at's time."""
+    return np.stack([np.bincount(rows, c, n) for c in np.ascontiguousarray(values.T)], 1)
+
+
 def _activate(x: np.ndarray, kind: str) -> np.ndarray:
     return np.maximum(x, 0) if kind == "relu" else np.tanh(x) if kind == "tanh" else x
 
@@ -34,9 +39,8 @@ class AddLayer:
         return h[batch.outputs] + segment_sum(h[batch.input_rows], batch.nbr_starts), h.shape
 
     def backward(self, batch: Packed, saved, grad: np.ndarray):
-        back = np.zeros(saved)
+        back = _scatter(batch.input_rows, grad[_spread(batch)], saved[0])
         back[batch.outputs] += grad
-        np.add.at(back, batch.input_rows, grad[_spread(batch)])
         return back, {}
 
 
@@ -62,10 +66,9 @@ class SageLayer:
     def backward(self, batch: Packed, saved, grad: np.ndarray):
         shape, own, mean, n, x, y = saved
         g = grad * _slope(x, y, self.activation)
-        back = np.zeros(shape)
-        back[batch.outputs] += g @ self.weights["self"].T
         to_nbr = (g @ self.weights["nbr"].T) / n
-        np.add.at(back, batch.input_rows, to_nbr[_spread(batch)])
+        back = _scatter(batch.input_rows, to_nbr[_spread(batch)], shape[0])
+        back[batch.outputs] += g @ self.weights["self"].T
         return back, {"self": own.T @ g, "nbr": mean.T @ g, "bias": g.sum(0)}
 
 
@@ -119,15 +122,14 @@ class GatLayer:
         width = g_all.shape[1] // self.heads
         for k, (z, pre, alpha) in enumerate(heads):
             g = g_all[:, k * width : (k + 1) * width]
-            dz = np.zeros_like(z)
-            np.add.at(dz, src, alpha[:, None] * g[row])
+            dz = _scatter(src, alpha[:, None] * g[row], len(z))
             da = (g[row] * z[src]).sum(1)
             de = alpha * (da - segment_sum(alpha * da, starts)[row])
             de = np.where(pre > 0, de, self.slope * de)
             s, n = self.weights[f"s{k}"], self.weights[f"n{k}"]
             per_row = segment_sum(de, starts)
-            np.add.at(dz, own, per_row[:, None] * s)
-            np.add.at(dz, src, de[:, None] * n)
+            dz[own] += per_row[:, None] * s
+            dz += np.bincount(src, de, len(z))[:, None] * n
             grads |= {f"s{k}": z[own].T @ per_row, f"n{k}": z[src].T @ de, f"w{k}": h.T @ dz}
             back += dz @ self.weights[f"w{k}"].T
         return back, grads
