@@ -42,6 +42,10 @@ def mixed(ids: np.ndarray, seed: int) -> np.ndarray:
     return (np.mod(ids, hashing.MIX_PRIME) * 1103515245 + seed * 16807 + 7) % hashing.MIX_PRIME * 69621 % hashing.MIX_PRIME
 
 
+def fits(n_edges: int, n_nodes: int, d: int, direction: str, limit: int = LIMIT) -> bool:
+    return n_nodes * (16 + d * 16) + n_edges * (20 if direction in ("any", "both") else 16) <= limit
+
+
 @dataclass
 class Resident:
     """ids ascend; all other vertices are places in ids. lists: (starts, neighbours) for each direction that is sampled."""
@@ -59,10 +63,12 @@ class Resident:
     def of(cls, edges: DataFrame, h0: DataFrame, direction: str, limit: int = LIMIT) -> Resident | None:
         """The graph of edges and vectors (node_id, h[, s][, ..]), or None if it doesn't fit or isn't regular."""
         n, d = h0.agg(F.count("*"), F.coalesce(F.max(F.size("h")), F.lit(0))).first()
-        sides = 2 if direction in ("any", "both") else 1
-        if not n or n * (16 + d * 16) > limit or n * (16 + d * 16) + edges.count() * (4 * sides + 12) > limit:
+        if not n or not fits(0, n, d, direction, limit) or not fits(edges.count(), n, d, direction, limit):
             return None
-        table = h0.toArrow()
+        return cls.of_tables(edges.select("src_id", "rel_id", "dst_id").toArrow(), h0.toArrow(), direction)
+
+    @classmethod
+    def of_tables(cls, edges: pa.Table, table: pa.Table, direction: str) -> Resident | None:
         ids = _column(table, "node_id")
         if ids is None or not len(ids):
             return None
@@ -92,9 +98,9 @@ class Resident:
         at = np.minimum(np.searchsorted(self.ids, ids), len(self.ids) - 1)
         return at.astype(np.int32) if (self.ids[at] == ids).all() else None
 
-    def examples(self, edges: DataFrame) -> tuple[np.ndarray, np.ndarray, np.ndarray] | None:
+    def examples(self, edges: DataFrame | pa.Table) -> tuple[np.ndarray, np.ndarray, np.ndarray] | None:
         """(src, rel, dst) of edges."""
-        table = edges.select("src_id", "rel_id", "dst_id").toArrow()
+        table = edges if isinstance(edges, pa.Table) else edges.select("src_id", "rel_id", "dst_id").toArrow()
         ends = self.places(_column(table, "src_id")), _column(table, "rel_id"), self.places(_column(table, "dst_id"))
         return None if any(x is None for x in ends) else (ends[0], ends[1].astype(np.int32), ends[2])
 
